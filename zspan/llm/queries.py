@@ -6,7 +6,8 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from zspan.llm import bpe, jaccard, knn, packing
+from zspan.llm import bpe, iblt, jaccard, knn, langid, packing
+from zspan.llm.common import is_held_out
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -22,6 +23,13 @@ def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op3_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    model = langid.learn(docs.where(~is_held_out(F.col("doc_id"))).select("doc_id", "text", "lang"))
+    found = langid.predict(spark, docs, model)
+    return found.select("doc_id", is_held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score", "mixture")
+
+
 def op7_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
@@ -30,11 +38,17 @@ def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.classes(_table(spark, sf_dir, "documents"))
 
 
+def op9_iblt_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return iblt.versions(_table(spark, sf_dir, "documents"))
+
+
 QUERIES = {
     "op1_topk_search": op1_topk_search,
     "op2_best_fit_packing": op2_best_fit_packing,
+    "op3_language_mixture": op3_language_mixture,
     "op7_bpe_round_trip": op7_bpe_round_trip,
     "op8_jaccard_join": op8_jaccard_join,
+    "op9_iblt_fingerprint": op9_iblt_fingerprint,
 }
 
 ORACLE_SQL = {
