@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from zspan.llm import bpe, iblt, jaccard, knn, langid, packing
+from zspan.llm import bpe, crf, iblt, jaccard, knn, langid, linededup, packing
 from zspan.llm.common import is_held_out
 
 
@@ -30,6 +30,11 @@ def op3_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", is_held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score", "mixture")
 
 
+def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = linededup.clean(_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_chunks", "n_dropped", F.length("text").cast("long").alias("n_chars_left"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
+
+
 def op7_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
@@ -42,13 +47,21 @@ def op9_iblt_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     return iblt.versions(_table(spark, sf_dir, "documents"))
 
 
+def op10_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, held_out = _table(spark, sf_dir, "documents"), is_held_out(F.col("doc_id"))
+    chain = crf.learn(docs, _table(spark, sf_dir, "labels").where(~held_out).select("doc_id", "quality"))
+    return crf.score(spark, docs, chain).select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
 QUERIES = {
     "op1_topk_search": op1_topk_search,
     "op2_best_fit_packing": op2_best_fit_packing,
     "op3_language_mixture": op3_language_mixture,
+    "op6_line_dedup": op6_line_dedup,
     "op7_bpe_round_trip": op7_bpe_round_trip,
     "op8_jaccard_join": op8_jaccard_join,
     "op9_iblt_fingerprint": op9_iblt_fingerprint,
+    "op10_quality_crf": op10_quality_crf,
 }
 
 ORACLE_SQL = {
