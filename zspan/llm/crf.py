@@ -1,7 +1,7 @@
 """Document quality from a linear-chain conditional random field over lines.
 
 Each line is good or bad. Its evidence is a few measures of its own bytes (shares of letters, capitals, digits and marks,
-mean word length, repeated bytes, length) and the same measures of the lines before and after; neighbouring labels are
+mean word length, repeated bytes and words, length) and the same measures of the lines before and after; neighbouring labels are
 tied by transition weights. Weights are learned on a bounded sample of labelled documents, every line taking its
 document's label. A document's score is the mean of its lines' forward-backward marginals, weighted by line length.
 
@@ -24,7 +24,9 @@ for _b in range(256):
     _c = chr(_b)
     _KINDS[_b] = [_b >= 128 or _c.isalpha(), _b < 128 and _c.isupper(), _b < 128 and _c.isdigit(), _c in ".,;:'-", _c in "!?", _b < 128 and not _c.isalnum() and _c not in ".,;:'-!? \t\r\n", _c in " \t\r", _c in "|<>{}[]=\\/_#*%$&@~^"]
 _N = _KINDS.shape[1]
-FEATURES = 3 * (_N + 6) + 1
+_OWN = _N + 7
+FEATURES = 3 * _OWN + 1
+_SALT = np.random.default_rng(5).integers(1, 1 << 40, 256)
 
 
 def lines_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -39,7 +41,7 @@ def lines_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     keep = length > 0
     starts, length, text = starts[keep], length[keep], text[keep]
     if not len(starts):
-        return text, length, np.zeros((0, _N + 6), np.float32)
+        return text, length, np.zeros((0, _OWN), np.float32)
     tables = np.add.reduceat
     cut = np.stack([starts, starts + length], 1).ravel()
     flat = np.append(data, 10)
@@ -50,11 +52,18 @@ def lines_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     sums = np.stack([total(_KINDS[:, k][flat]) for k in range(_N)], 1).astype(np.float32)
     same = np.r_[False, data[1:] == data[:-1]]
     letter = _KINDS[:, 0][data] > 0
-    words = total(np.append(np.r_[letter[0], letter[1:] & ~letter[:-1]], False))
+    begins = np.r_[letter[0], letter[1:] & ~letter[:-1]]
+    words = total(np.append(begins, False))
+    again = np.zeros(len(data), bool)  # words that the word before them in the line equals
+    at = np.flatnonzero(begins)
+    if len(at) > 1:
+        sums_of = np.add.reduceat(np.where(letter, _SALT[data], 0), at)
+        line = np.searchsorted(ends, at)
+        again[at[1:]] = (sums_of[1:] == sums_of[:-1]) & (line[1:] == line[:-1])
     jumps = total(np.append(np.r_[False, (letter[1:] != letter[:-1])], False))
     vowel = np.isin(data | 32, np.frombuffer(b"aeiou", np.uint8))
     n = length.astype(np.float32)
-    more = np.stack([total(np.append(same, False)) / n, np.minimum(sums[:, 0] / np.maximum(words, 1), 30) / 10, jumps / n, total(np.append(vowel, False)) / np.maximum(sums[:, 0], 1), np.log1p(n) / 5, (data[starts + length - 1] == 46).astype(np.float32)], 1)
+    more = np.stack([total(np.append(same, False)) / n, np.minimum(sums[:, 0] / np.maximum(words, 1), 30) / 10, jumps / n, total(np.append(vowel, False)) / np.maximum(sums[:, 0], 1), np.log1p(n) / 5, (data[starts + length - 1] == 46).astype(np.float32), total(np.append(again, False)) / np.maximum(words, 1)], 1)
     return text, length, np.concatenate([sums / n[:, None], more], 1).astype(np.float32)
 
 
@@ -122,9 +131,8 @@ def fit(texts: list[str], labels: np.ndarray, rounds: int = 100, rate: float = 0
     first = np.flatnonzero(np.r_[True, text[1:] != text[:-1]])
     nth = np.arange(len(text)) - np.repeat(first, np.diff(np.r_[first, len(text)]))
     text = np.cumsum(nth % CHAIN_LINES == 0)
-    scale = np.maximum(np.abs(x).max(0), 1e-6)
+    scale = np.maximum(np.sqrt((x**2).mean(0)), 1e-3)
     x = x / scale
-    weight = np.where(y > 0, 0.5 / max(y.mean(), 1e-9), 0.5 / max(1 - y.mean(), 1e-9))  # both labels count alike
     inner = np.flatnonzero(np.r_[False, text[1:] == text[:-1]])
     seen = np.zeros((2, 2))
     np.add.at(seen, (y[inner - 1].astype(int), y[inner].astype(int)), 1)
@@ -133,26 +141,24 @@ def fit(texts: list[str], labels: np.ndarray, rounds: int = 100, rate: float = 0
     for step in range(1, rounds + 1):
         chain = Chain(theta[:FEATURES], theta[FEATURES:].reshape(2, 2), 0.5)
         good, moves, _ = chain.marginals(x @ chain.w, text)
-        grad = np.r_[x.T @ ((y - good) * weight), (seen - moves).ravel()] / len(y) - decay * theta
+        grad = np.r_[x.T @ (y - good), (seen - moves).ravel()] / len(y) - decay * theta
         m, v = 0.9 * m + 0.1 * grad, 0.99 * v + 0.01 * grad**2
         theta += rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
     return Chain(theta[:FEATURES] / scale, theta[FEATURES:].reshape(2, 2), float(labels.mean()))
 
 
 def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Chain:
-    """A chain from docs (doc_id, text) and labels (doc_id, quality); about ``sample`` documents, half of each label.
+    """A chain from docs (doc_id, text) and labels (doc_id, quality); about ``sample`` documents.
 
-    The hash of the id picks them. Labels other than 0 and 1 are no labels; of several for one id the least counts.
+    A hash of the id picks them. Labels other than 0 and 1 are no labels; of several for one id the least counts.
     """
     labels = labels.where("quality in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.min("quality").cast("int").alias("quality"))
     sizes = {r["quality"]: r["n"] for r in labels.groupBy("quality").agg(F.count("*").alias("n")).collect()}  # two rows
     if not sizes:
         return Chain(np.zeros(FEATURES), np.zeros((2, 2)), 0.5)
-    limits = {q: min(1_000_000, -(-1_000_000 * (sample // 2) // n)) for q, n in sizes.items()}
-    place = F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(1_000_000))
-    picked = labels.where(place < F.element_at(F.create_map([F.lit(x) for kv in limits.items() for x in kv]), F.col("quality")))
-    texts = docs.select("doc_id", "text").where((place < max(limits.values())) & F.col("text").isNotNull()).dropDuplicates(["doc_id"])
-    rows = texts.join(picked, "doc_id").select("text", "quality").toPandas()  # the bounded sample
+    share = F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(1_000_000)) < min(1_000_000, -(-1_000_000 * sample // sum(sizes.values())))
+    texts = docs.select("doc_id", "text").where(share & F.col("text").isNotNull()).dropDuplicates(["doc_id"])
+    rows = texts.join(labels.where(share), "doc_id").select("text", "quality").toPandas()  # the bounded sample
     return fit(rows["text"].tolist(), rows["quality"].to_numpy(int))
 
 
