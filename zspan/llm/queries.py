@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from zspan.llm import bpe, crf, iblt, jaccard, knn, langid, linededup, packing
+from zspan.llm import bpe, chat, crf, iblt, jaccard, knn, langid, linededup, packing, secret_scan
 from zspan.llm.common import is_held_out
 
 
@@ -30,6 +30,15 @@ def op3_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", is_held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score", "mixture")
 
 
+def op4_perspective_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.rotate(_table(spark, sf_dir, "conversations"))
+
+
+def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vocabulary = public_tokenizers.path("byte_bpe_50k.json")
+    return secret_scan.findings(_table(spark, sf_dir, "documents"), secret_scan.train(vocabulary), vocabulary)
+
+
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = linededup.clean(_table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_chunks", "n_dropped", F.length("text").cast("long").alias("n_chars_left"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
@@ -57,6 +66,8 @@ QUERIES = {
     "op1_topk_search": op1_topk_search,
     "op2_best_fit_packing": op2_best_fit_packing,
     "op3_language_mixture": op3_language_mixture,
+    "op4_perspective_chat": op4_perspective_chat,
+    "op5_secret_scan": op5_secret_scan,
     "op6_line_dedup": op6_line_dedup,
     "op7_bpe_round_trip": op7_bpe_round_trip,
     "op8_jaccard_join": op8_jaccard_join,
@@ -78,4 +89,30 @@ ORACLE_SQL = {
         SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score
         FROM scored QUALIFY rank <= 20
     """,
+    "op4_perspective_chat": """
+        WITH said AS (
+            SELECT DISTINCT conv_id, coalesce(turn, 0) AS turn, coalesce(role, 'unknown') AS role, coalesce(text, '') AS text
+            FROM conversations WHERE conv_id IS NOT NULL
+        ), seats AS (
+            SELECT DISTINCT conv_id, role AS perspective FROM said WHERE role <> 'system'
+        ), lines AS (
+            SELECT conv_id, perspective, turn // 32 AS part, turn, role, text, role = perspective AS own,
+                CASE WHEN role = 'system' THEN '<|system|>' WHEN role = perspective THEN '<|assistant|>'
+                     ELSE '<|user name=' || replace(role, '<|', '< |') || '|>' END || chr(10) AS head,
+                replace(text, '<|', '< |') || '<|end|>' || chr(10) AS body
+            FROM said JOIN seats USING (conv_id)
+        ), placed AS (
+            SELECT *, coalesce(sum(length(head) + length(body)) OVER (PARTITION BY conv_id, perspective, part ORDER BY turn, role, text
+                ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS place
+            FROM lines
+        ), parts AS (
+            SELECT conv_id, perspective, part, count(*) AS n_messages, string_agg(head || body, '' ORDER BY turn, role, text) AS text,
+                coalesce(string_agg(CASE WHEN own THEN CAST(place + length(head) AS BIGINT) || '-' || CAST(place + length(head) + length(body) - 1 AS BIGINT) END, ','
+                    ORDER BY turn, role, text), '') AS train_spans, sum(length(head) + length(body)) AS size
+            FROM placed GROUP BY ALL
+        )
+        SELECT conv_id, perspective, part, n_messages, text, train_spans,
+            CAST(coalesce(sum(size) OVER (PARTITION BY conv_id, perspective ORDER BY part ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS char_start
+        FROM parts
+    """,
 }
