@@ -14,6 +14,7 @@ from __future__ import annotations
 import sys
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -135,23 +136,41 @@ def learn(labelled: DataFrame, sample: int = SAMPLE, buckets: int = BUCKETS) ->
     return Model(languages, counts)
 
 
-def predict(spark: SparkSession, docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """``keep`` columns with lang_pred, score (its proportion) and mixture, a list like ``en:0.91 fr:0.09``."""
+def _columns(m: Model, texts: list[str]) -> tuple[list[str], list[float], list[str]]:
+    preds, scores, mixed = [], [], []
+    for a, z in text_slices(texts):
+        for row in m.mixtures(texts[a:z]):
+            top = int(row.argmax()) if len(row) else 0
+            known = len(row) and row[top] > 0
+            preds.append(m.languages[top] if known else "und")
+            scores.append(min(1.0, float(row[top])) if known else 0.0)
+            mixed.append(" ".join(f"{m.languages[i]}:{row[i]:.3f}" for i in np.argsort(-row) if row[i] > 0.0005))
+    return preds, scores, mixed
+
+
+def predict(spark: SparkSession, docs: DataFrame, model: Model) -> DataFrame:
+    """doc_id with lang_pred, score (its proportion) and mixture, a list like ``en:0.91 fr:0.09``."""
     shared = spark.sparkContext.broadcast(model)  # languages x buckets numbers
-    fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
+    kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
-        m = shared.value
         for b in batches:
-            texts, preds, scores, mixed = strings(b, "text"), [], [], []
-            for a, z in text_slices(texts):
-                mix = m.mixtures(texts[a:z])
-                for row in mix:
-                    top = int(row.argmax()) if len(row) else 0
-                    known = len(row) and row[top] > 0
-                    preds.append(m.languages[top] if known else "und")
-                    scores.append(min(1.0, float(row[top])) if known else 0.0)
-                    mixed.append(" ".join(f"{m.languages[i]}:{row[i]:.3f}" for i in np.argsort(-row) if row[i] > 0.0005))
-            yield {c: b.column(c) for c in keep} | {"lang_pred": preds, "score": scores, "mixture": mixed}
-
-    return map_batches(docs.select(*dict.fromkeys([*keep, "text"])), run, f"{fields}, lang_pred string, score double, mixture string")
+            preds, scores, mixed = _columns(shared.value, strings(b, "text"))
+            yield {"doc_id": b.column("doc_id"), "lang_pred": preds, "score": scores, "mixture": mixed}
+
+    return map_batches(docs.select("doc_id", "text"), run, f"doc_id {kind}, lang_pred string, score double, mixture string")
+
+
+def accepted(spark: SparkSession, docs: DataFrame, model: Model, least: float) -> DataFrame:
+    """The rows of ``docs`` in which one language has at least the share ``least``."""
+    shared, names = spark.sparkContext.broadcast(model), docs.columns
+    flat = docs.toDF(*[f"_{k}" for k in range(len(names))])
+    text = f"_{names.index('text')}"
+
+    def run(batches):
+        for b in batches:
+            _, scores, _ = _columns(shared.value, strings(b, text))
+            b = b.filter(pa.array([s >= least and s > 0 for s in scores], pa.bool_()))
+            yield {f: b.column(f) for f in b.schema.names}
+
+    return map_batches(flat, run, flat.schema).toDF(*names)

@@ -74,7 +74,7 @@ def repeated(docs: DataFrame, average: int = AVERAGE, window: int = WINDOW, long
 
 
 def clean(docs: DataFrame, average: int = AVERAGE, window: int = WINDOW, long_words: int = LONG_WORDS) -> DataFrame:
-    """The rows of ``docs`` with ``text`` after removal, and n_chunks and n_dropped."""
+    """The rows of ``docs`` with ``text`` after removal, and n_chunks and n_dropped in place of columns so named."""
     names = docs.columns
     dropped = repeated(docs, average, window, long_words)
 
@@ -102,4 +102,4 @@ def clean(docs: DataFrame, average: int = AVERAGE, window: int = WINDOW, long_wo
 
     counts = [T.StructField("n_chunks", T.IntegerType()), T.StructField("n_dropped", T.IntegerType())]
     out = map_batches(joined.select(*flat.columns, "drop"), cut, T.StructType([*flat.schema, *counts]))
-    return out.select(*[(F.col("_t") if c == "text" else F.col(r)).alias(c) for c, r in zip(names, rest, strict=True)], "n_chunks", "n_dropped")
+    return out.select(*[(F.col("_t") if c == "text" else F.col(r)).alias(c) for c, r in zip(names, rest, strict=True) if c not in ("n_chunks", "n_dropped")], "n_chunks", "n_dropped")
