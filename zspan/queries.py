@@ -23,6 +23,7 @@ from zspan.index.query import candidates, leaf_hits, range_join, starts, with_wi
 from zspan.plans import settle
 from zspan.sources import fixtures
 from zspan.sources.tables import load
+from zspan.streaming import ingest
 from zspan.workloads import hybrid
 from zspan.workloads.windows import SELECTIVITIES, is_bulk, knn_windows
 
@@ -220,6 +221,13 @@ def shrunk(spark: SparkSession, d: str, name: str) -> ZIndex:
     return hybrid.after_deletes(g, config(g.count()))[0]
 
 
+def _hybrid(s, d, read_share):
+    """A short mixed run to its end, then every window on the index it left."""
+    g, w = geoms(s, d, "roads"), windows(s, d, "roads", "1pct")
+    ix, _ = hybrid.hybrid(g, w, config(g.count()), read_share, inserts=3)
+    return range_join(ix, w, "intersects")
+
+
 def _literal(spark, rows, schema):
     return spark.createDataFrame(rows, schema)
 
@@ -302,6 +310,10 @@ def _operators() -> None:
     add("op_tumbling_inserts_day", lambda s, d: load(s, d, "events").groupBy(F.to_date("ts").alias("day")).agg(F.count("*").alias("n")), "SELECT CAST(ts AS DATE) AS day, count(*) AS n FROM events GROUP BY 1")
     add("op_sliding_inserts", lambda s, d: load(s, d, "events").groupBy(F.window("ts", "2 hours", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("started"), "n"), "WITH h AS (SELECT date_trunc('hour', ts) AS h FROM events) SELECT h - to_hours(k) AS started, count(*) AS n FROM h, range(0, 2) t(k) GROUP BY 1")
 
+    add("stream_insert_water", lambda s, d: ingest.drained(s.readStream.schema(load(s, d, "events").schema).option("pathGlobFilter", "events.parquet").parquet(d)).select("geom_id", F.size(F.col("rings")[0]).cast("long").alias("n")), "SELECT user_id * 100 + day(ts) AS geom_id, count(*) AS n FROM events GROUP BY user_id, CAST(ts AS DATE), day(ts) HAVING CAST(ts AS DATE) + 1 <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)")
+    for mix, share in (("read", 0.9), ("write", 0.5)):
+        add(f"hybrid_{mix}_roads", lambda s, d, r=share: _hybrid(s, d, r), o.with_(roads, o.windows("1pct"), o.results("roads", "intersects"), select="SELECT qid, geom_id FROM hits"))
+
     # worked examples
     rows = [(1, 2), (2, 3), (3, 5), (4, 6), (5, 8), (7, 14), (9, 10), (11, 13)]
     values = ", ".join(f"({a}, {b})" for a, b in rows)

@@ -38,13 +38,13 @@ def water(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _lines(water_vertices(load(spark, sf_dir, "events")), ["ts", "event_id"])
 
 
-def water_vertices(events: DataFrame) -> DataFrame:
+def water_vertices(events: DataFrame, *keep: str) -> DataFrame:
     """Each event as a vertex of its user's path of the day; also for streams."""
     k = F.from_json("props", "k long")["k"]
     user = F.col("user_id")
     x = ((user * 7919) % 700) * 1_000_000 + F.round(F.col("value") * 100).cast("long") * 100
     y = ((user * 104729) % 350) * 1_000_000 + k * 10_000
-    return events.select((user * 100 + F.dayofmonth("ts")).alias("geom_id"), "ts", "event_id", x.alias("x"), y.alias("y"))
+    return events.select((user * 100 + F.dayofmonth("ts")).alias("geom_id"), "ts", "event_id", x.alias("x"), y.alias("y"), *keep)
 
 
 def _ring(x: Column, y: Column, s: Column, corners: tuple[tuple[float, float], ...]) -> Column:
