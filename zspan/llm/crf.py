@@ -117,7 +117,7 @@ class Chain:
             weight = np.bincount(text, length, len(texts))
             some = weight > 0
             out[some] = np.bincount(text, length * good, len(texts))[some] / weight[some]
-        return np.clip(out, 0.0, 1.0)
+        return np.clip(np.round(out, 12), 0.0, 1.0)
 
 
 def fit(texts: list[str], labels: np.ndarray, rounds: int = 100, rate: float = 0.1, decay: float = 1e-4) -> Chain:
