@@ -5,7 +5,7 @@
 2. A set becomes a vector of minwise tokens. Each of several runs splits all sets on one sampled token; a bucket that
    is still large is split again, and again, on tokens sampled for its own path. Buckets with the same members count
    once. Small buckets are compared by brute force on the vectors, with a bar far below the threshold; buckets still
-   large at the last level pass whole. Runs are as many as the target recall asks for.
+   large at the last level, or nearly as large as the one above, pass whole. Runs are as many as the target recall asks for.
 3. What passes joins into groups of candidates. In a group all sets are compared exactly, block against block, by
    counting common shingles in a sparse matrix product. So links are counted once, and pairs are never listed: each task
    returns counts and a spanning forest.
@@ -29,13 +29,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from zspan.llm.common import map_batches, parts, strings, written
+from zspan.llm.common import map_batches, parts, strings, text_slices, written
 from zspan.llm.components import components
 
 WORDS, THRESHOLD, RECALL = 5, 0.8, 0.999999
 TOKENS, SMALL, LEVELS, FAN = 64, 256, 3, 3
 #: Shingles in a block of the exact comparison.
-BLOCK_SHINGLES = 1_000_000
+BLOCK_SHINGLES = 250_000
 _WORD = re.compile(r"[^\W_]+")
 _RNG = np.random.default_rng(20)
 _MIX_A = _RNG.integers(1, 2**63, TOKENS, dtype=np.uint64) | np.uint64(1)
@@ -79,7 +79,8 @@ def sets(docs: DataFrame, words: int = WORDS) -> DataFrame:
 
     def run(batches):
         for b in batches:
-            found = shingles(strings(b, "text"), words)
+            texts = strings(b, "text")
+            found = [s for a, z in text_slices(texts) for s in shingles(texts[a:z], words)]
             out = {"doc_id": b.column("doc_id"), "n": [len(s) for s in found]}
             out["set_hash"] = [xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in found]
             out["tokens"] = [minwise(s).tobytes() if len(s) else None for s in found]
@@ -103,7 +104,7 @@ def _keys(level: int, fan: int):
             tokens = np.frombuffer(b"".join(b.column("tokens").to_pylist()), np.uint32).reshape(-1, TOKENS)
             pick = (path + np.uint64(level)) * np.uint64(0xD6E8FEB86659FD93)
             pick ^= pick >> np.uint64(32)
-            out = {"doc_id": [], "bucket": []}
+            out = {"doc_id": [], "bucket": [], "above": []}
             for k in range(fan):  # an odd step, so no token is sampled twice
                 which = ((pick + np.uint64(k) * ((pick >> np.uint64(8)) | np.uint64(1))) % np.uint64(TOKENS)).astype(np.int64)
                 key = (path * np.uint64(0xBF58476D1CE4E5B9)) ^ tokens[np.arange(len(ids)), which].astype(np.uint64) ^ (which.astype(np.uint64) << np.uint64(32)) ^ np.uint64(level << 40)
@@ -111,6 +112,7 @@ def _keys(level: int, fan: int):
                 key ^= key >> np.uint64(31)
                 out["doc_id"] += ids
                 out["bucket"] += key.view(np.int64).tolist()
+                out["above"] += b.column("above").to_pylist()
             yield out
 
     return run
@@ -118,7 +120,7 @@ def _keys(level: int, fan: int):
 
 def _buckets(level: int, nodes: DataFrame, fan: int) -> tuple[DataFrame, DataFrame]:
     """(bucket, doc_id) of all buckets of a level, and the size and a digest of the members of those with two or more."""
-    members = written(map_batches(nodes, _keys(level, fan), "doc_id long, bucket long"), f"members{level}")
+    members = written(map_batches(nodes, _keys(level, fan), "doc_id long, bucket long, above long"), f"members{level}")
     hashed = F.xxhash64("doc_id")
     digest = F.struct(F.bit_xor(hashed), F.sum(hashed.bitwiseAND(F.lit((1 << 40) - 1))))
     return members, members.groupBy("bucket").agg(F.count("*").alias("size"), digest.alias("digest")).where("size > 1")
@@ -161,7 +163,7 @@ def _near(bar: float):
 def candidates(reps: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL, small: int = SMALL, levels: int = LEVELS, fan: int = FAN) -> DataFrame:
     """Edges (u, v) whose components hold every pair that the runs find; reps is (doc_id, tokens)."""
     runs = min(TOKENS, runs_for(recall, threshold, levels, fan))
-    nodes = reps.withColumn("path", F.lit(0).cast("long"))
+    nodes = reps.withColumns({"path": F.lit(0).cast("long"), "above": F.lit(None).cast("long")})
     found: DataFrame | None = None
     bar = max(0.0, threshold - 6 * math.sqrt(threshold * (1 - threshold) / TOKENS))
     for level in range(levels):
@@ -170,11 +172,12 @@ def candidates(reps: DataFrame, threshold: float = THRESHOLD, recall: float = RE
         one = written(members.join(once, "bucket").join(reps, "doc_id"), f"level{level}")
         deal = one.where(F.col("size") <= small).repartition(parts(reps.sparkSession), "bucket").sortWithinPartitions("bucket", "doc_id")
         edges = map_batches(deal.select("bucket", "doc_id", "tokens"), _near(bar), "u long, v long").distinct()
-        large = one.where(F.col("size") > small)
-        if level == levels - 1:
-            edges = edges.unionByName(large.join(large.groupBy("bucket").agg(F.min("doc_id").alias("v")), "bucket").select(F.col("doc_id").alias("u"), "v"))
+        # a large bucket that took most of the one above it is alike throughout, and splitting it more would not help
+        alike = F.lit(level == levels - 1) | F.coalesce(F.col("size") >= threshold * F.col("above"), F.lit(False))
+        whole = one.where((F.col("size") > small) & alike)
+        edges = edges.unionByName(whole.join(whole.groupBy("bucket").agg(F.min("doc_id").alias("v")), "bucket").select(F.col("doc_id").alias("u"), "v"))
         found = edges if found is None else found.unionByName(edges)
-        nodes = large.select("doc_id", "tokens", F.col("bucket").alias("path"))
+        nodes = one.where((F.col("size") > small) & ~alike).select("doc_id", "tokens", F.col("bucket").alias("path"), F.col("size").alias("above"))
     return found
 
 
@@ -260,7 +263,8 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, r
 
     def gather(batches):
         for b in batches:
-            members = [s.tobytes() for s in shingles(strings(b, "text"), words)]
+            texts = strings(b, "text")
+            members = [s.tobytes() for a, z in text_slices(texts) for s in shingles(texts[a:z], words)]
             same = [xxhash.xxh3_128_digest(m) == h for m, h in zip(members, b.column("set_hash").to_pylist(), strict=True)]
             b = b.filter(pa.array(same, pa.bool_()))
             yield {c: b.column(c) for c in ("doc_id", "grp", "blocks", "block")} | {"members": [m for m, x in zip(members, same, strict=True) if x]}
