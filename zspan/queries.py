@@ -19,7 +19,7 @@ from zspan.curve import hilbert, zorder
 from zspan.geometry import text as wkt
 from zspan.index import maintain
 from zspan.index.build import ZIndex, build_index, sort_by_zmin, with_rank
-from zspan.index.query import candidates, leaf_hits, range_join, starts, with_window_interval
+from zspan.index.query import candidates, disjoint, leaf_hits, range_join, starts, with_window_interval
 from zspan.plans import settle
 from zspan.sources import fixtures
 from zspan.sources.tables import load
@@ -224,10 +224,18 @@ def shrunk(spark: SparkSession, d: str, name: str) -> ZIndex:
 def _hybrid(s, d, read_share):
     """A short mixed run to its end, then every window on the index it left."""
     g, w = geoms(s, d, "roads"), windows(s, d, "roads", "1pct")
-    ix, _ = hybrid.hybrid(g, w, config(g.count()), read_share, inserts=3)
+    ix, _ = hybrid.hybrid(g, w, config(g.count()), read_share, inserts=2)
     return range_join(ix, w, "intersects")
 
 
+def _triangles(s, d, rel):
+    """The lower left halves of the tiles as windows that are no rectangles."""
+    w = with_window_interval(fixtures.nation_tiles(s, d).select("qid", "wx0", "wx1", "wy0", "wy1"))
+    p = lambda x, y: F.struct(F.col(x).alias("x"), F.col(y).alias("y"))
+    shaped = w.withColumns({"qkind": F.lit("POLYGON"), "qrings": F.array(F.array(p("wx0", "wy0"), p("wx1", "wy0"), p("wx0", "wy1"), p("wx0", "wy0")))})
+    return range_join(index(s, d, "points"), shaped, rel, QueryOptions(mbr_filter=True), rectangles=False)
+
+
 def _literal(spark, rows, schema):
     return spark.createDataFrame(rows, schema)
 
@@ -314,6 +322,24 @@ def _operators() -> None:
     for mix, share in (("read", 0.9), ("write", 0.5)):
         add(f"hybrid_{mix}_roads", lambda s, d, r=share: _hybrid(s, d, r), o.with_(roads, o.windows("1pct"), o.results("roads", "intersects"), select="SELECT qid, geom_id FROM hits"))
 
+    add("op_join_equi_leaf", lambda s, d: index(s, d, "roads").main.select("geom_id", "leaf_id").join(F.broadcast(index(s, d, "roads").leaves.select("leaf_id", "first_key")), "leaf_id").groupBy("leaf_id", "first_key").agg(F.count("*").alias("n")), o.with_(roads, o.stores(), select="SELECT leaf_id, first_key, n FROM leaves WHERE store = 0"))
+    meets = (F.col("x0") <= F.col("wx1")) & (F.col("x1") >= F.col("wx0")) & (F.col("y0") <= F.col("wy1")) & (F.col("y1") >= F.col("wy0"))
+    add("op_join_semi_boxes", lambda s, d: geoms(s, d, "roads").join(F.broadcast(windows(s, d, "roads", "001pct")), meets, "left_semi").select("geom_id"), o.with_(roads, o.windows("001pct"), select=f"SELECT geom_id FROM boxes b WHERE EXISTS (SELECT 1 FROM windows w WHERE {o._MEET})"))
+    add("op_join_outer_windows", lambda s, d: windows(s, d, "parks", "001pct").select("qid").join(range_join(index(s, d, "parks"), windows(s, d, "parks", "001pct"), "contains"), "qid", "left").groupBy("qid").agg(F.count("geom_id").alias("hits")), o.with_(parks, o.windows("001pct"), o.results("parks", "contains"), select="SELECT w.qid, count(geom_id) AS hits FROM windows w LEFT JOIN hits USING (qid) GROUP BY w.qid"))
+    add("op_join_nlj_scan", lambda s, d: trees.scan(geoms(s, d, "water"), fixtures.nation_tiles(s, d), "contains").groupBy("qid").agg(F.count("*").alias("hits")), o.with_(o.geoms("water"), o.TILES, o.results("water", "contains"), select="SELECT qid, count(*) AS hits FROM hits GROUP BY qid"))
+
+    def sets_of(s, d):
+        geoms(s, d, "roads").select("kind", (F.col("zlen") % 7).alias("seventh")).createOrReplaceTempView("zspan_kinds")
+        return s.sql("SELECT kind, seventh, count(*) AS n FROM zspan_kinds GROUP BY GROUPING SETS ((kind), (seventh), ())")
+
+    add("op_grouping_sets_kind", sets_of, o.with_(roads, "k AS (SELECT zlen % 7 AS seventh, CASE WHEN (SELECT count(*) FROM verts v WHERE v.geom_id = b.geom_id) = 1 THEN 'POINT' ELSE 'LINESTRING' END AS kind FROM boxes b)", select="SELECT kind, seventh, count(*) AS n FROM k GROUP BY GROUPING SETS ((kind), (seventh), ())"))
+    cell_sizes = (1, 20, 2000)
+    add("op_count_distinct_zmin_by_cell", lambda s, d: geoms(s, d, "roads").agg(*[F.countDistinct(zorder.z_address(zorder.cell_of_units(F.col("x0"), u), zorder.cell_of_units(F.col("y0"), u))).alias(f"codes_{u}") for u in cell_sizes]), o.with_(roads, select="SELECT " + ", ".join(f"count(DISTINCT {o.z(f'(x0 // {u})', f'(y0 // {u})')}) AS codes_{u}" for u in cell_sizes) + " FROM boxes"))
+    add("op_disjoint_tiles_parks", lambda s, d: disjoint(geoms(s, d, "parks"), index(s, d, "parks"), fixtures.nation_tiles(s, d).select("qid", "wx0", "wx1", "wy0", "wy1")).groupBy("qid").agg(F.count("*").alias("apart")), o.with_(parks, o.TILES, o.results("parks", "intersects"), "i AS (SELECT qid, count(*) AS n FROM hits GROUP BY qid)", select="SELECT w.qid, (SELECT count(*) FROM boxes) - coalesce(i.n, 0) AS apart FROM windows w LEFT JOIN i USING (qid)"))
+    for rel, sign in (("contains", "<"), ("intersects", "<=")):
+        near = "x0 > wx0 AND y0 > wy0" if rel == "contains" else "x0 >= wx0 AND y0 >= wy0"
+        add(f"op_triangle_windows_{rel}", lambda s, d, r=rel: _triangles(s, d, r), o.with_(o.geoms("points"), o.TILES, select=f"SELECT qid, geom_id FROM windows, boxes WHERE {near} AND (x0 - wx0) * (wy1 - wy0) + (y0 - wy0) * (wx1 - wx0) {sign} (wx1 - wx0) * (wy1 - wy0)"))
+
     # worked examples
     rows = [(1, 2), (2, 3), (3, 5), (4, 6), (5, 8), (7, 14), (9, 10), (11, 13)]
     values = ", ".join(f"({a}, {b})" for a, b in rows)
