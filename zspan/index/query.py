@@ -25,7 +25,7 @@ def with_window_interval(windows: DataFrame) -> DataFrame:
     return windows.withColumns({"zlo": z_address(F.col("wx0"), F.col("wy0")), "zhi": z_address(F.col("wx1"), F.col("wy1"))})
 
 
-def _boxes_meet(a: str = "") -> F.Column:
+def boxes_meet(a: str = "") -> F.Column:
     return (F.col(a + "x0") <= F.col("wx1")) & (F.col(a + "x1") >= F.col("wx0")) & (F.col(a + "y0") <= F.col("wy1")) & (F.col(a + "y1") >= F.col("wy0"))
 
 
@@ -45,7 +45,7 @@ def leaf_hits(leaves: DataFrame, windows: DataFrame, leaf_skip: bool = True) ->
     """Windows with the leaves that they must read: a range join of two small tables."""
     near = (F.col("first_key") <= F.col("zhi")) & (F.col("last_key") >= F.col("zstart"))
     dir_ = leaves.select("leaf_id", "first_key", "last_key", "x0", "y0", "x1", "y1")
-    hit = F.broadcast(windows).join(dir_, near & _boxes_meet() if leaf_skip else near)
+    hit = F.broadcast(windows).join(dir_, near & boxes_meet() if leaf_skip else near)
     return hit.drop("first_key", "last_key", "x0", "y0", "x1", "y1")
 
 
@@ -55,7 +55,7 @@ def candidates(ix: ZIndex, windows: DataFrame, rel: str, options: QueryOptions =
     for rows, leaves, own in starts(ix, windows, rel):
         hits = leaf_hits(leaves, own, options.leaf_skip)
         found = rows.join(small(hits, 100_000), "leaf_id").where(F.col("zmin").between(F.col("zstart"), F.col("zhi")))
-        found = found.where(_boxes_meet()) if options.mbr_filter else found
+        found = found.where(boxes_meet()) if options.mbr_filter else found
         out = found if out is None else out.unionByName(found)
     if ix.tombstones is not None:
         out = out.join(ix.tombstones, ["geom_id", "zmin"], "left_anti")
@@ -68,7 +68,7 @@ def refine(found: DataFrame, rel: str, rectangles: bool = True) -> DataFrame:
         return predicates.refine_general(found, rel)
     if rel == "contains":
         return found.where(predicates.contains_rect(F.col("rings"), F.col("kind"), F.col("x0"), F.col("x1"), F.col("y0"), F.col("y1"), *w))
-    return found.where(_boxes_meet()).where(predicates.intersects_rect(F.col("rings"), F.col("kind"), *w))
+    return found.where(boxes_meet()).where(predicates.intersects_rect(F.col("rings"), F.col("kind"), *w))
 
 
 def range_join(ix: ZIndex, windows: DataFrame, rel: str, options: QueryOptions = DEFAULT, rectangles: bool = True) -> DataFrame:

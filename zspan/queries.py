@@ -19,7 +19,7 @@ from zspan.curve import hilbert, zorder
 from zspan.geometry import text as wkt
 from zspan.index import maintain
 from zspan.index.build import ZIndex, build_index, sort_by_zmin, with_rank
-from zspan.index.query import candidates, disjoint, leaf_hits, range_join, starts, with_window_interval
+from zspan.index.query import boxes_meet, candidates, disjoint, leaf_hits, range_join, starts, with_window_interval
 from zspan.plans import settle
 from zspan.sources import fixtures
 from zspan.sources.tables import load
@@ -109,7 +109,8 @@ def _define() -> None:
                 for method in ("btree", "spline", "adaptive", "rtree", "quadtree", "zonemap", "grid", "scan") if sel == "01pct" else ():
                     add(f"{rel}_{name}_{sel}_{method}", _answer(method, name, sel, rel), sql)
                 add(f"checked_{rel}_{name}_{sel}", lambda s, d, n=name, x=sel, r=rel: metrics.records_checked(index(s, d, n), windows(s, d, n, x), r), o.with_(g, w, o.stores(), o.starting(rel), o.checked(rel), select="SELECT qid, checked FROM seen"))
-                add(f"leafskip_{rel}_{name}_{sel}", lambda s, d, n=name, x=sel, r=rel: _leafskip(s, d, n, x, r), o.with_(g, w, o.stores(), o.starting(rel), o.checked(rel), o.checked(rel, False), select="SELECT qid, a.checked AS without_skip, s.checked AS with_skip FROM seen s JOIN seen_all a USING (qid)"))
+                if rel == "contains":
+                    add(f"leafskip_{rel}_{name}_{sel}", lambda s, d, n=name, x=sel, r=rel: _leafskip(s, d, n, x, r), o.with_(g, w, o.stores(), o.starting(rel), o.checked(rel), o.checked(rel, False), select="SELECT qid, a.checked AS without_skip, s.checked AS with_skip FROM seen s JOIN seen_all a USING (qid)"))
         for rel in ("contains", "intersects"):
             w = o.windows("01pct")
             hits = o.with_(g, w, o.stores(), o.starting(rel), o.checked(rel), o.results(name, rel), select="""SELECT s.qid, checked, count(h.geom_id) AS results, checked - count(h.geom_id) AS false_positives FROM seen s LEFT JOIN hits h ON h.qid = s.qid GROUP BY s.qid, checked""")
@@ -323,8 +324,7 @@ def _operators() -> None:
         add(f"hybrid_{mix}_roads", lambda s, d, r=share: _hybrid(s, d, r), o.with_(roads, o.windows("1pct"), o.results("roads", "intersects"), select="SELECT qid, geom_id FROM hits"))
 
     add("op_join_equi_leaf", lambda s, d: index(s, d, "roads").main.select("geom_id", "leaf_id").join(F.broadcast(index(s, d, "roads").leaves.select("leaf_id", "first_key")), "leaf_id").groupBy("leaf_id", "first_key").agg(F.count("*").alias("n")), o.with_(roads, o.stores(), select="SELECT leaf_id, first_key, n FROM leaves WHERE store = 0"))
-    meets = (F.col("x0") <= F.col("wx1")) & (F.col("x1") >= F.col("wx0")) & (F.col("y0") <= F.col("wy1")) & (F.col("y1") >= F.col("wy0"))
-    add("op_join_semi_boxes", lambda s, d: geoms(s, d, "roads").join(F.broadcast(windows(s, d, "roads", "001pct")), meets, "left_semi").select("geom_id"), o.with_(roads, o.windows("001pct"), select=f"SELECT geom_id FROM boxes b WHERE EXISTS (SELECT 1 FROM windows w WHERE {o._MEET})"))
+    add("op_join_semi_boxes", lambda s, d: geoms(s, d, "roads").join(F.broadcast(windows(s, d, "roads", "001pct")), boxes_meet(), "left_semi").select("geom_id"), o.with_(roads, o.windows("001pct"), select=f"SELECT geom_id FROM boxes b WHERE EXISTS (SELECT 1 FROM windows w WHERE {o._MEET})"))
     add("op_join_outer_windows", lambda s, d: windows(s, d, "parks", "001pct").select("qid").join(range_join(index(s, d, "parks"), windows(s, d, "parks", "001pct"), "contains"), "qid", "left").groupBy("qid").agg(F.count("geom_id").alias("hits")), o.with_(parks, o.windows("001pct"), o.results("parks", "contains"), select="SELECT w.qid, count(geom_id) AS hits FROM windows w LEFT JOIN hits USING (qid) GROUP BY w.qid"))
     add("op_join_nlj_scan", lambda s, d: trees.scan(geoms(s, d, "water"), fixtures.nation_tiles(s, d), "contains").groupBy("qid").agg(F.count("*").alias("hits")), o.with_(o.geoms("water"), o.TILES, o.results("water", "contains"), select="SELECT qid, count(*) AS hits FROM hits GROUP BY qid"))
 
