@@ -12,6 +12,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from zspan.curve.zorder import z_decode
+from zspan.index.build import with_rank
 from zspan.index.query import refine, with_window_interval
 from zspan.plans import settle
 
@@ -38,9 +39,8 @@ def rtree(geoms: DataFrame, cap: int = 16) -> list[DataFrame]:
     slices = max(1, math.ceil(math.sqrt(math.ceil(n / cap))))
     per = max(1, math.ceil(n / slices))
     cx, cy = F.col("x0") + F.col("x1"), F.col("y0") + F.col("y1")
-    # equal counts by range partitions would do at scale; ranks keep the packing exact
-    strip = F.floor((F.row_number().over(W.orderBy(cx, "geom_id")) - 1) / per)
-    tiled = geoms.withColumn("strip", strip)
+    across = geoms.withColumn("_cx", cx).repartitionByRange("_cx", "geom_id").sortWithinPartitions("_cx", "geom_id")
+    tiled = with_rank(across).withColumn("strip", F.floor(F.col("rank") / per)).drop("_cx", "rank")
     nth = F.row_number().over(W.partitionBy("strip").orderBy(cy, "geom_id")) - 1
     width = math.ceil(per / cap)
     level = settle(tiled.withColumn("node", (F.col("strip") * width + F.floor(nth / cap)).cast("long")).drop("strip"))

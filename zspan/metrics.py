@@ -6,11 +6,10 @@ import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from zspan.config import QueryOptions
-from zspan.index.build import ZIndex
+from zspan.index.build import ZIndex, with_rank
 from zspan.index.query import candidates, leaf_hits, range_join, starts, with_window_interval
 
 # Dollars per GB-month of storage, per hour of memory, per GB moved, by tier.
@@ -86,8 +85,7 @@ def cdf(df: DataFrame, col: str, points: int = 1000) -> DataFrame:
 def cdf_exact(df: DataFrame, col: str, points: int = 100) -> DataFrame:
     """(nth, value) at ranks ceil(nth * N / points), nth from 1."""
     n = df.count()
-    order = W.orderBy(col)  # for figures over sets that fit one task; cdf() is for the rest
-    ranked = df.select(col).withColumn("r", F.row_number().over(order))
+    ranked = with_rank(df.select(col).repartitionByRange(col).sortWithinPartitions(col)).withColumn("r", F.col("rank") + 1)
     marks = df.sparkSession.createDataFrame([(i, -(-i * n // points)) for i in range(1, points + 1)], "nth long, r long")
     return ranked.join(F.broadcast(marks), "r").select("nth", F.col(col).alias("value"))
 

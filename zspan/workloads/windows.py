@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from zspan.index.build import with_rank
+
 #: Share of the set that a window's neighbours make, as a fraction of whole numbers.
 SELECTIVITIES = {"1pct": (1, 100), "01pct": (1, 1000), "001pct": (1, 10000)}
 
@@ -19,7 +21,7 @@ def knn_windows(geoms: DataFrame, sel: str, n: int = 100) -> DataFrame:
     boxes = geoms.select("geom_id", "x0", "y0", "x1", "y1")
     total = boxes.count()
     k = max(1, -(-total * num // den))
-    ranked = boxes.withColumn("rn", F.row_number().over(W.orderBy("geom_id")) - 1)
+    ranked = with_rank(boxes.repartitionByRange("geom_id").sortWithinPartitions("geom_id")).withColumnRenamed("rank", "rn")
     wanted = [(i, i * total // n) for i in range(n)]
     seeds = ranked.join(F.broadcast(boxes.sparkSession.createDataFrame(wanted, "qid long, rn long")), "rn").select("qid", *[F.col(c).alias("s" + c) for c in ("x0", "y0", "x1", "y1")])
     gap = lambda a0, a1, b0, b1: F.greatest(F.lit(0).cast("long"), F.col(a0) - F.col(b1), F.col(b0) - F.col(a1))
