@@ -67,7 +67,8 @@ def repeated(docs: DataFrame, average: int = AVERAGE, window: int = WINDOW, long
     # One narrow pass finds the hashes that occur twice; only their chunks travel for the comparison of bytes.
     keys = written(found.select("doc_id", "text_hash", "nth", "hash"), "chunks")
     twice = written(keys.groupBy("hash").agg(F.count("*").alias("n")).where("n > 1").select("hash"), "twice")
-    same = written(found.join(twice, "hash", "left_semi"), "same")
+    # the same plan at every size: whether the hashes would fit a broadcast depends on the data
+    same = written(found.join(twice.hint("merge"), "hash", "left_semi"), "same")
     first = same.groupBy("hash", "bytes").agg(F.min(F.struct("doc_id", "text_hash", "nth")).alias("first"), F.count("*").alias("n")).where("n > 1")
     later = same.join(first, ["hash", "bytes"]).where(~F.struct("doc_id", "text_hash", "nth").eqNullSafe(F.col("first")))
     return later.groupBy("doc_id", "text_hash").agg(F.collect_set("nth").alias("drop"))
