@@ -178,3 +178,16 @@ def test_text_and_binary(spark):
 def test_plan_prunes_columns(spark):
     plan = q.load(spark, SF, "orders").select("o_orderkey").where("o_orderkey > 5")._jdf.queryExecution().toString()
     assert "PushedFilters: [IsNotNull(o_orderkey), GreaterThan(o_orderkey,5)]" in plan and "ReadSchema: struct<o_orderkey:bigint>" in plan
+
+
+def test_data_source_reads_only_keys_in_range(spark, tmp_path):
+    from zspan.sources import datasource
+
+    path = str(tmp_path / "ix")
+    ix = q.index(spark, SF, "parks")
+    storage.save(ix, path)
+    datasource.register(spark)
+    mid = sorted(r["zmin"] for r in ix.main.select("zmin").collect())[100]
+    got = spark.read.format("zspan").option("path", path).option("zlo", mid).load()
+    assert {r["geom_id"] for r in got.select("geom_id").collect()} == {r["geom_id"] for r in ix.main.where(F.col("zmin") >= mid).select("geom_id").collect()}
+    assert datasource.ZspanReader({"path": path, "zlo": str(1 << 62)}, datasource.SCHEMA).partitions() == []

@@ -67,4 +67,5 @@ class ZspanReader(DataSourceReader):
 
 
 def register(spark: SparkSession) -> None:
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")  # the reader narrows its files by filters
     spark.dataSource.register(ZspanSource)
