@@ -10,14 +10,12 @@ from zspan.llm import jaccard, langid, linededup, packing, secret_scan
 from zspan.llm.common import is_held_out, written
 
 VOCABULARY = public_tokenizers.path("byte_bpe_50k.json")
-#: The least share of its main language that a document must have.
-LEAST_SHARE = 0.5
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents without a letter and those in which no language holds half."""
+    """Drops documents without a letter and those that no mixture of the learned languages explains."""
     model = langid.learn(docs.where(~is_held_out(F.col("doc_id"))).select("doc_id", "text", "lang"))
-    return langid.accepted(spark, docs, model, LEAST_SHARE)
+    return langid.accepted(spark, docs, model)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

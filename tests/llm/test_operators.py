@@ -96,8 +96,9 @@ def test_language_mixtures(spark):
     assert all((odd[i]["lang_pred"], odd[i]["score"]) == ("und", 0.0) for i in range(4)) and odd[7][1:] == odd[8][1:]
     empty = langid.learn(docs.limit(0))
     assert langid.predict(spark, docs_of(spark, ["text"]), empty).first()["lang_pred"] == "und"
-    kept = langid.accepted(spark, docs_of(spark, ODD, score=3.0), model, 0.5)
-    assert kept.columns[-1] == "score" and {r["doc_id"] for r in kept.collect()}.isdisjoint({0, 1, 2, 3})
+    texts = [*ODD[:4], "\u4f60\u597d\u4e16\u754c " * 60, de + "\n" + fr, de[:60]]
+    kept = langid.accepted(spark, docs_of(spark, texts, score=3.0), model)
+    assert kept.columns[-1] == "score" and {r["doc_id"] for r in kept.collect()} == {5, 6}
 
 
 # --- 4

@@ -71,12 +71,16 @@ class Model:
             mix = mix * np.add.reduceat(p * share[:, None], starts, axis=0) / total
         return mix, np.add.reduceat(n * np.log(np.maximum((p * mix[docs]).sum(1), 1e-300)), starts)
 
-    def mixtures(self, texts: list[str], rounds: int = 6, more: int = 20) -> np.ndarray:
+    def mixtures(self, texts: list[str]) -> np.ndarray:
         """Language proportions of each text; zeros where it has no letter."""
-        out = np.zeros((len(texts), len(self.languages)))
+        return self.explain(texts)[0]
+
+    def explain(self, texts: list[str], rounds: int = 6, more: int = 20) -> tuple[np.ndarray, np.ndarray]:
+        """Language proportions of each text and the mean log-likelihood of its trigrams under them."""
+        out, mean = np.zeros((len(texts), len(self.languages))), np.full(len(texts), -np.inf)
         text, gram, n = trigram_counts(texts)
         if not len(text) or not self.languages:
-            return out
+            return out, mean
         starts = np.flatnonzero(np.r_[True, text[1:] != text[:-1]])
         docs = np.cumsum(np.r_[0, text[1:] != text[:-1]])
         which, n = text[starts], n.astype(np.float64)
@@ -103,8 +107,8 @@ class Model:
             won = better - fit[live] > cost[live]
             live, new, better, trial = live[won], new[won], better[won], trial[won]
             chosen[live], mix[live], fit[live] = trial, new, better
-        out[which] = mix
-        return out
+        out[which], mean[which] = mix, fit / np.add.reduceat(n, starts)
+        return out, mean
 
 
 def learn(labelled: DataFrame, sample: int = SAMPLE, buckets: int = BUCKETS) -> Model:
@@ -161,16 +165,20 @@ def predict(spark: SparkSession, docs: DataFrame, model: Model) -> DataFrame:
     return map_batches(docs.select("doc_id", "text"), run, f"doc_id {kind}, lang_pred string, score double, mixture string")
 
 
-def accepted(spark: SparkSession, docs: DataFrame, model: Model, least: float) -> DataFrame:
-    """The rows of ``docs`` in which one language has at least the share ``least``."""
+def accepted(spark: SparkSession, docs: DataFrame, model: Model) -> DataFrame:
+    """The rows of ``docs`` that the learned languages explain, alone or mixed, better than even chances would.
+
+    Texts without a letter and texts in other languages or of noise go; mixtures of learned languages stay.
+    """
     shared, names = spark.sparkContext.broadcast(model), docs.columns
     flat = docs.toDF(*[f"_{k}" for k in range(len(names))])
-    text = f"_{names.index('text')}"
+    text, least = f"_{names.index('text')}", -float(np.log(len(model.p)))
 
     def run(batches):
         for b in batches:
-            _, scores, _ = _columns(shared.value, strings(b, text))
-            b = b.filter(pa.array([s >= least and s > 0 for s in scores], pa.bool_()))
+            texts = strings(b, text)
+            fits = [x > least for a, z in text_slices(texts) for x in shared.value.explain(texts[a:z])[1]]
+            b = b.filter(pa.array(fits, pa.bool_()))
             yield {f: b.column(f) for f in b.schema.names}
 
     return map_batches(flat, run, flat.schema).toDF(*names)
