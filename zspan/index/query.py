@@ -55,7 +55,7 @@ def candidates(ix: ZIndex, windows: DataFrame, rel: str, options: QueryOptions =
     for rows, leaves, own in starts(ix, windows, rel):
         hits = leaf_hits(leaves, own, options.leaf_skip)
         found = rows.join(small(hits, 100_000), "leaf_id").where(F.col("zmin").between(F.col("zstart"), F.col("zhi")))
-        found = found.where(boxes_meet()) if options.mbr_filter else found
+        found = (found.where(boxes_meet()) if options.mbr_filter else found).drop("leaf_band")  # a stored index's folder column
         out = found if out is None else out.unionByName(found)
     if ix.tombstones is not None:
         out = out.join(ix.tombstones, ["geom_id", "zmin"], "left_anti")
@@ -119,6 +119,7 @@ def range_query(ix: ZIndex, window: tuple[int, int, int, int], rel: str, options
         p = plan_leaves(ix, window, rel, store)
         own = rows.where(F.col("zmin").between(p.zstart, p.zhi))
         own = own.where(F.col("leaf_id").isin(*p.leaf_ids)) if options.leaf_skip and p.leaf_ids else own.where(F.lit(not options.leaf_skip))
+        own = own.drop("leaf_band")
         out = own if out is None else out.unionByName(own)
     if ix.tombstones is not None:
         out = out.join(ix.tombstones, ["geom_id", "zmin"], "left_anti")
