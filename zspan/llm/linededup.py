@@ -69,8 +69,9 @@ def repeated(docs: DataFrame, average: int = AVERAGE, window: int = WINDOW, long
     twice = written(keys.groupBy("hash").agg(F.count("*").alias("n")).where("n > 1").select("hash"), "twice")
     # the same plan at every size: whether the hashes would fit a broadcast depends on the data
     same = written(found.join(twice.hint("merge"), "hash", "left_semi"), "same")
-    first = same.groupBy("hash", "bytes").agg(F.min(F.struct("doc_id", "text_hash", "nth")).alias("first"), F.count("*").alias("n")).where("n > 1")
-    later = same.join(first, ["hash", "bytes"]).where(~F.struct("doc_id", "text_hash", "nth").eqNullSafe(F.col("first")))
+    # written, so that both sides of the next join are dealt anew and a hot chunk's occurrences can be split
+    first = written(same.groupBy("hash", "bytes").agg(F.min(F.struct("doc_id", "text_hash", "nth")).alias("first"), F.count("*").alias("n")).where("n > 1"), "first")
+    later = same.join(first.hint("merge"), ["hash", "bytes"]).where(~F.struct("doc_id", "text_hash", "nth").eqNullSafe(F.col("first")))
     return later.groupBy("doc_id", "text_hash").agg(F.collect_set("nth").alias("drop"))
 
 
