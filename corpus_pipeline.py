@@ -18,13 +18,18 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return langid.accepted(spark, docs, model)
 
 
-def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Removes repeated runs of lines, and documents that held nothing else."""
-    found = linededup.clean(docs)
+def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str, passages: bool = False) -> DataFrame:
+    """Removes repeated chunks of lines, with ``passages`` all repeated passages too, and documents that held nothing else."""
+    found = linededup.clean(docs, passages=passages)
     left = (F.col("n_dropped") == 0) | (F.length(F.trim("text")) > 0)
     return found.where(left).withColumn("n_chars", F.when(F.col("n_dropped") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)).select(docs.columns)
 
 
+def whole_line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Removes repeated runs of lines, and documents that held nothing else."""
+    return line_dedup(spark, docs, sf_dir, passages=True)
+
+
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the document with the least doc_id of each class of near duplicates."""
     return jaccard.keep_one(docs)
@@ -42,7 +47,7 @@ def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 STAGES = [
     ("language ID", language_id),
-    ("line dedup", line_dedup),
+    ("line dedup", whole_line_dedup),
     ("n-gram Jaccard join", near_duplicates),
     ("secret scans", secrets),
     ("best-fit packing", best_fit_packing),

@@ -157,6 +157,35 @@ def test_line_dedup(spark):
     assert linededup.clean(docs.union(docs)).where("doc_id = 9").count() == 2
 
 
+def runs_over(lines, words=50):
+    return {(a, b): "\n".join(lines[a:b]).strip() for a in range(len(lines)) for b in range(a + 1, len(lines) + 1) if sum(len(x.split()) for x in lines[a:b]) > words}
+
+
+def test_line_dedup_drops_every_repeated_passage(spark):
+    r = random.Random(5)
+    planted = [[prose(1000 + 10 * k + i, n // size + 1) for i in range(size)] for k, (size, n) in enumerate([(1, 51), (1, 90), (2, 52), (2, 80), (3, 60), (4, 55), (5, 70), (8, 64)] * 3)]
+    for p in planted[::4]:
+        p.insert(r.randint(0, len(p) - 1), "")
+    fifty = prose(3000, 50)
+    texts = []
+    for k in range(3):
+        for j, p in enumerate(planted):
+            at = 4000 + 1000 * k + 10 * j
+            texts.append("\n".join([*[prose(at + i, r.randint(2, 12)) for i in range(r.randint(1, 4))], *p, *[prose(at + 5 + i, r.randint(2, 12)) for i in range(r.randint(1, 4))], *[fifty][: j == 0]]))
+    texts.append("\n".join([prose(8000, 60)] * 4))
+    got = {x["doc_id"]: x for x in linededup.clean(docs_of(spark, texts), passages=True).collect()}
+    seen, gone = set(), 0
+    for i, t in enumerate(texts[:-1]):
+        lines = t.split("\n")
+        runs = runs_over(lines)
+        lost = {k for (a, b), x in runs.items() if x in seen for k in range(a, b) if lines[k].strip()}
+        seen |= set(runs.values())
+        gone += bool(lost)
+        assert [x for x in got[i]["text"].split("\n") if x.strip()] == [x for k, x in enumerate(lines) if x.strip() and k not in lost]
+        assert (got[i]["n_dropped"] > 0) == bool(lost)
+    assert gone == 2 * len(planted) and got[len(texts) - 1]["text"] == prose(8000, 60) + "\n"
+
+
 # --- 7
 def test_bpe(spark):
     path = P.path("byte_bpe_multi_50k.tiktoken")

@@ -3,7 +3,7 @@ from collections import Counter
 import numpy as np
 
 import corpus_pipeline as p
-from tests.llm.test_operators import brute_classes
+from tests.llm.test_operators import brute_classes, runs_over
 from zspan.llm import linededup
 
 SF = "/root/testdata/sf0.001"
@@ -48,3 +48,17 @@ def test_stages(spark):
     for r in last.collect():
         used[r["sequence_id"]] += r["length"]
     assert max(used.values()) <= 2048 and np.mean(list(used.values())) > 1900
+
+
+def test_line_dedup_stage_leaves_no_repeated_passage(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    texts, seen, want = {r["doc_id"]: r["text"] for r in docs.collect()}, set(), {}
+    for i in sorted(texts):
+        lines = texts[i].split("\n")
+        runs = runs_over(lines)
+        lost = {k for (a, b), x in runs.items() if x in seen for k in range(a, b)}
+        seen |= set(runs.values())
+        want[i] = Counter(x for k, x in enumerate(lines) if k not in lost and x.strip())
+    got = {r["doc_id"]: Counter(x for x in r["text"].split("\n") if x.strip()) for r in dict(p.STAGES)["line dedup"](spark, docs, SF).collect()}
+    assert all(not got.get(i, Counter()) - want[i] for i in texts)
+    assert {x.strip() for c in got.values() for x in c} == {x.strip() for t in texts.values() for x in t.split("\n") if x.strip()}  # nothing goes everywhere

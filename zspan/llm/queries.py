@@ -40,7 +40,7 @@ def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = linededup.clean(_table(spark, sf_dir, "documents"))
+    found = linededup.clean(_table(spark, sf_dir, "documents"), passages=True)
     return found.select("doc_id", "n_chunks", "n_dropped", F.length("text").cast("long").alias("n_chars_left"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
 
 
