@@ -136,6 +136,30 @@ def test_secrets(spark):
     assert ((forest.predict(x) >= 0.5) == np.array([r[3] for r in rows])).mean() > 0.95
 
 
+def test_secrets_with_punctuation():
+    class All:
+        def predict(self, x):
+            return np.ones(len(x))
+
+    for text, value in (
+        ("password=hunter2secret99!A$b and on", "hunter2secret99!A$b"),
+        ("password: aB3$kd93jfJ29dk3kf93 next words", "aB3$kd93jfJ29dk3kf93"),
+        ("token = 'x!0641917ea4e9feb9cda8!3477b57ac2654884f485?' there", "x!0641917ea4e9feb9cda8!3477b57ac2654884f485?"),
+        ("secret=token=0641917ea4e9feb9cda8", "token=0641917ea4e9feb9cda8"),
+    ):
+        (a, b, _), *more = secret_scan.scan([text], All(), frozenset())[0]
+        assert text[a:b] == value and not more
+
+
+def test_redacts_password_with_punctuation(spark):
+    forest = secret_scan.train(VOCAB)
+    texts = ["we set password=hunter2secret99!A$b and go on", "we set password: aB3$kd93jfJ29dk3kf93 next words stay"]
+    ends = "we set password=0641917ea4e9feb9cda8"
+    assert secret_scan.scan([ends + "."], forest, secret_scan.dictionary(VOCAB))[0][0][2] >= secret_scan.scan([ends], forest, secret_scan.dictionary(VOCAB))[0][0][2] - 0.1
+    got = {r["doc_id"]: r["text"] for r in secret_scan.redact(docs_of(spark, texts), forest, VOCAB).collect()}
+    assert got == {0: "we set password=[secret] and go on", 1: "we set password: [secret] next words stay"}
+
+
 # --- 6
 def test_line_dedup(spark):
     block = "\n".join(prose(900 + i, 9) for i in range(12))

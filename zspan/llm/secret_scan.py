@@ -43,12 +43,15 @@ def dictionary(path: str) -> frozenset[str]:
     return _WORDS[path]
 
 
-def candidates_in(text: str) -> list[tuple[int, int]]:
-    spans = {m.span() for m in _RUN.finditer(text)}
-    for m in _NAMED.finditer(text):
-        if not any(a <= m.start(1) < b for a, b in spans):
-            spans.add(m.span(1))
-    return sorted(spans)
+def candidates_in(text: str) -> list[tuple[int, int, list[tuple[int, int]]]]:
+    """(start, end, members) in order; candidates that overlap are one, so that no part of a value is left or cut twice."""
+    out: list[tuple[int, int, list[tuple[int, int]]]] = []
+    for a, b in sorted({*(m.span() for m in _RUN.finditer(text)), *(m.span(1) for m in _NAMED.finditer(text))}):
+        if out and a < out[-1][1]:
+            out[-1] = out[-1][0], max(b, out[-1][1]), [*out[-1][2], (a, b)]
+        else:
+            out.append((a, b, [(a, b)]))
+    return out
 
 
 def measures(before: str, value: str, after: str, words: frozenset[str]) -> list[float]:
@@ -176,11 +179,11 @@ def train(vocabulary: str, findings: list[tuple[str, str, str, int]] | None = No
 
 
 def scan(texts: list[str], forest: Forest, words: frozenset[str]) -> list[list[tuple[int, int, float]]]:
-    """(start, end, score) of every candidate of each text."""
-    spans = [candidates_in(t) for t in texts]
-    x = [measures(t[max(0, a - NEAR) : a], t[a:b], t[b : b + NEAR], words) for t, found in zip(texts, spans, strict=True) for a, b in found]
+    """(start, end, score) of every candidate of each text; overlapping ones score as the best of them and their union."""
+    spans = [[(a, b, sorted({(a, b), *members})) for a, b, members in candidates_in(t)] for t in texts]
+    x = [measures(t[max(0, a - NEAR) : a], t[a:b], t[b : b + NEAR], words) for t, found in zip(texts, spans, strict=True) for _, _, members in found for a, b in members]
     score = iter(forest.predict(np.array(x)).tolist() if x else [])
-    return [[(a, b, next(score)) for a, b in found] for found in spans]
+    return [[(a, b, max([next(score) for _ in members])) for a, b, members in found] for found in spans]
 
 
 def findings(docs: DataFrame, forest: Forest, vocabulary: str, bar: float = 0.5) -> DataFrame:
