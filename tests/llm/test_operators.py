@@ -80,6 +80,12 @@ def test_packing(spark):
     assert packing.pack(docs_of(spark, []), VOCAB).count() == 0
 
 
+def test_packing_encodes_added_tokens_as_the_library():
+    tok, encode = Tokenizer.from_file(VOCAB), packing.encoder(VOCAB)
+    for t in ("<|endoftext|>", "one <|endoftext|> two", "a<|endoftext|><|endoftext|>\n b", " <|endoftext|>  x", "<|endoftext| >", "<<|endoftext|>>", "é<|endoftext|>漢", "none", ""):
+        assert np.frombuffer(encode(t), np.uint32).tolist() == tok.encode(t, add_special_tokens=False).ids
+
+
 # --- 3
 def test_language_mixtures(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")

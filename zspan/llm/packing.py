@@ -11,9 +11,11 @@ Null text counts as empty: one end token. Repeated rows are packed once each. An
 from __future__ import annotations
 
 import json
+import re
 import zlib
 from array import array
 from collections import Counter, defaultdict
+from collections.abc import Callable
 
 import tiktoken
 from pyspark import TaskContext
@@ -28,7 +30,7 @@ from zspan.llm.common import map_batches, strings, written
 SEQUENCE = 2048
 #: The split of byte-level vocabularies of this family.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-_ENCODERS: dict[str, ChunkEncoder] = {}
+_ENCODERS: dict[str, Callable[[str], bytes]] = {}
 
 
 def _byte_of_char() -> dict[str, int]:
@@ -38,15 +40,24 @@ def _byte_of_char() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(other)}
 
 
-def encoder(path: str) -> ChunkEncoder:
-    """Encodes as ``tokenizers`` would with this byte-level vocabulary file, special tokens' strings being ordinary."""
+def encoder(path: str) -> Callable[[str], bytes]:
+    """Encodes as ``tokenizers`` does with this byte-level vocabulary file; its added tokens' strings give their ids."""
     if path not in _ENCODERS:
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        if any(t[k] for t in spec["added_tokens"] for k in ("lstrip", "rstrip", "single_word")):
+            raise ValueError("added tokens that take in their surroundings are not supported")
         back, special = _byte_of_char(), {t["content"] for t in spec["added_tokens"] if t["special"]}
         ranks = {bytes(back[c] for c in token): i for token, i in spec["model"]["vocab"].items() if token not in special}
         bpe = tiktoken.Encoding("own", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
-        _ENCODERS[path] = ChunkEncoder(lambda s: array("I", bpe.encode_ordinary(s)).tobytes())
+        plain = ChunkEncoder(lambda s: array("I", bpe.encode_ordinary(s)).tobytes())
+        added = {t["content"]: array("I", [t["id"]]).tobytes() for t in spec["added_tokens"]}
+        split = re.compile("(" + "|".join(map(re.escape, sorted(added, key=len, reverse=True))) + ")") if added else None
+
+        def encode(text: str) -> bytes:
+            return b"".join(added[p] if k % 2 else plain(p) for k, p in enumerate(split.split(text) if split else [text]))
+
+        _ENCODERS[path] = encode
     return _ENCODERS[path]
 
 
