@@ -1,6 +1,8 @@
+import os
 import random
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -8,7 +10,7 @@ from zspan import queries as q
 from zspan import sqlapi
 from zspan.augment import staircase
 from zspan.base import linear, protocol
-from zspan.base.btree import BTreeIndex
+from zspan.base.search import bisect, gallop
 from zspan.baselines import trees
 from zspan.config import IndexConfig, QueryOptions
 from zspan.curve import zorder
@@ -16,9 +18,11 @@ from zspan.geometry import predicates, text, wkb
 from zspan.geometry.mbr import with_mbr
 from zspan.geometry.model import GEOMETRY
 from zspan.index import maintain, storage
-from zspan.index.build import build_index, sort_by_zmin, with_rank
-from zspan.index.query import explain_query, range_join, range_query
+from zspan.index.build import BASES, Store, build_index, sort_by_zmin
+from zspan.index.query import disjoint, explain_query, late_range_join, locate, planned, range_join, range_query
 from zspan.interval import with_zinterval
+from zspan.plans import planned_bytes, settle, small, with_rank
+from zspan.workloads import hybrid
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings".split()
@@ -32,7 +36,7 @@ def duck():
     return c
 
 
-@pytest.mark.parametrize("name", ["contains_roads_1pct", "intersects_parks_01pct", "intersects_water_01pct_rtree", "intersects_roads_01pct_quadtree", "checked_intersects_parks_1pct", "leafskip_contains_water_01pct", "staircase_parks_m10", "after_insert_intersects_parks", "after_delete_compact_intersects_water", "stream_insert_water", "example_stairs", "example_stairs_append"])
+@pytest.mark.parametrize("name", ["contains_roads_1pct", "intersects_parks_01pct", "intersects_water_01pct_rtree", "intersects_parks_01pct_quadtree", "contains_parks_01pct_joins", "intersects_parks_01pct_spline", "op_touches_boxes_parks", "index_size_parks", "checked_intersects_parks_1pct", "leafskip_contains_water_01pct", "staircase_parks_m10", "after_insert_intersects_parks", "after_insert_intersects_parks_rtree", "after_delete_compact_intersects_water", "stream_insert_water", "example_stairs", "example_stairs_append"])
 def test_query_equals_sql(spark, duck, name):
     df = q.QUERIES[name](spark, SF)
     cols = sorted(df.columns)
@@ -128,18 +132,64 @@ def test_staircase_is_a_lower_bound(spark):
                         assert staircase.lookup(table, z) == min(z, min(reach))
 
 
-def test_bases(spark):
-    g = q.geoms(spark, SF, "roads")
-    ix = q.index(spark, SF, "roads")
-    keys = sorted(r["first_key"] for r in ix.leaves.collect())
-    for probe in (-1, 0, keys[0], keys[3] + 1, keys[-1], keys[-1] + 9):
-        want = max(0, sum(k <= probe for k in keys) - 1)
-        assert ix.base.locate_one(probe) == want == BTreeIndex(ix.leaves, 4).locate_one(probe)
-    spline = linear.SplineRadix.fit(ix.main, 8, 6)
-    for r in ix.main.groupBy("zmin").agg(F.min("rank").alias("rank")).collect():
-        assert abs(spline.predict(r["zmin"]) - r["rank"]) <= 8.001
+def test_searches_in_sorted_runs():
+    r = np.random.default_rng(0)
+    for _ in range(100):
+        n = r.integers(1, 200)
+        keys, q = np.sort(r.integers(0, 100, n)), r.integers(-5, 110, 50)
+        lo, hi = np.zeros(50, np.int64), np.full(50, n)
+        want = np.maximum(np.searchsorted(keys, q, side="right") - 1, 0)
+        assert (bisect(keys, q, lo, hi)[0] == want).all() and (gallop(keys, q, lo, hi, r.integers(-3, n + 3, 50))[0] == want).all()
+
+
+@pytest.mark.parametrize("base", list(BASES))
+def test_bases_locate_alike_on_the_driver_and_by_joins(spark, base):
+    r = np.random.default_rng(1)
+    for keys in (np.sort((r.random(700) ** 3 * 1e15).astype(np.int64)), np.sort(r.integers(0, 60, 300)), np.array([5])):
+        q = np.unique(np.concatenate([keys, keys + 1, keys - 1, [0, 1 << 60]]))
+        want = np.maximum(np.searchsorted(keys, q, side="right") - 1, 0)
+        leaves = spark.createDataFrame([(i, int(k)) for i, k in enumerate(keys)], "pos long, first_key long")
+        b = BASES[base].fit(leaves, keys, fanout=8, max_err=4, radix_bits=6)
+        got, steps = b.locate(q)
+        assert (got == want).all() and steps.max() < 60
+        by_joins = b.probe(spark.createDataFrame([(int(k),) for k in q], "k long"), "k", "at").collect()
+        assert {x["k"]: x["at"] for x in by_joins} == dict(zip(q.tolist(), want.tolist(), strict=True))
+
+
+def test_leaf_models_and_order(spark):
+    ix = q.index(spark, SF, "parks")
+    first = ix.main.groupBy("leaf_id", "zmin").agg(F.min("rank").alias("rank")).join(ix.leaf_models, "leaf_id").join(ix.leaves.select("leaf_id", "first_rank", "first_key", "n"), "leaf_id")
+    assert first.where(F.abs(linear.predicted_slot(F.col("zmin")) - (F.col("rank") - F.col("first_rank"))) > F.col("max_err")).count() == 0
+    keys = ix.main.select(F.col("geom_id").alias("qid"), F.col("zmin").alias("key"))
+    found = locate(ix, keys).join(ix.main.select(F.col("geom_id").alias("qid"), "zmin", "leaf_id"), "qid")
+    assert found.count() == ix.main.count()
+    with pytest.raises(protocol.IndexNotOrderPreserving):
+        protocol.require_order(linear.two_stage(q.geoms(spark, SF, "roads")))
     with pytest.raises(protocol.IndexNotOrderPreserving):
-        protocol.require_order(linear.two_stage(g))
+        build_index(q.geoms(spark, SF, "parks"), IndexConfig(base="two_stage"))
+    with pytest.raises(ValueError):
+        build_index(q.geoms(spark, SF, "parks"), IndexConfig(sort_key="zmax"))
+
+
+def test_search_opens_only_the_bands_and_keys_it_needs(spark, monkeypatch):
+    monkeypatch.setattr("zspan.index.build.BAND_ROWS", 1)
+    monkeypatch.setattr("zspan.index.build.BAND_LEAVES", 4)
+    g = q.geoms(spark, SF, "parks")
+    ix = build_index(g, IndexConfig(leaf_cap=8, fill=1.0, m=10))
+    row = g.orderBy("zmin").first()
+    w = spark.createDataFrame([(0, row["x0"], row["x1"], row["y0"], row["y1"])], "qid long, wx0 long, wx1 long, wy0 long, wy1 long")
+    for options in (QueryOptions(), QueryOptions(resident=False)):
+        plan = range_join(ix, w, "contains", options)._jdf.queryExecution().toString()
+        assert "PartitionFilters: [leaf_band" in plan and "GreaterThanOrEqual(zmin," in plan and "LessThanOrEqual(zmin," in plan
+        _, rows, _ = planned(ix, w, "contains", options)[0]
+        assert 0 < rows.select(F.input_file_name()).distinct().count() < len(ix.main.inputFiles()) / 2
+    assert set(range_join(ix, w, "intersects").collect()) == set(range_join(ix, w, "intersects", QueryOptions(resident=False)).collect()) == set(late_range_join(ix, w).collect()) == set(trees.scan(g, w, "intersects").collect())
+
+
+def test_broadcast_hints_follow_the_size_of_the_table(spark):
+    t = settle(spark.range(1000))
+    assert planned_bytes(t) < 1 << 20 and "ResolvedHint" in small(t)._jdf.queryExecution().analyzed().toString()
+    assert "ResolvedHint" not in small(t, 10)._jdf.queryExecution().analyzed().toString()
 
 
 def test_maintenance(spark, tmp_path):
@@ -163,10 +213,78 @@ def test_maintenance(spark, tmp_path):
     assert one == {r["geom_id"] for r in range_join(ix, w, "intersects").collect()}
     assert explain_query(ix, (0, 10, 0, 10), "intersects").count() == 2
     assert range_join(ix, w, "contains", QueryOptions(refine=False)).count() >= len(ids)
+    assert {r["geom_id"] for r in disjoint(g, ix, (0, 10, 0, 10)).collect()} == {r["geom_id"] for r in g.collect()} - one
+    twice = maintain.insert(maintain.insert(ix, g.where("geom_id = 8"), upsert=True), g.where("geom_id <= 4"), upsert=True)
+    assert sorted(maintain.visible(twice).select("geom_id").collect()) == sorted(g.select("geom_id").collect())
     fresh = maintain.maybe_rebuild(maintain.maybe_rebuild(ix, 2.0), 9.0)
     assert set(range_join(fresh, w, "intersects").collect()) == set(range_join(ix, w, "intersects").collect())
 
 
+def test_repeated_compaction_and_branches(spark):
+    g = q.geoms(spark, SF, "parks")
+    w = q.windows(spark, SF, "parks", "1pct")
+    want = set(trees.scan(g, w, "intersects").collect())
+    base = build_index(g.where("geom_id % 2 = 0"), IndexConfig(leaf_cap=64, m=10))
+    half = maintain.insert(base, g.where("geom_id % 4 = 1"))
+    other = maintain.insert(base, g.where("geom_id % 4 = 3"))  # another branch of the same version
+    ix = maintain.insert(half, g.where("geom_id % 4 = 3"))
+    for cap in (32, 16, 8, 4, 3):
+        ix = maintain.compact(ix, cap)
+        assert ix.leaves.agg(F.max("n")).first()[0] <= cap
+    assert set(range_join(ix, w, "intersects").collect()) == want
+    assert {r["geom_id"] % 4 for r in maintain.visible(other).select("geom_id").collect()} == {0, 2, 3}
+
+
+def test_resident_and_joined_upkeep_agree(spark, monkeypatch):
+    g, w = q.geoms(spark, SF, "parks"), q.windows(spark, SF, "parks", "1pct")
+    want = set(trees.scan(g, w, "intersects").collect())
+    monkeypatch.setattr("zspan.index.maintain.BATCH_ROWS", 3)
+    ix = maintain.insert(build_index(g.where("geom_id % 3 > 0"), IndexConfig(leaf_cap=16, m=10)), g.where("geom_id % 3 = 0"))
+    assert set(range_join(ix, w, "intersects").collect()) == want
+    monkeypatch.setattr("zspan.index.build.resident", lambda leaves, bound=0: None)
+    ix = maintain.insert(build_index(g.where("geom_id % 3 > 0"), IndexConfig(leaf_cap=16, m=10, base="spline_radix")), g.where("geom_id % 3 = 0"))
+    assert isinstance(ix.main_store, Store) and ix.main_store.directory is None
+    assert set(range_join(maintain.compact(ix), w, "intersects").collect()) == want
+
+
+def test_stream_replay_changes_nothing(spark, tmp_path):
+    from zspan.streaming.ingest import IndexHolder
+
+    g = q.geoms(spark, SF, "water")
+    path = str(tmp_path / "ix")
+    storage.save(build_index(g.where("geom_id % 5 > 0"), IndexConfig(leaf_cap=16, m=10)), path)
+    late = g.where("geom_id % 5 = 0").select("geom_id", "kind", "rings")
+    for _ in range(2):  # the second holder knows nothing of the first
+        IndexHolder(spark, path).insert_batch(late, 0)
+    assert storage.load(spark, path).version == 1
+    IndexHolder(spark, path, "other").insert_batch(late, 0)  # another stream with the same rows: they take their own place
+    assert sorted(maintain.visible(storage.load(spark, path)).select("geom_id").collect()) == sorted(g.select("geom_id").collect())
+
+
+def test_rivals_keep_up(spark):
+    g, w = q.geoms(spark, SF, "parks"), q.windows(spark, SF, "parks", "1pct")
+    want = set(trees.scan(g, w, "intersects").collect())
+    kept = {r["geom_id"] for r in g.where(hybrid.is_bulk()).select("geom_id").collect()}
+    for method in ("rtree", "quadtree"):
+        got, log = hybrid.after_inserts(g, IndexConfig(), 3, method)
+        assert set(got.search(w, "intersects").collect()) == want and len(log) == 3
+        gone, _ = hybrid.after_deletes(g, IndexConfig(), 2, method)
+        assert set(gone.search(w, "intersects").collect()) == {r for r in want if r["geom_id"] in kept}
+    assert hybrid.throughput([hybrid.Done("insert", 0, 1, 5, 9.0), hybrid.Done("insert", 1, 1, 10, 2.0)], "insert") == 5.0
+
+
+def test_shipped_package_stays(spark, monkeypatch, tmp_path):
+    import __spark_entry__ as e
+
+    monkeypatch.chdir(tmp_path)
+    monkeypatch.setenv("PYTHONPATH", "")
+    sent = []
+    monkeypatch.setattr(type(spark.sparkContext), "addPyFile", lambda self, path: sent.append(path))
+    e._ship(spark)
+    assert sent and os.path.exists(sent[0])
+    e._SHIPPED.clear()
+
+
 def test_text_and_binary(spark):
     g = _geoms(spark, EDGE)
     round_trip = text.from_wkt(g.select("geom_id", text.to_wkt(F.col("kind"), F.col("rings")).alias("t")), "t").select("geom_id", "kind", "rings")

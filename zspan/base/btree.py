@@ -1,17 +1,22 @@
-"""A B-tree's separators as level tables over the leaves' first keys."""
+"""A B-tree over the leaves' first keys: level tables of separators, searched by comparison."""
 
 from __future__ import annotations
 
-from bisect import bisect_right
+import math
+from dataclasses import dataclass, field
+from functools import cached_property
 
+import numpy as np
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from zspan.base.search import bisect
+from zspan.plans import written
+
 
 def level_tables(leaves: DataFrame, fanout: int = 128) -> DataFrame:
     """(level, node, first_key): level 0 has the leaves, each level above a node for ``fanout`` below, up to one root."""
-    level = leaves.select(F.lit(0).cast("long").alias("level"), (F.row_number().over(W.orderBy("first_key", "leaf_id")) - 1).cast("long").alias("node"), "first_key")
+    level = leaves.select(F.lit(0).cast("long").alias("level"), F.col("pos").alias("node"), "first_key")
     out, n, depth = level, leaves.count(), 0
     while n > 1:
         depth += 1
@@ -20,26 +25,66 @@ def level_tables(leaves: DataFrame, fanout: int = 128) -> DataFrame:
     return out
 
 
+def node_tables(leaves: DataFrame, fanout: int) -> list[DataFrame]:
+    """For each level above the leaves, bottom up: (node, keys), the first keys of a node's children in order."""
+    child, n, out = leaves.select(F.col("pos").alias("child"), "first_key"), leaves.count(), []
+    while n > 1:
+        run = F.sort_array(F.collect_list(F.struct("child", "first_key")))["first_key"]
+        level = written(child.groupBy(F.floor(F.col("child") / fanout).cast("long").alias("node")).agg(run.alias("keys")), "nodes")
+        out.append(level)
+        child, n = level.select(F.col("node").alias("child"), F.col("keys")[0].alias("first_key")), -(-n // fanout)
+    return out
+
+
+@dataclass
 class BTreeIndex:
-    def __init__(self, leaves: DataFrame, fanout: int = 128):
-        self.leaves, self.fanout = leaves, fanout
-        keys = sorted(r["first_key"] for r in leaves.select("first_key").collect())  # one number a leaf
-        self.tables = [keys]
-        while len(self.tables[-1]) > 1:
-            self.tables.append(self.tables[-1][::fanout])
-
-    def locate_one(self, key: int) -> int:
-        node = 0
-        for table in reversed(self.tables[:-1]):
+    leaves: DataFrame
+    fanout: int = 128
+    keys: np.ndarray | None = field(default=None, repr=False)  # first keys by position, where the driver may hold them
+    n: int = 0
+
+    @classmethod
+    def fit(cls, leaves: DataFrame, keys: np.ndarray | None = None, fanout: int = 128, **_) -> BTreeIndex:
+        return cls(leaves, fanout, keys, len(keys) if keys is not None else leaves.count())
+
+    def refit(self, leaves: DataFrame, keys: np.ndarray | None = None) -> BTreeIndex:
+        return type(self).fit(leaves, keys, fanout=self.fanout)
+
+    @cached_property
+    def levels(self) -> list[np.ndarray]:
+        """First keys by level, leaves first."""
+        out = [self.keys]
+        while len(out[-1]) > 1:
+            out.append(out[-1][:: self.fanout])
+        return out
+
+    def locate(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        node, steps = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64)
+        for table in reversed(self.levels[:-1]):
             lo = node * self.fanout
-            node = max(lo, bisect_right(table, key, lo, min(len(table), lo + self.fanout)) - 1)
-        return node
+            node, took = bisect(table, keys, lo, np.minimum(lo + self.fanout, len(table)))
+            steps += took
+        return node, steps
+
+    @cached_property
+    def tables(self) -> list[DataFrame]:
+        return node_tables(self.leaves, self.fanout)
 
-    def locate(self, keys: DataFrame, key_col: str = "key") -> DataFrame:
-        from zspan.base.linear import LearnedIndex
+    def probe(self, keys: DataFrame, key: str, out: str) -> DataFrame:
+        """One equi join a level; in a node, separators not above the key are counted."""
+        at = keys.withColumn(out, F.lit(0).cast("long"))
+        for level in reversed(self.tables):
+            below = F.size(F.filter("keys", lambda k: k <= F.col(key)))
+            at = at.join(level, F.col(out) == F.col("node")).withColumn(out, F.col("node") * self.fanout + F.greatest(below - 1, F.lit(0))).drop("node", "keys")
+        return at
 
-        return LearnedIndex(self.leaves, self.tables[0], self.fanout).locate(keys, key_col)
+    def depth(self) -> int:
+        return max(0, math.ceil(round(math.log(max(1, self.n), self.fanout), 9)))
 
     def size_bytes(self) -> dict[str, int]:
-        inner = sum(map(len, self.tables[1:]))
-        return {"inner": inner * self.fanout * 16, "leaves": len(self.tables[0]) * (32 + 16 + 8)}
+        """Inner nodes are separators with child pointers; leaves hold box, key range and count."""
+        inner, level = 0, max(1, self.n)
+        while level > 1:
+            inner += level * 16
+            level = -(-level // self.fanout)
+        return {"inner": inner, "leaves": max(1, self.n) * (32 + 16 + 8)}

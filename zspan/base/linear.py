@@ -1,9 +1,9 @@
-"""Learned bases: linear models in leaves, over fixed or adaptive leaves, and the models above them."""
+"""The learned base: linear models by region over the leaves' first keys, linear models of slots in leaves, adaptive leaves."""
 
 from __future__ import annotations
 
-from bisect import bisect_right
 from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -11,6 +11,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from zspan.base.search import gallop
+from zspan.plans import written
+
 MODEL, CHILD, BOX, KEYS, COUNT = 16, 8, 32, 16, 8
 
 
@@ -23,13 +26,17 @@ def leaf_models(rows: DataFrame, leaves: DataFrame) -> DataFrame:
     own = rows.join(leaves.select("leaf_id", "first_key", "n"), "leaf_id").withColumn("t", (F.col("zmin") - F.col("first_key")).cast("double"))
     fit = own.groupBy("leaf_id").agg(F.regr_slope("slot", "t").alias("s"), F.avg("slot").alias("ym"), F.avg("t").alias("tm"))
     fit = fit.select("leaf_id", F.coalesce("s", F.lit(0.0)).alias("slope"), (F.col("ym") - F.coalesce("s", F.lit(0.0)) * F.col("tm")).alias("intercept"))
-    guess = F.least(F.greatest(F.round(F.col("intercept") + F.col("slope") * (F.col("zmin") - F.col("first_key"))), F.lit(0.0)), F.col("n") - 1.0)
-    err = first.join(leaves.select("leaf_id", "first_key", "n"), "leaf_id").join(fit, "leaf_id").groupBy("leaf_id").agg(F.max(F.abs(F.col("slot") - guess)).cast("long").alias("max_err"))
+    err = first.join(leaves.select("leaf_id", "first_key", "n"), "leaf_id").join(fit, "leaf_id").groupBy("leaf_id").agg(F.max(F.abs(F.col("slot") - predicted_slot(F.col("zmin")))).cast("long").alias("max_err"))
     return fit.join(err, "leaf_id")
 
 
+def predicted_slot(key: F.Column) -> F.Column:
+    """A leaf model's guess for a key, from columns slope, intercept, first_key and n."""
+    return F.least(F.greatest(F.round(F.col("intercept") + F.col("slope") * (key - F.col("first_key"))), F.lit(0.0)), F.col("n") - 1.0).cast("long")
+
+
 def adaptive_cuts(keys: np.ndarray, leaf_cap: int, max_err: int, fan: int = 4) -> list[int]:
-    """Lower ends of key ranges, split in ``fan`` until a range holds few keys that a line fits well."""
+    """Positions where leaves start: key ranges are split in ``fan`` until a range holds few keys that a line fits well."""
 
     def fits(own: np.ndarray) -> bool:
         if len(own) > leaf_cap:
@@ -40,82 +47,115 @@ def adaptive_cuts(keys: np.ndarray, leaf_cap: int, max_err: int, fan: int = 4) -
         return np.abs(y - (y.mean() + slope * (t - t.mean()))).max(initial=0) <= max_err
 
     out: list[int] = []
-
-    def split(own: np.ndarray, lo: int, hi: int) -> None:
+    todo = [(0, len(keys), int(keys[0]), int(keys[-1]) + 1)] if len(keys) else []
+    while todo:
+        a, b, lo, hi = todo.pop()
+        own = keys[a:b]
         if not len(own):
-            return
+            continue
         if own[0] == own[-1] or hi - lo < fan or fits(own):
-            out.append(lo)
-            return
+            out.append(a)
+            continue
         edges = [lo + (hi - lo) * k // fan for k in range(fan + 1)]
-        at = np.searchsorted(own, edges[1:-1])
-        for a, b, e, f in zip([0, *at], [*at, len(own)], edges, edges[1:], strict=False):
-            split(own[a:b], e, f)
+        at = [a, *(a + np.searchsorted(own, edges[1:-1])).tolist(), b]
+        todo += zip(at, at[1:], edges, edges[1:], strict=False)
+    return sorted(out)
 
-    if len(keys):
-        split(keys, int(keys[0]), int(keys[-1]) + 1)
-    return out
 
+def adaptive_starts(placed: DataFrame, key: str, leaf_cap: int, max_err: int) -> DataFrame:
+    """(part, at): positions in range partitions where leaves start; ``placed`` has (part, at, key), in order by part."""
 
-def adaptive_leaves(ordered: DataFrame, leaf_cap: int, max_err: int) -> list[int]:
-    """First keys of adaptive leaves over a range-partitioned, sorted table: one number a leaf."""
+    def run(part: tuple[pa.Scalar, ...], own: pa.Table) -> pa.Table:
+        cuts = adaptive_cuts(np.sort(own.column(key).to_numpy()), leaf_cap, max_err)
+        return pa.table({"part": pa.array([part[0].as_py()] * len(cuts), pa.int64()), "at": pa.array(cuts, pa.int64())})
 
-    def run(batches):
-        keys = [b.column("zmin").to_numpy() for b in batches]
-        cuts = adaptive_cuts(np.concatenate(keys), leaf_cap, max_err) if keys else []
-        yield pa.RecordBatch.from_arrays([pa.array(cuts, pa.int64())], names=["cut"])
+    return placed.select("part", key).groupBy("part").applyInArrow(run, "part long, at long")
 
-    return sorted({r["cut"] for r in ordered.select("zmin").mapInArrow(run, "cut long").collect()})
+
+def _fit_line(t: np.ndarray, y: np.ndarray) -> tuple[float, float]:
+    var = t.var()
+    slope = float(((t - t.mean()) * (y - y.mean())).mean() / var) if var else 0.0
+    return slope, float(y.mean() - slope * t.mean())
 
 
 @dataclass
 class LearnedIndex:
-    """Directory on the driver, one entry a leaf; routing by model arithmetic with a bounded correction."""
+    """A tree of linear models: a node predicts its child by a line, and searches outwards from there."""
 
     leaves: DataFrame
-    first_keys: list[int] = field(default_factory=list)
     fanout: int = 128
+    keys: np.ndarray | None = field(default=None, repr=False)  # first keys by position, where the driver may hold them
+    n: int = 0
 
     @classmethod
-    def over(cls, leaves: DataFrame, fanout: int = 128) -> LearnedIndex:
-        return cls(leaves, sorted(r["first_key"] for r in leaves.select("first_key").collect()), fanout)
-
-    def locate_one(self, key: int) -> int:
-        """Position of the last leaf whose first key is not above ``key``: predicted, then searched outwards."""
-        keys = self.first_keys
-        if not keys or key <= keys[0]:
-            return 0
-        span = max(1, keys[-1] - keys[0])
-        at = min(len(keys) - 1, (key - keys[0]) * (len(keys) - 1) // span)
-        step = 1
-        if keys[at] <= key:
-            while at + step < len(keys) and keys[at + step] <= key:
-                step *= 2
-            return bisect_right(keys, key, at, min(len(keys), at + step + 1)) - 1
-        while at - step > 0 and keys[at - step] > key:
-            step *= 2
-        return max(0, bisect_right(keys, key, max(0, at - step), at + 1) - 1)
-
-    def locate(self, keys: DataFrame, key_col: str = "key") -> DataFrame:
-        """``keys`` with leaf_pos, by an as-of search in the shared directory."""
-        first = np.array(self.first_keys, np.int64)
-
-        @F.pandas_udf("long")
-        def find(k):
-            import pandas as pd
-
-            return pd.Series(np.maximum(np.searchsorted(first, k.to_numpy(np.int64), side="right") - 1, 0))
-
-        return keys.withColumn("leaf_pos", find(F.col(key_col)))
-
-    def levels(self) -> int:
-        n, depth = max(1, len(self.first_keys)), 0
+    def fit(cls, leaves: DataFrame, keys: np.ndarray | None = None, fanout: int = 128, **_) -> LearnedIndex:
+        out = cls(leaves, fanout, keys, len(keys) if keys is not None else leaves.count())
+        if keys is not None:
+            out.levels  # noqa: B018 - trained with the index, not by its first search
+        return out
+
+    def refit(self, leaves: DataFrame, keys: np.ndarray | None = None) -> LearnedIndex:
+        return type(self).fit(leaves, keys, fanout=self.fanout)
+
+    @cached_property
+    def levels(self) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """Bottom up: (children's first keys, and for each node first key, slope, intercept)."""
+        out, keys = [], self.keys
+        while len(keys) > 1:
+            first = keys[:: self.fanout]
+            lines = [_fit_line((own - own[0]).astype(float), np.arange(len(own))) for own in (keys[i : i + self.fanout] for i in range(0, len(keys), self.fanout))]
+            out.append((keys, first, np.array([s for s, _ in lines]), np.array([c for _, c in lines])))
+            keys = first
+        return out
+
+    def locate(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        node, steps = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64)
+        for table, first, slope, intercept in reversed(self.levels):
+            lo = node * self.fanout
+            guess = np.rint(intercept[node] + slope[node] * (keys - first[node]))
+            hi = np.minimum(lo + self.fanout, len(table))
+            node, took = gallop(table, keys, lo, hi, lo + np.clip(guess, 0, hi - lo - 1).astype(np.int64))
+            steps += took
+        return node, steps
+
+    @cached_property
+    def tables(self) -> list[DataFrame]:
+        """For each level, bottom up: (node, keys, slope, intercept, max_err)."""
+        from zspan.base.btree import node_tables
+
+        out = []
+        for level in node_tables(self.leaves, self.fanout):
+            flat = level.select("node", F.posexplode("keys").alias("slot", "k"), F.col("keys")[0].alias("first")).withColumn("t", (F.col("k") - F.col("first")).cast("double"))
+            fit = flat.groupBy("node").agg(F.coalesce(F.regr_slope("slot", "t"), F.lit(0.0)).alias("slope"), F.avg("slot").alias("ym"), F.avg("t").alias("tm"))
+            fit = fit.select("node", "slope", (F.col("ym") - F.col("slope") * F.col("tm")).alias("intercept"))
+            guess = F.round(F.col("intercept") + F.col("slope") * F.col("t"))
+            err = flat.join(fit, "node").groupBy("node").agg(F.max(F.abs(guess - F.col("slot"))).cast("int").alias("max_err"))
+            out.append(written(level.join(fit, "node").join(err, "node"), "models"))
+        return out
+
+    def probe(self, keys: DataFrame, key: str, out: str) -> DataFrame:
+        """One equi join a level; in a node, only children within the model's error of its guess are compared.
+
+        Between two fitted keys the guess lies between theirs, so one more child on either side suffices.
+        """
+        at = keys.withColumn(out, F.lit(0).cast("long"))
+        for level in reversed(self.tables):
+            n = F.size("keys")
+            guess = F.round(F.col("intercept") + F.col("slope") * (F.col(key) - F.col("keys")[0]))
+            near = F.least(F.greatest(guess, F.lit(0.0)), (n - 1).cast("double")).cast("int")
+            lo = F.greatest(near - F.col("max_err") - 1, F.lit(0))
+            below = F.size(F.filter(F.slice("keys", lo + 1, 2 * F.col("max_err") + 3), lambda k: k <= F.col(key)))
+            at = at.join(level, F.col(out) == F.col("node")).withColumn(out, F.col("node") * self.fanout + F.greatest(lo + below - 1, F.lit(0))).drop("node", "keys", "slope", "intercept", "max_err")
+        return at
+
+    def depth(self) -> int:
+        n, depth = max(1, self.n), 0
         while n > 1:
             n, depth = -(-n // self.fanout), depth + 1
         return depth
 
     def size_bytes(self) -> dict[str, int]:
-        n, inner = max(1, len(self.first_keys)), 0
+        n, inner = max(1, self.n), 0
         level = n
         while level > 1:
             level = -(-level // self.fanout)
@@ -123,64 +163,6 @@ class LearnedIndex:
         return {"inner": inner * MODEL + (n + max(0, inner - 1)) * CHILD, "leaves": n * (BOX + KEYS + MODEL + COUNT)}
 
 
-class SplineRadix:
-    """Knots whose straight lines miss no rank by more than ``max_err``, and a table over the keys' top bits."""
-
-    def __init__(self, knots: list[tuple[int, int]], max_err: int, radix_bits: int):
-        self.knots, self.max_err, self.bits = knots, max_err, radix_bits
-        self.keys = [k for k, _ in knots]
-        span = max(1, self.keys[-1] - self.keys[0]).bit_length() if knots else 1
-        self.shift = max(0, span - radix_bits)
-        self.table = [bisect_right(self.keys, (self.keys[0] if knots else 0) + (b << self.shift) - 1) for b in range((1 << radix_bits) + 2)]
-
-    @staticmethod
-    def corridor(keys: np.ndarray, ranks: np.ndarray, max_err: int) -> list[tuple[int, int]]:
-        """Greedy knots over distinct keys and their first ranks."""
-        if not len(keys):
-            return []
-        out, base, low, high = [(int(keys[0]), int(ranks[0]))], (int(keys[0]), int(ranks[0])), None, None
-        for i in range(1, len(keys)):
-            k, r = int(keys[i]), int(ranks[i])
-            dx = k - base[0]
-            if low is not None and not (low[0] * dx <= (r - base[1]) * low[1] and (r - base[1]) * high[1] <= high[0] * dx):
-                base = (int(keys[i - 1]), int(ranks[i - 1]))
-                out.append(base)
-                dx, low, high = k - base[0], None, None
-            lo, hi = (r - max_err - base[1], dx), (r + max_err - base[1], dx)
-            low = lo if low is None or lo[0] * low[1] > low[0] * lo[1] else low
-            high = hi if high is None or hi[0] * high[1] < high[0] * hi[1] else high
-        if len(keys) > 1:
-            out.append((int(keys[-1]), int(ranks[-1])))
-        return out
-
-    @classmethod
-    def fit(cls, ranked: DataFrame, max_err: int = 64, radix_bits: int = 10) -> SplineRadix:
-        """Knots of each partition of the sorted keys, stitched in order."""
-        first = ranked.groupBy("zmin").agg(F.min("rank").alias("rank"))
-        ordered = first.repartitionByRange("zmin").sortWithinPartitions("zmin")
-
-        def run(batches):
-            got = [(b.column("zmin").to_numpy(), b.column("rank").to_numpy()) for b in batches]
-            knots = cls.corridor(np.concatenate([g[0] for g in got]), np.concatenate([g[1] for g in got]), max_err) if got else []
-            yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in knots], pa.int64()), pa.array([r for _, r in knots], pa.int64())], names=["zmin", "rank"])
-
-        return cls(sorted((r["zmin"], r["rank"]) for r in ordered.mapInArrow(run, "zmin long, rank long").collect()), max_err, radix_bits)
-
-    def predict(self, key: int) -> float:
-        """Rank of a key by interpolation; within ``max_err`` for keys that were fitted."""
-        if key <= self.keys[0]:
-            return float(self.knots[0][1])
-        bucket = min((key - self.keys[0]) >> self.shift, (1 << self.bits))
-        i = bisect_right(self.keys, key, max(0, self.table[bucket] - 1), min(len(self.keys), self.table[bucket + 1] + 1))
-        if i >= len(self.keys):
-            return float(self.knots[-1][1])
-        (a, ra), (b, rb) = self.knots[i - 1], self.knots[i]
-        return ra + (rb - ra) * ((key - a) / (b - a))
-
-    def size_bytes(self) -> int:
-        return 16 * len(self.knots) + 4 * len(self.table)
-
-
 def two_stage(rows: DataFrame, fan: int = 16) -> DataFrame:
     """Leaves of a two-stage model whose root is a cubic that does not rise everywhere: it fails the order test.
 

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from fractions import Fraction
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -44,7 +44,12 @@ def inside(rings: Column, x: Column, y: Column) -> Column:
     return F.size(crossed) % 2 == 1
 
 
-def intersects_rect(rings: Column, kind: Column, wx0: Column, wx1: Column, wy0: Column, wy1: Column) -> Column:
+def intersects_rect(rings: Column, kind: Column, wx0: Column, wx1: Column, wy0: Column, wy1: Column, box: tuple[Column, Column, Column, Column] | None = None) -> Column:
+    """A shape with its ``box`` (x0, x1, y0, y1) in the window shares all its points; others are tested edge by edge."""
+    if box is not None:
+        x0, x1, y0, y1 = box
+        held = (x0 >= wx0) & (x1 <= wx1) & (y0 >= wy0) & (y1 <= wy1)
+        return held | intersects_rect(rings, kind, wx0, wx1, wy0, wy1)
     meets = F.exists(all_segments(rings), lambda s: segment_meets(s, wx0, wx1, wy0, wy1))
     return meets | (kind.isin(*_ROUND_KINDS) & inside(rings, wx0, wy0))
 
@@ -52,7 +57,7 @@ def intersects_rect(rings: Column, kind: Column, wx0: Column, wx1: Column, wy0:
 def contains_rect(rings: Column, kind: Column, x0: Column, x1: Column, y0: Column, y1: Column, wx0: Column, wx1: Column, wy0: Column, wy1: Column) -> Column:
     """The box lies in the window and the geometry not wholly on the window's border; a flat window contains nothing."""
     on_border = F.forall(all_segments(rings), lambda s: ((s["ax"] == s["bx"]) & s["ax"].isin(wx0, wx1)) | ((s["ay"] == s["by"]) & s["ay"].isin(wy0, wy1)))
-    return (wx0 < wx1) & (wy0 < wy1) & (x0 >= wx0) & (x1 <= wx1) & (y0 >= wy0) & (y1 <= wy1) & (kind.isin(*_ROUND_KINDS) | ~on_border)
+    return (wx0 < wx1) & (wy0 < wy1) & (x0 >= wx0) & (x1 <= wx1) & (y0 >= wy0) & (y1 <= wy1) & (kind.isin(*_ROUND_KINDS) | ((x0 > wx0) & (x1 < wx1) & (y0 > wy0) & (y1 < wy1)) | ~on_border)
 
 
 # --- any window -----------------------------------------------------------------------------------------------------
@@ -170,9 +175,13 @@ def relation(rel: str, qkind: str, qrings, kind: str, rings) -> bool:
     raise ValueError(rel)
 
 
-@F.pandas_udf(T.BooleanType())
-def general(rel: pd.Series, qkind: pd.Series, qrings: pd.Series, kind: pd.Series, rings: pd.Series) -> pd.Series:
-    return pd.Series([relation(r, a, b, c, d) for r, a, b, c, d in zip(rel, qkind, qrings, kind, rings, strict=True)], dtype=bool)
+def _general(rel: pa.Array, qkind: pa.Array, qrings: pa.Array, kind: pa.Array, rings: pa.Array) -> pa.Array:
+    rows = zip(*(c.to_pylist() for c in (rel, qkind, qrings, kind, rings)), strict=True)
+    return pa.array([None if b is None or d is None else relation(r, a, b, c, d) for r, a, b, c, d in rows], pa.bool_())
+
+
+#: (relation, kind and rings of the window, kind and rings of the geometry) -> boolean; null where a shape is null.
+general = F.arrow_udf(_general, T.BooleanType())
 
 
 def refine_general(pairs: DataFrame, rel: str) -> DataFrame:

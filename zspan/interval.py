@@ -7,12 +7,13 @@ from pyspark.sql import functions as F
 
 from zspan.curve.zorder import cell_of_units, z_address
 from zspan.geometry.mbr import vertices
+from zspan.plans import once
 
 
 def with_zinterval(df: DataFrame, units_per_cell: int = 1) -> DataFrame:
     """Adds zmin, zmax, zlen from the corners of the box (x0, y0, x1, y1)."""
-    x0, y0, x1, y1 = (cell_of_units(F.col(c), units_per_cell) for c in ("x0", "y0", "x1", "y1"))
-    return df.withColumns({"zmin": z_address(x0, y0), "zmax": z_address(x1, y1)}).withColumn("zlen", F.col("zmax") - F.col("zmin"))
+    code = lambda x, y: once((x, y, units_per_cell), lambda: z_address(cell_of_units(F.col(x), units_per_cell), cell_of_units(F.col(y), units_per_cell)))
+    return df.withColumns({"zmin": code("x0", "y0"), "zmax": code("x1", "y1")}).withColumn("zlen", F.col("zmax") - F.col("zmin"))
 
 
 def vertex_interval(df: DataFrame, geom: str = "rings") -> DataFrame:

@@ -9,8 +9,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from zspan.config import QueryOptions
-from zspan.index.build import ZIndex, with_rank
-from zspan.index.query import candidates, leaf_hits, range_join, starts, with_window_interval
+from zspan.index.build import ZIndex
+from zspan.index.query import candidates, planned, range_join
+from zspan.plans import with_rank
 
 # Dollars per GB-month of storage, per hour of memory, per GB moved, by tier.
 STORAGE_PRICE, MEMORY_PRICE, TRANSFER_PRICE = {1: 0.08, 2: 0.10, 3: 0.12}, {32: 0.16, 64: 0.33, 128: 0.66}, {"internal 1": 0.01, "internal 2": 0.02, "external": 0.09}
@@ -22,10 +23,9 @@ def _per_window(windows: DataFrame, rows: DataFrame, name: str) -> DataFrame:
     return windows.select("qid").join(got, "qid", "left").select("qid", F.coalesce(name, F.lit(0)).alias(name))
 
 
-def records_checked(ix: ZIndex, windows: DataFrame, rel: str, leaf_skip: bool = True) -> DataFrame:
+def records_checked(ix: ZIndex, windows: DataFrame, rel: str, leaf_skip: bool = True, resident: bool | None = None) -> DataFrame:
     """(qid, checked): records that reach the shape test."""
-    w = with_window_interval(windows)
-    return _per_window(windows, candidates(ix, w, rel, QueryOptions(leaf_skip=leaf_skip)), "checked")
+    return _per_window(windows, candidates(ix, windows, rel, QueryOptions(leaf_skip=leaf_skip, resident=resident)), "checked")
 
 
 def false_positives(ix: ZIndex, windows: DataFrame, rel: str) -> DataFrame:
@@ -36,11 +36,11 @@ def false_positives(ix: ZIndex, windows: DataFrame, rel: str) -> DataFrame:
 
 def leaves_visited(ix: ZIndex, windows: DataFrame, rel: str) -> DataFrame:
     """(qid, visited, skipped) over all stores."""
-    w = with_window_interval(windows)
     out = None
-    for _, leaves, own in starts(ix, w, rel):
-        seen = leaf_hits(leaves, own, leaf_skip=False).select("qid", F.lit(0).alias("v")).unionByName(leaf_hits(leaves, own).select("qid", F.lit(1).alias("v")))
-        out = seen if out is None else out.unionByName(seen)
+    for skip in (True, False):
+        for _, _, hits in planned(ix, windows, rel, QueryOptions(leaf_skip=skip)):
+            seen = hits.select("qid", F.lit(int(skip)).alias("v"))
+            out = seen if out is None else out.unionByName(seen)
     got = out.groupBy("qid").agg(F.sum("v").alias("visited"), (F.sum(1 - F.col("v")) - F.sum("v")).alias("skipped"))
     return windows.select("qid").join(got, "qid", "left").select("qid", F.coalesce("visited", F.lit(0)).alias("visited"), F.coalesce("skipped", F.lit(0)).alias("skipped"))
 
@@ -63,7 +63,22 @@ def index_bytes(ix: ZIndex) -> DataFrame:
     if ix.stairs is not None:
         rows += [("staircase", 16 * ix.stairs.count()), ("outlier_leaves", 72 * ix.outlier_leaves.count())]
     rows += [("entries", 16 * (n_main + n_out))]
-    return ix.main.sparkSession.createDataFrame(rows, "part string, bytes long")
+    return ix.leaves.sparkSession.createDataFrame(rows, "part string, bytes long")
+
+
+def structure_bytes(ix: ZIndex) -> int:
+    """Inner nodes, leaf metadata, staircase and the outliers' leaves, without the entries."""
+    return index_bytes(ix).where("part <> 'entries'").agg(F.sum("bytes")).first()[0]
+
+
+def data_bytes(geoms: DataFrame) -> int:
+    """Bytes of the shapes themselves: an id and two numbers a vertex, 8 bytes each."""
+    return geoms.agg(F.sum(8 + 16 * F.size(F.flatten("rings")))).first()[0] or 0
+
+
+def overhead(methods: dict[str, int], data: int, spark) -> DataFrame:
+    """(method, bytes, per_mille): structure against data."""
+    return spark.createDataFrame([(m, b, 1000 * b // max(1, data)) for m, b in methods.items()], "method string, bytes long, per_mille long")
 
 
 def file_bytes(df: DataFrame) -> int:
@@ -75,6 +90,15 @@ def monthly_price(size_bytes: int, tier: int) -> float:
     return size_bytes / 1e9 * STORAGE_PRICE[tier]
 
 
+def memory_price(size_bytes: int) -> float:
+    """Dollars an hour of the least memory tier that holds the structure; the largest if none does."""
+    return MEMORY_PRICE[next((gb for gb in sorted(MEMORY_PRICE) if size_bytes <= gb * 10**9), max(MEMORY_PRICE))]
+
+
+def transfer_price(size_bytes: int, route: str) -> float:
+    return size_bytes / 1e9 * TRANSFER_PRICE[route]
+
+
 def cdf(df: DataFrame, col: str, points: int = 1000) -> DataFrame:
     """(nth, value): the value at evenly spaced ranks, from a sketch."""
     shares = [(i + 1) / points for i in range(points)]
@@ -106,12 +130,6 @@ def query_phases(ix: ZIndex, windows: DataFrame, rel: str) -> dict[str, float]:
     return {"probe_s": probe, "refine_s": max(0.0, whole - probe), "response_s": whole}
 
 
-def throughput(steps: list[tuple[int, float]]) -> float:
-    """Records a second over timed steps (records, seconds), the first left out as warm-up."""
-    rest = steps[1:] or steps
-    return sum(n for n, _ in rest) / max(1e-9, sum(s for _, s in rest))
-
-
 def search_steps(models: DataFrame) -> DataFrame:
     """(leaf_id, max_err, steps): probes of an exponential search from the model's guess."""
     return models.select("leaf_id", "max_err", (2 * F.ceil(F.log2(F.col("max_err") + 1)) + 1).cast("long").alias("steps"))

@@ -89,13 +89,13 @@ def results(name: str, rel: str) -> str:
     return f"hits AS (SELECT qid, geom_id FROM windows w JOIN boxes b ON {_MEET} JOIN segs s USING (geom_id) GROUP BY qid, geom_id HAVING bool_or({meets})" + (f" OR {parity}" if name == "parks" else "") + ")"
 
 
-def stores(q: str = "0.99", m: str = "greatest(1, n // 1000)") -> str:
+def stores(q: str = "0.99", m: str = "greatest(1, n // 1000)", cap: int = LEAF_CAP) -> str:
     """CTEs limit, ranked (both stores with leaf and group), leaves and stairs, after ``geoms``."""
     return f"""size AS (SELECT count(*) AS n FROM boxes),
     ordered AS (SELECT zlen, row_number() OVER (ORDER BY zlen) AS r FROM boxes),
     cut AS (SELECT zlen AS threshold FROM ordered, size WHERE r = CAST(ceil(round({q} * n, 9)) AS BIGINT)),
     stored AS (SELECT b.*, CASE WHEN zlen > threshold THEN 1 ELSE 0 END AS store FROM boxes b, cut),
-    ranked AS (SELECT *, rank0 // {LEAF_CAP} AS leaf_id FROM (SELECT *, row_number() OVER (PARTITION BY store ORDER BY zmin, zmax, geom_id) - 1 AS rank0 FROM stored)),
+    ranked AS (SELECT *, rank0 // {cap} AS leaf_id FROM (SELECT *, row_number() OVER (PARTITION BY store ORDER BY zmin, zmax, geom_id) - 1 AS rank0 FROM stored)),
     leaves AS (SELECT store, leaf_id, min(zmin) AS first_key, max(zmin) AS last_key, count(*) AS n, min(x0) AS x0, min(y0) AS y0, max(x1) AS x1, max(y1) AS y1 FROM ranked GROUP BY store, leaf_id),
     mains AS (SELECT count(*) AS n FROM boxes),
     grouped AS (SELECT rank0 // (SELECT {m} FROM mains) AS g, min(zmin) AS start_key, max(zmax) AS hi FROM ranked WHERE store = 0 GROUP BY 1),
@@ -119,5 +119,59 @@ def checked(rel: str, leaf_skip: bool = True) -> str:
         JOIN ranked r ON r.store = l.store AND r.leaf_id = l.leaf_id AND r.zmin BETWEEN w.zstart AND w.zhi) c ON c.qid = q.qid GROUP BY q.qid)"""
 
 
+#: CTE quads (geom_id, qx0, qy0, side): each record's quadrant as a square, after ``geoms``.
+QUADS = """lv AS (SELECT geom_id, x0, y0, least(20, 30 - CASE WHEN xor(zmin, zmax) = 0 THEN 0 ELSE (length(ltrim(bin(xor(zmin, zmax)), '0')) + 1) // 2 END) AS level FROM boxes),
+    sq AS (SELECT geom_id, x0, y0, CAST(1 AS BIGINT) << CAST(30 - level AS INTEGER) AS side, level FROM lv),
+    quads AS (SELECT geom_id, x0 - x0 % side AS qx0, y0 - y0 % side AS qy0, side, level FROM sq)"""
+
+#: CTEs border (geom_id, x, y) and curve (x, y, h): border cells of parks on a grid of 128 cells, and the curve through it.
+HILBERT = """cb AS (SELECT geom_id, x0 // 5625000 AS a, y0 // 5625000 AS b, x1 // 5625000 AS c, y1 // 5625000 AS d FROM boxes),
+    border AS (SELECT DISTINCT geom_id, x, y FROM (
+        SELECT geom_id, unnest(range(a, c + 1)) AS x, b AS y FROM cb UNION ALL SELECT geom_id, unnest(range(a, c + 1)), d FROM cb
+        UNION ALL SELECT geom_id, a, unnest(range(b, d + 1)) FROM cb UNION ALL SELECT geom_id, c, unnest(range(b, d + 1)) FROM cb)),
+    cells AS (SELECT DISTINCT x AS ox, y AS oy FROM border),
+    walk AS (SELECT ox, oy, ox AS x, oy AS y, CAST(0 AS BIGINT) AS h FROM cells),
+    """ + ",\n    ".join(
+    f"""w{k} AS (SELECT ox, oy, CASE WHEN ry = 0 THEN (CASE WHEN rx = 1 THEN 127 - y ELSE y END) ELSE x END AS x,
+        CASE WHEN ry = 0 THEN (CASE WHEN rx = 1 THEN 127 - x ELSE x END) ELSE y END AS y, h + {s} * {s} * xor(3 * rx, ry) AS h
+        FROM (SELECT *, CASE WHEN x & {s} > 0 THEN 1 ELSE 0 END AS rx, CASE WHEN y & {s} > 0 THEN 1 ELSE 0 END AS ry FROM {'walk' if k == 0 else f'w{k - 1}'}))"""
+    for k, s in enumerate((64, 32, 16, 8, 4, 2, 1))
+) + """,
+    curve AS (SELECT ox AS x, oy AS y, h FROM w6)"""
+
+#: CTE touching (qid, geom_id): shapes whose part in the strip to the left of some park's box lies on its right side alone.
+TOUCHING = """strips AS (SELECT geom_id AS qid, x0 - 4000 AS wx0, x0 AS wx1, y0 AS wy0, y1 AS wy1 FROM boxes WHERE geom_id % 37 = 5),
+    pairs AS (SELECT w.*, b.geom_id FROM strips w JOIN boxes b ON b.x0 <= w.wx1 AND b.x1 >= w.wx0 AND b.y0 <= w.wy1 AND b.y1 >= w.wy0),
+    meets AS (SELECT qid, geom_id, bool_or(""" + (
+    "(least(ax, bx) <= wx1 AND greatest(ax, bx) >= wx0 AND least(ay, ey) <= wy1 AND greatest(ay, ey) >= wy0 AND "
+    + "least(" + ", ".join(_side(x, y) for x in ("wx0", "wx1") for y in ("wy0", "wy1")) + ") <= 0 AND greatest(" + ", ".join(_side(x, y) for x in ("wx0", "wx1") for y in ("wy0", "wy1")) + ") >= 0)"
+) + """) AS border, """ + "sum(CASE WHEN (ay > wy0) <> (ey > wy0) AND (" + _side("wx0", "wy0") + """ > 0) = (ey > ay) THEN 1 ELSE 0 END) % 2 = 1 AS corner,
+        bool_or(least(ax, bx) < wx1 AND greatest(ax, bx) > wx0 AND least(ay, ey) < wy1 AND greatest(ay, ey) > wy0) AS enters
+        FROM pairs JOIN segs USING (geom_id) GROUP BY qid, geom_id),
+    touching AS (SELECT qid, geom_id FROM meets WHERE border AND NOT corner AND NOT enters)"""
+
+
+def sizes() -> str:
+    """CTE sizes (method, part, bytes) of the index over both bases and of the trees, after ``stores``."""
+    up = lambda n, f: f"(SELECT coalesce(sum(CASE WHEN {f} ** (k - 1) < {n} THEN ({n} + CAST({f} ** k AS BIGINT) - 1) // CAST({f} ** k AS BIGINT) ELSE 0 END), 0) FROM range(1, 12) t(k))"
+    return f"""counts AS (SELECT count(*) FILTER (store = 0) AS l, count(*) FILTER (store = 1) AS ol FROM leaves),
+    total AS (SELECT count(*) AS n FROM boxes),
+    above AS (SELECT l, ol, CAST({up('l', 128)} AS BIGINT) AS inner_nodes FROM counts),
+    tile AS (SELECT n, CAST(ceil(sqrt((n + 15) // 16)) AS BIGINT) AS strips FROM total),
+    strip AS (SELECT n, (n + strips - 1) // strips AS per FROM tile),
+    packed AS (SELECT n, n // per * ((per + 15) // 16) + (n % per + 15) // 16 AS nodes FROM strip),
+    {QUADS},
+    sizes AS (
+        SELECT 'linear' AS method, 'inner' AS part, inner_nodes * 16 + (l + greatest(0, inner_nodes - 1)) * 8 AS bytes FROM above
+        UNION ALL SELECT 'linear', 'leaves', l * 72 FROM above
+        UNION ALL SELECT 'btree', 'inner', 16 * (CASE WHEN l > 1 THEN l + inner_nodes - 1 ELSE 0 END) FROM above
+        UNION ALL SELECT 'btree', 'leaves', l * 56 FROM above
+        UNION ALL SELECT m, 'staircase', 16 * (SELECT count(*) FROM stairs) FROM (VALUES ('linear'), ('btree')) v(m)
+        UNION ALL SELECT m, 'outlier_leaves', 72 * ol FROM above, (VALUES ('linear'), ('btree')) v(m)
+        UNION ALL SELECT m, 'entries', 16 * n FROM total, (VALUES ('linear'), ('btree')) v(m)
+        UNION ALL SELECT 'rtree', 'nodes', 40 * (n + nodes + {up('nodes', 16)}) FROM packed
+        UNION ALL SELECT 'quadtree', 'nodes', 40 * ((SELECT count(*) FROM (SELECT DISTINCT level, qx0, qy0 FROM quads)) + n) FROM total)"""
+
+
 def with_(*ctes: str, select: str) -> str:
     return "WITH " + ",\n    ".join(ctes) + "\n" + select

@@ -18,9 +18,10 @@ from zspan.config import IndexConfig, QueryOptions
 from zspan.curve import hilbert, zorder
 from zspan.geometry import text as wkt
 from zspan.index import maintain
-from zspan.index.build import ZIndex, build_index, sort_by_zmin, with_rank
-from zspan.index.query import boxes_meet, candidates, disjoint, leaf_hits, range_join, starts, with_window_interval
-from zspan.plans import settle
+from zspan.index.build import ZIndex, build_index, sort_by_zmin
+from zspan.index.query import boxes_meet, candidates, disjoint_counts, late_range_join, leaf_hits, locate, range_join, with_window_interval
+from zspan.interval import dominates, vertex_interval, with_zinterval, z_contains, z_overlaps
+from zspan.plans import new_path, settle, with_rank
 from zspan.sources import fixtures
 from zspan.sources.tables import load
 from zspan.streaming import ingest
@@ -52,23 +53,59 @@ def geoms(spark: SparkSession, d: str, name: str) -> DataFrame:
 
 @_kept
 def windows(spark: SparkSession, d: str, name: str, sel: str) -> DataFrame:
-    return settle(knn_windows(geoms(spark, d, name), sel))
+    return settle(knn_windows(geoms(spark, d, name), index(spark, d, name), sel))
 
 
 def config(n: int, **changes) -> IndexConfig:
-    return IndexConfig(**({"leaf_cap": o.LEAF_CAP, "m": max(1, n // 1000)} | changes))
+    """Small leaves, filled whole so that SQL can cut the same ones."""
+    return IndexConfig(**({"leaf_cap": o.LEAF_CAP, "m": max(1, n // 1000), "fill": 1.0} | changes))
+
+
+KINDS: dict[str, dict] = {
+    "linear": {},
+    "adaptive": {"leaf_policy": "adaptive"},
+    "btree": {"base": "btree"},
+    "spline": {"base": "spline_radix"},
+    "plain": {"augment": False},
+    "zmax": {"augment": False, "sort_key": "zmax"},
+    "leafgroups": {"grouping": "leaf"},
+    "sketch": {"exact_threshold": False},
+    "gapped": {"fill": 0.7},
+    "banded": {"leaf_policy": "banded", "partitions": 6},
+}
 
 
 @_kept
 def index(spark: SparkSession, d: str, name: str, kind: str = "linear") -> ZIndex:
     g = geoms(spark, d, name)
-    how = {"linear": {}, "adaptive": {"leaf_policy": "adaptive"}, "btree": {"base": "btree"}, "spline": {"base": "spline_radix"}, "plain": {"augment": False}, "leafgroups": {"grouping": "leaf"}, "sketch": {"exact_threshold": False}}[kind]
-    return build_index(g, config(g.count(), **how))
+    if kind.startswith("cell"):
+        units = int(kind[4:])
+        return build_index(with_zinterval(g.drop("zmin", "zmax", "zlen"), units), config(g.count(), units_per_cell=units))
+    return build_index(g, config(g.count(), **KINDS[kind]))
+
+
+@_kept
+def rtree(spark: SparkSession, d: str, name: str) -> trees.RTree:
+    return trees.RTree.fit(geoms(spark, d, name))
+
+
+@_kept
+def quadtree(spark: SparkSession, d: str, name: str) -> trees.Quadtree:
+    return trees.Quadtree.fit(geoms(spark, d, name))
+
+
+@_kept
+def blocks(spark: SparkSession, d: str, name: str) -> tuple[DataFrame, DataFrame]:
+    rows = settle(with_rank(geoms(spark, d, name).repartitionByRange("geom_id").sortWithinPartitions("geom_id")))
+    return rows, settle(trees.zonemap(rows, 256))
 
 
 @_kept
-def packed(spark: SparkSession, d: str, name: str) -> list[DataFrame]:
-    return trees.rtree(geoms(spark, d, name))
+def cells(spark: SparkSession, d: str, name: str) -> DataFrame:
+    return settle(trees.grid(geoms(spark, d, name), GRID_SIDE))
+
+
+GRID_SIDE = 20_000_000
 
 
 def add(name: str, fn: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
@@ -85,13 +122,15 @@ def _answer(method: str, name: str, sel: str, rel: str):
         if method == "scan":
             return trees.scan(g, w, rel)
         if method == "rtree":
-            return trees.rtree_query(packed(spark, d, name), w, rel)
+            return rtree(spark, d, name).search(w, rel)
         if method == "quadtree":
-            return trees.quadtree_query(trees.quadtree(g), w, rel)
+            return quadtree(spark, d, name).search(w, rel)
         if method == "zonemap":
-            return trees.zonemap_query(with_rank(g.repartitionByRange("geom_id").sortWithinPartitions("geom_id")), w, rel, 256)
+            return trees.zonemap_query(*blocks(spark, d, name), w, rel, 256)
         if method == "grid":
-            return trees.grid_query(trees.grid(g, 20_000_000), w, rel, 20_000_000)
+            return trees.grid_query(cells(spark, d, name), w, rel, GRID_SIDE)
+        if method == "joins":
+            return range_join(index(spark, d, name), w, rel, QueryOptions(resident=False))
         return range_join(index(spark, d, name, method), w, rel)
 
     return run
@@ -106,8 +145,13 @@ def _define() -> None:
             for rel in ("contains", "intersects"):
                 sql = o.with_(g, w, o.results(name, rel), select="SELECT qid, geom_id FROM hits")
                 add(f"{rel}_{name}_{sel}", _answer("linear", name, sel, rel), sql)
-                for method in ("btree", "spline", "adaptive", "rtree", "quadtree", "zonemap", "grid", "scan") if sel == "01pct" else ():
-                    add(f"{rel}_{name}_{sel}_{method}", _answer(method, name, sel, rel), sql)
+                for method in ("btree", "spline", "adaptive", "joins", "rtree", "quadtree", "zonemap", "grid", "scan"):
+                    if sel == "01pct" or method in ("btree", "rtree", "quadtree", "scan"):
+                        add(f"{rel}_{name}_{sel}_{method}", _answer(method, name, sel, rel), sql)
+                meeting = o.with_(g, w, select=f"SELECT w.qid, count(b.geom_id) AS checked FROM windows w LEFT JOIN boxes b ON {o._MEET} GROUP BY w.qid")
+                add(f"checked_{rel}_{name}_{sel}_rtree", lambda s, d, n=name, x=sel: metrics._per_window(windows(s, d, n, x), rtree(s, d, n).candidates(windows(s, d, n, x)), "checked"), meeting)
+                add(f"checked_{rel}_{name}_{sel}_quadtree", lambda s, d, n=name, x=sel: metrics._per_window(windows(s, d, n, x), quadtree(s, d, n).candidates(windows(s, d, n, x)), "checked"), o.with_(g, w, o.QUADS, select="SELECT w.qid, count(q.geom_id) AS checked FROM windows w LEFT JOIN quads q ON q.qx0 <= w.wx1 AND q.qx0 + q.side > w.wx0 AND q.qy0 <= w.wy1 AND q.qy0 + q.side > w.wy0 GROUP BY w.qid"))
+                add(f"checked_{rel}_{name}_{sel}_btree", lambda s, d, n=name, x=sel, r=rel: metrics.records_checked(index(s, d, n, "btree"), windows(s, d, n, x), r), o.with_(g, w, o.stores(), o.starting(rel), o.checked(rel), select="SELECT qid, checked FROM seen"))
                 add(f"checked_{rel}_{name}_{sel}", lambda s, d, n=name, x=sel, r=rel: metrics.records_checked(index(s, d, n), windows(s, d, n, x), r), o.with_(g, w, o.stores(), o.starting(rel), o.checked(rel), select="SELECT qid, checked FROM seen"))
                 if rel == "contains":
                     add(f"leafskip_{rel}_{name}_{sel}", lambda s, d, n=name, x=sel, r=rel: _leafskip(s, d, n, x, r), o.with_(g, w, o.stores(), o.starting(rel), o.checked(rel), o.checked(rel, False), select="SELECT qid, a.checked AS without_skip, s.checked AS with_skip FROM seen s JOIN seen_all a USING (qid)"))
@@ -124,7 +168,7 @@ def _define() -> None:
             add(f"nation_tiles_{rel}_{name}", lambda s, d, n=name, r=rel: _tiles(s, d, n, r), tiles)
         add(f"selectivity_{name}", lambda s, d, n=name: metrics.selectivity(range_join(index(s, d, n), windows(s, d, n, "1pct"), "intersects"), windows(s, d, n, "1pct"), geoms(s, d, n).count()), o.with_(g, o.windows("1pct"), o.results(name, "intersects"), select="SELECT w.qid, count(geom_id) AS results, CAST(count(geom_id) * 1000000 // (SELECT count(*) FROM boxes) AS BIGINT) AS per_million FROM windows w LEFT JOIN hits USING (qid) GROUP BY w.qid"))
         add(f"checked_plain_contains_{name}", lambda s, d, n=name: metrics.records_checked(index(s, d, n, "plain"), windows(s, d, n, "01pct"), "contains", False), o.with_(g, o.windows("01pct"), select="SELECT qid, count(geom_id) AS checked FROM windows LEFT JOIN boxes ON zmin BETWEEN zlo AND zhi GROUP BY qid"))
-        add(f"rtree_checked_{name}", lambda s, d, n=name: trees.rtree_candidates(packed(s, d, n), windows(s, d, n, "01pct")).groupBy("qid").agg(F.count("*").alias("checked")), o.with_(g, o.windows("01pct"), select=f"SELECT qid, count(*) AS checked FROM windows w JOIN boxes b ON {o._MEET} GROUP BY qid"))
+        add(f"op_join_semi_rtree_{name}", lambda s, d, n=name: trees.rtree_candidates(trees.rtree(geoms(s, d, n)), windows(s, d, n, "01pct")).groupBy("qid").agg(F.count("*").alias("checked")), o.with_(g, o.windows("01pct"), select=f"SELECT qid, count(*) AS checked FROM windows w JOIN boxes b ON {o._MEET} GROUP BY qid"))
         for m in (1, 10, 100, 1000, 10000, None):
             label = "all" if m is None else m
             add(f"staircase_{name}_m{label}", lambda s, d, n=name, m=m: staircase.build(index(s, d, n).main, m), o.with_(g, o.stores(m="n" if m is None else str(m)), select="SELECT * FROM stairs"))
@@ -135,25 +179,34 @@ def _define() -> None:
         add(f"op_staircase_lookup_{name}", lambda s, d, n=name: staircase.augment(with_window_interval(windows(s, d, n, "01pct")), index(s, d, n).stairs).select("qid", "zstart"), o.with_(g, o.windows("01pct"), o.stores(), o.starting("intersects"), select="SELECT qid, zstart FROM begun WHERE store = 0"))
         add(f"op_exact_lowest_{name}", lambda s, d, n=name: staircase.exact_lowest(index(s, d, n).main, with_window_interval(windows(s, d, n, "01pct"))), o.with_(g, o.windows("01pct"), o.stores(), select="SELECT qid, min(zmin) AS lowest FROM windows JOIN ranked ON store = 0 AND zmax >= zlo GROUP BY qid"))
         add(f"start_gap_{name}", lambda s, d, n=name: _gap(s, d, n), o.with_(g, o.windows("01pct"), o.stores(), o.starting("intersects"), select="SELECT b.qid, least(any_value(zlo), coalesce(min(zmin), any_value(zlo))) - any_value(zstart) AS gap FROM begun b LEFT JOIN ranked r ON r.store = 0 AND zmax >= zlo WHERE b.store = 0 GROUP BY b.qid"))
-        add(f"op_leaf_directory_{name}", lambda s, d, n=name: index(s, d, n).leaves, o.with_(g, o.stores(), select="SELECT leaf_id, first_key, last_key, n, x0, y0, x1, y1 FROM leaves WHERE store = 0"))
+        add(f"op_leaf_directory_{name}", lambda s, d, n=name: index(s, d, n).leaves.select("leaf_id", "first_key", "last_key", "n", "x0", "y0", "x1", "y1"), o.with_(g, o.stores(), select="SELECT leaf_id, first_key, last_key, n, x0, y0, x1, y1 FROM leaves WHERE store = 0"))
         add(f"op_linear_leaf_fit_{name}", lambda s, d, n=name: _fit(s, d, n), o.with_(g, o.stores(), """
             f AS (SELECT r.leaf_id, r.rank0 - r.leaf_id * 64 AS slot, CAST(r.zmin - l.first_key AS DOUBLE) AS t FROM ranked r JOIN leaves l ON l.store = 0 AND l.leaf_id = r.leaf_id WHERE r.store = 0)""", select="SELECT leaf_id, round(coalesce(regr_slope(slot, t), 0) * 1000000000, 3) AS slope_e9, count(*) AS n FROM f GROUP BY leaf_id"))
         for c in ("zmin", "zmax", "zlen"):
             add(f"op_cdf_{c}_{name}", lambda s, d, n=name, c=c: metrics.cdf_exact(geoms(s, d, n), c), o.with_(g, f"r AS (SELECT {c} AS value, row_number() OVER (ORDER BY {c}) AS r, count(*) OVER () AS n FROM boxes)", select="SELECT i AS nth, value FROM range(1, 101) t(i) JOIN r ON r.r = (i * n + 99) // 100"))
         add(f"op_topk_longest_{name}", lambda s, d, n=name: geoms(s, d, n).orderBy(F.desc("zlen"), "geom_id").limit(20).select("geom_id", "zlen"), o.with_(g, select="SELECT geom_id, zlen FROM boxes ORDER BY zlen DESC, geom_id LIMIT 20"))
-        add(f"op_grid_replication_{name}", lambda s, d, n=name: trees.grid(geoms(s, d, n), 20_000_000).groupBy("geom_id").agg(F.count("*").alias("cells")), o.with_(g, select="SELECT geom_id, (x1 // 20000000 - x0 // 20000000 + 1) * (y1 // 20000000 - y0 // 20000000 + 1) AS cells FROM boxes"))
+        add(f"op_grid_replication_{name}", lambda s, d, n=name: cells(s, d, n).groupBy("geom_id").agg(F.count("*").alias("cells")), o.with_(g, select="SELECT geom_id, (x1 // 20000000 - x0 // 20000000 + 1) * (y1 // 20000000 - y0 // 20000000 + 1) AS cells FROM boxes"))
         add(f"op_quadtree_cell_{name}", lambda s, d, n=name: trees.quadtree(geoms(s, d, n)).select("geom_id", "level", "code"), o.with_(g, "q AS (SELECT geom_id, zmin, least(20, 30 - CASE WHEN xor(zmin, zmax) = 0 THEN 0 ELSE (length(ltrim(bin(xor(zmin, zmax)), '0')) + 1) // 2 END) AS level FROM boxes)", select="SELECT geom_id, CAST(level AS BIGINT) AS level, zmin >> CAST(2 * (30 - level) AS INTEGER) AS code FROM q"))
-        add(f"op_zonemap_blocks_{name}", lambda s, d, n=name: trees.zonemap(with_rank(geoms(s, d, n).repartitionByRange("geom_id").sortWithinPartitions("geom_id")), 256), o.with_(g, "r AS (SELECT *, row_number() OVER (ORDER BY geom_id) - 1 AS rk FROM boxes)", select="SELECT rk // 256 AS block, count(*) AS n, min(x0) AS x0, min(y0) AS y0, max(x1) AS x1, max(y1) AS y1 FROM r GROUP BY 1"))
-        add(f"index_size_{name}", lambda s, d, n=name: metrics.index_bytes(index(s, d, n)))
+        add(f"op_zonemap_blocks_{name}", lambda s, d, n=name: blocks(s, d, n)[1], o.with_(g, "r AS (SELECT *, row_number() OVER (ORDER BY geom_id) - 1 AS rk FROM boxes)", select="SELECT rk // 256 AS block, count(*) AS n, min(x0) AS x0, min(y0) AS y0, max(x1) AS x1, max(y1) AS y1 FROM r GROUP BY 1"))
+        sizes = o.with_(g, o.stores(), o.sizes(), select="SELECT method, part, CAST(bytes AS BIGINT) AS bytes FROM sizes")
+        add(f"index_size_{name}", lambda s, d, n=name: _sizes(s, d, n), sizes)
+        over = o.with_(g, o.stores(), o.sizes(), "whole AS (SELECT method, CAST(sum(bytes) AS BIGINT) AS bytes FROM sizes WHERE part <> 'entries' GROUP BY method), data AS (SELECT CAST(sum(8 + 16 * n) AS BIGINT) AS d FROM (SELECT count(*) AS n FROM verts GROUP BY geom_id))", select="SELECT method, bytes, 1000 * bytes // d AS per_mille FROM whole, data")
+        add(f"storage_overhead_{name}", lambda s, d, n=name: _overhead(s, d, n), over)
         add(f"storage_cost_{name}", lambda s, d, n=name: _cost(s, d, n), o.with_(g, select="SELECT tier, 40 * n AS bytes, round(40 * n / 1e9 * CASE tier WHEN 1 THEN 0.08 WHEN 2 THEN 0.1 ELSE 0.12 END, 12) AS dollars FROM (SELECT count(*) AS n FROM boxes), (VALUES (1), (2), (3)) t(tier)"))
         for units in (1, 2, 20, 200, 2000, 20000):
             add(f"cellsize_{name}_{units}", lambda s, d, n=name, u=units: _cells(s, d, n, u), o.with_(g, f"c AS (SELECT {o.z(f'(x0 // {units})', f'(y0 // {units})')} AS zmin, {o.z(f'(x1 // {units})', f'(y1 // {units})')} AS zmax FROM boxes)", select="SELECT count(*) AS n, count(DISTINCT zmin) AS codes, max(zmax - zmin) AS longest FROM c"))
+            zs = f"c AS (SELECT {o.z(f'(x0 // {units})', f'(y0 // {units})')} AS zmin FROM boxes), q AS (SELECT qid, {o.z(f'(wx0 // {units})', f'(wy0 // {units})')} AS zlo, {o.z(f'(wx1 // {units})', f'(wy1 // {units})')} AS zhi FROM windows)"
+            add(f"cellsize_checked_{name}_{units}", lambda s, d, n=name, u=units: metrics.records_checked(index(s, d, n, f"cell{u}"), windows(s, d, n, "01pct"), "contains", False), o.with_(g, o.windows("01pct"), zs, select="SELECT qid, count(c.zmin) AS checked FROM q LEFT JOIN c ON zmin BETWEEN zlo AND zhi GROUP BY qid"))
+            if units in (200, 20000):
+                add(f"cellsize_intersects_{name}_{units}", lambda s, d, n=name, u=units: range_join(index(s, d, n, f"cell{u}"), windows(s, d, n, "01pct"), "intersects"), ORACLE_SQL[f"intersects_{name}_01pct"])
         half = "((geom_id * 1103515245 + 12345) % 2147483648) % 100 < 50"
-        bulk = f"all_boxes AS (SELECT * FROM boxes), live AS (SELECT * FROM boxes WHERE {half})"
         add(f"after_insert_intersects_{name}", lambda s, d, n=name: range_join(grown(s, d, n), windows(s, d, n, "01pct"), "intersects"), o.with_(g, o.windows("01pct"), o.results(name, "intersects"), select="SELECT qid, geom_id FROM hits"))
         add(f"after_delete_contains_{name}", lambda s, d, n=name: range_join(shrunk(s, d, n), windows(s, d, n, "1pct"), "contains"), o.with_(g, o.windows("1pct"), o.results(name, "contains"), select=f"SELECT qid, geom_id FROM hits WHERE {half}"))
         add(f"after_delete_compact_intersects_{name}", lambda s, d, n=name: range_join(maintain.merge_leaves(maintain.compact(shrunk(s, d, n))), windows(s, d, n, "1pct"), "intersects"), o.with_(g, o.windows("1pct"), o.results(name, "intersects"), select=f"SELECT qid, geom_id FROM hits WHERE {half}"))
-        del bulk
+        add(f"after_insert_stairs_{name}", lambda s, d, n=name: staircase.augment(with_window_interval(windows(s, d, n, "01pct")), grown(s, d, n).stairs).select("qid", (F.col("zstart") <= F.col("zlo")).alias("lowered")).join(_bounded(s, d, n), "qid"), o.with_(g, o.windows("01pct"), select="SELECT qid, true AS lowered, true AS bounded FROM windows"))
+        for method in ("rtree", "quadtree", "btree"):
+            add(f"after_insert_intersects_{name}_{method}", lambda s, d, n=name, m=method: upkept(s, d, n, m, "insert").search(windows(s, d, n, "01pct"), "intersects"), ORACLE_SQL[f"intersects_{name}_01pct"])
+            add(f"after_delete_contains_{name}_{method}", lambda s, d, n=name, m=method: upkept(s, d, n, m, "delete").search(windows(s, d, n, "1pct"), "contains"), ORACLE_SQL[f"after_delete_contains_{name}"])
     for name in (*SETS, "points"):
         g = o.geoms(name)
         add(f"op_mbr_{name}", lambda s, d, n=name: geoms(s, d, n).select("geom_id", "x0", "y0", "x1", "y1"), o.with_(g, select="SELECT geom_id, x0, y0, x1, y1 FROM boxes"))
@@ -178,6 +231,27 @@ def _with_stairs(s, d, name, m):
     return metrics.records_checked(ix, windows(s, d, name, "01pct"), "intersects")
 
 
+def _bounded(s, d, name):
+    """(qid, bounded): whether the start after all inserts is not above the least zmin that reaches the window."""
+    ix, w = grown(s, d, name), with_window_interval(windows(s, d, name, "01pct"))
+    exact = staircase.exact_lowest(ix.main, w)
+    return staircase.augment(w, ix.stairs).join(exact, "qid", "left").select("qid", (F.col("zstart") <= F.least("zlo", F.coalesce("lowest", "zlo"))).alias("bounded"))
+
+
+def _sizes(s, d, name):
+    out = None
+    for method, kind in (("linear", "linear"), ("btree", "btree")):
+        own = metrics.index_bytes(index(s, d, name, kind)).withColumn("method", F.lit(method))
+        out = own if out is None else out.unionByName(own)
+    rivals = [("rtree", "nodes", rtree(s, d, name).size_bytes()), ("quadtree", "nodes", quadtree(s, d, name).size_bytes())]
+    return out.unionByName(s.createDataFrame(rivals, "method string, part string, bytes long")).select("method", "part", "bytes")
+
+
+def _overhead(s, d, name):
+    whole = {r["method"]: r["b"] for r in _sizes(s, d, name).where("part <> 'entries'").groupBy("method").agg(F.sum("bytes").alias("b")).collect()}  # one row a method
+    return metrics.overhead(whole, metrics.data_bytes(geoms(s, d, name)), s)
+
+
 def _threshold(s, d, name, q):
     g = geoms(s, d, name)
     t = outliers.length_threshold(g, q, exact=True)
@@ -189,14 +263,9 @@ def _gap(s, d, name):
     return metrics.start_gap(w, staircase.exact_lowest(ix.main, w), staircase.augment(w, ix.stairs))
 
 
-def _slots(s, d, name):
-    ix = index(s, d, name)
-    return ix.main.select("leaf_id", (F.col("rank") - F.col("leaf_id") * o.LEAF_CAP).alias("slot"), "zmin"), ix.leaves
-
-
 def _fit(s, d, name):
-    rows, leaves = _slots(s, d, name)
-    return linear.leaf_models(rows, leaves).join(leaves, "leaf_id").select("leaf_id", F.round(F.col("slope") * 1e9, 3).alias("slope_e9"), "n")
+    ix = index(s, d, name)
+    return ix.leaf_models.join(ix.leaves, "leaf_id").select("leaf_id", F.round(F.col("slope") * 1e9, 3).alias("slope_e9"), "n")
 
 
 def _cost(s, d, name):
@@ -205,28 +274,67 @@ def _cost(s, d, name):
 
 
 def _cells(s, d, name, units):
-    from zspan.interval import with_zinterval
-
     return with_zinterval(geoms(s, d, name).select("x0", "y0", "x1", "y1"), units).agg(F.count("*").alias("n"), F.countDistinct("zmin").alias("codes"), F.max("zlen").alias("longest"))
 
 
 @_kept
 def grown(spark: SparkSession, d: str, name: str) -> ZIndex:
+    """Half loaded, half inserted in ten batches, into leaves built with slack."""
     g = geoms(spark, d, name)
-    return hybrid.after_inserts(g, config(g.count()))[0]
+    return hybrid.after_inserts(g, config(g.count(), fill=0.7))[0].ix
 
 
 @_kept
 def shrunk(spark: SparkSession, d: str, name: str) -> ZIndex:
     g = geoms(spark, d, name)
-    return hybrid.after_deletes(g, config(g.count()))[0]
+    return hybrid.after_deletes(g, config(g.count()), 2)[0].ix
+
+
+@_kept
+def upkept(spark: SparkSession, d: str, name: str, method: str, op: str):
+    g = geoms(spark, d, name)
+    run = hybrid.after_inserts if op == "insert" else hybrid.after_deletes
+    return run(g, config(g.count(), fill=0.7), 4, method)[0]
+
+
+@_kept
+def mixed(spark: SparkSession, d: str, read_share: float):
+    """The whole mixed run on roads: 50 inserts of 1 % each."""
+    g, w = geoms(spark, d, "roads"), windows(spark, d, "roads", "1pct")
+    ix, log, found = hybrid.hybrid(g, w, config(g.count(), fill=0.7), read_share)
+    return ix, log, settle(found)
+
+
+def _events(s, d):
+    return s.readStream.schema(load(s, d, "events").schema).option("pathGlobFilter", "events.parquet").parquet(d)
+
 
+@_kept
+def streamed(spark: SparkSession, d: str) -> ZIndex:
+    """Half of water at once, then the event stream, then the same stream once more: equal records take their own place."""
+    g = geoms(spark, d, "water")
+    return ingest.ingested(_events(spark, d), g.where(is_bulk()), config(g.count(), fill=0.7), replays=1)
+
+
+def _answered(s, d):
+    """Windows arriving as a stream, answered from the streamed index."""
+    from zspan.index import storage
 
-def _hybrid(s, d, read_share):
-    """A short mixed run to its end, then every window on the index it left."""
-    g, w = geoms(s, d, "roads"), windows(s, d, "roads", "1pct")
-    ix, _ = hybrid.hybrid(g, w, config(g.count()), read_share, inserts=2)
-    return range_join(ix, w, "intersects")
+    at = new_path(s, "answers")
+    storage.save(streamed(s, d), f"{at}/index")
+    windows(s, d, "water", "01pct").write.parquet(f"{at}/windows")
+    w = s.readStream.schema(windows(s, d, "water", "01pct").schema).parquet(f"{at}/windows")
+    ingest.answers(w, ingest.IndexHolder(s, f"{at}/index"), "intersects", f"{at}/out", f"{at}/log").awaitTermination()
+    return s.read.parquet(f"{at}/out").select("qid", "geom_id")
+
+
+def _touches(s, d):
+    """Boxes of parks themselves as windows: they touch their own shape nowhere inside, and others at their border."""
+    w = geoms(s, d, "parks").where("geom_id % 37 = 5").select(F.col("geom_id").alias("qid"), (F.col("x0") - F.lit(4000)).alias("wx0"), F.col("x0").alias("wx1"), F.col("y0").alias("wy0"), F.col("y1").alias("wy1"))
+    w = with_window_interval(w)
+    p = lambda x, y: F.struct(F.col(x).alias("x"), F.col(y).alias("y"))
+    shaped = w.withColumns({"qkind": F.lit("POLYGON"), "qrings": F.array(F.array(p("wx0", "wy0"), p("wx1", "wy0"), p("wx1", "wy1"), p("wx0", "wy1"), p("wx0", "wy0")))})
+    return range_join(index(s, d, "parks"), shaped, "touches")
 
 
 def _triangles(s, d, rel):
@@ -250,7 +358,7 @@ def _operators() -> None:
         return n.crossJoin(n.withColumnRenamed("x", "y"))
 
     add("op_zaddress_grid", lambda s, d: grid_cells(s, d).select("x", "y", zorder.z_address(F.col("x"), F.col("y")).alias("z")), f"WITH {grid} SELECT x, y, {o.z('x', 'y')} AS z FROM g")
-    add("op_dominance_order", lambda s, d: grid_cells(s, d).alias("a").crossJoin(grid_cells(s, d).alias("b")).where("a.x <= b.x and a.y <= b.y").agg(F.count("*").alias("pairs"), F.sum((zorder.z_address(F.col("a.x"), F.col("a.y")) <= zorder.z_address(F.col("b.x"), F.col("b.y"))).cast("long")).alias("in_order")), f"WITH {grid} SELECT count(*) AS pairs, count(*) AS in_order FROM g a, g b WHERE a.x <= b.x AND a.y <= b.y")
+    add("op_dominance_order", lambda s, d: grid_cells(s, d).alias("a").crossJoin(grid_cells(s, d).alias("b")).where(dominates(F.col("a.x"), F.col("a.y"), F.col("b.x"), F.col("b.y"))).agg(F.count("*").alias("pairs"), F.sum((zorder.z_address(F.col("a.x"), F.col("a.y")) <= zorder.z_address(F.col("b.x"), F.col("b.y"))).cast("long")).alias("in_order")), f"WITH {grid} SELECT count(*) AS pairs, count(*) AS in_order FROM g a, g b WHERE a.x <= b.x AND a.y <= b.y")
 
     def decoded(s, d):
         g = geoms(s, d, "roads")
@@ -267,7 +375,7 @@ def _operators() -> None:
     cols = ", ".join(f"CAST(floor((CAST(embedding[{i}] AS DOUBLE) * {w} + {w}.0) / CAST({c} AS DOUBLE)) AS BIGINT) AS {a}_{n}" for c, n in (("5e-7", "fine"), ("1e-6", "mid"), ("1e-3", "coarse")) for i, w, a in ((1, 180, "x"), (2, 90, "y")))
     add("op_quantise_lonlat", lonlat, f"SELECT vec_id, {cols} FROM embeddings")
     add("op_vertex_interval_misses", lambda s, d: _vertex_misses(s, d), o.with_(parks, f"v AS (SELECT geom_id, min({o.z('x', 'y')}) AS vmin, max({o.z('x', 'y')}) AS vmax FROM verts GROUP BY geom_id)", select="SELECT count(*) FILTER (vmin > zmin OR vmax < zmax) AS missing, count(*) AS n FROM v JOIN boxes USING (geom_id)"))
-    add("op_hilbert_boundary_parks", lambda s, d: hilbert.boundary_interval(geoms(s, d, "parks").select("geom_id", *[F.floor(F.col(c) / 5_625_000).alias(c) for c in ("x0", "y0", "x1", "y1")]), 7))
+    add("op_hilbert_boundary_parks", lambda s, d: hilbert.boundary_interval(geoms(s, d, "parks").select("geom_id", *[F.floor(F.col(c) / 5_625_000).alias(c) for c in ("x0", "y0", "x1", "y1")]), 7), o.with_(parks, o.HILBERT, select="SELECT geom_id, min(h) AS hmin, max(h) AS hmax, count(*) AS cells FROM border JOIN curve USING (x, y) GROUP BY geom_id"))
     add("op_btree_levels_roads", lambda s, d: btree.level_tables(index(s, d, "roads").leaves, 8), o.with_(roads, o.stores(), "l0 AS (SELECT row_number() OVER (ORDER BY first_key, leaf_id) - 1 AS node, first_key FROM leaves WHERE store = 0), s AS (SELECT count(*) AS n FROM l0)", select="""
         SELECT CAST(lv AS BIGINT) AS level, node // CAST(8 ** lv AS BIGINT) AS node, min(first_key) AS first_key FROM l0, s, range(0, 12) t(lv)
         WHERE lv = 0 OR 8 ** (lv - 1) < n GROUP BY 1, 2"""))
@@ -275,14 +383,25 @@ def _operators() -> None:
         add(f"op_order_violations_{base}", lambda s, d, b=base: protocol.order_violations(index(s, d, "roads", b).main.select("leaf_id", F.col("rank").alias("slot"), "zmin")).agg(F.count("*").alias("violations")), "SELECT 0 AS violations")
     add("op_order_violations_two_stage", lambda s, d: protocol.order_violations(linear.two_stage(geoms(s, d, "roads"))).agg((F.count("*") > 0).alias("violates")), "SELECT true AS violates")
 
-    def located(s, d):
-        ix = index(s, d, "roads")
-        keys = windows(s, d, "roads", "01pct")
-        return maintain.route(ix.leaves, with_window_interval(keys).select("qid", F.col("zlo").alias("zmin"))).select("qid", "leaf_id")
+    at = o.with_(roads, o.windows("01pct"), o.stores(), "p AS (SELECT qid, zlo, coalesce((SELECT max(leaf_id) FROM leaves WHERE store = 0 AND first_key <= zlo), 0) AS pos FROM windows)", select="SELECT qid, pos, count(r.geom_id) AS slot FROM p LEFT JOIN ranked r ON r.store = 0 AND r.leaf_id = pos AND r.zmin < zlo GROUP BY qid, pos")
 
-    add("op_locate_asof_roads", located, o.with_(roads, o.windows("01pct"), o.stores(), "l AS (SELECT first_key, max(leaf_id) AS leaf_id FROM leaves WHERE store = 0 GROUP BY first_key)", select="SELECT qid, coalesce((SELECT max(leaf_id) FROM l WHERE first_key <= zlo), 0) AS leaf_id FROM windows"))
+    def located(s, d, base, by_joins=False):
+        keys = with_window_interval(windows(s, d, "roads", "01pct")).select("qid", F.col("zlo").alias("key"))
+        return locate(index(s, d, "roads", base), keys, by_joins=by_joins)
+
+    def steps(s, d, base):
+        """Whether every key is found in as few comparisons as the base promises: inner levels, then the leaf."""
+        ix = index(s, d, "roads", base)
+        got = located(s, d, base).join(ix.leaf_models, "leaf_id")
+        most = 64 if base == "btree" else 2 * F.ceil(F.log2(F.lit(float(o.LEAF_CAP)) + 1)) + 1 + 2 * F.ceil(F.log2(F.lit(float(max(2, ix.base.n))))) * 2 + 2
+        return got.agg(F.count("*").alias("keys"), F.sum((F.col("steps") <= most).cast("long")).alias("bounded"), F.sum((F.abs(F.col("predicted") - F.col("slot")) <= o.LEAF_CAP).cast("long")).alias("near"))
+
+    for base in ("linear", "btree", "spline"):
+        add(f"op_locate_{base}_roads", lambda s, d, b=base: located(s, d, b).select("qid", "pos", "slot"), at)
+        add(f"op_locate_{base}_roads_joins", lambda s, d, b=base: located(s, d, b, True).select("qid", "pos", "slot"), at)
+        add(f"op_search_steps_{base}", lambda s, d, b=base: steps(s, d, b), o.with_(roads, o.windows("01pct"), select="SELECT count(*) AS keys, count(*) AS bounded, count(*) AS near FROM windows"))
     w = o.windows("01pct")
-    add("op_join_range_dir", lambda s, d: leaf_hits(index(s, d, "roads").leaves, with_window_interval(windows(s, d, "roads", "01pct")).withColumn("zstart", F.col("zlo"))).select("qid", "leaf_id"), o.with_(roads, w, o.stores(), select="SELECT qid, leaf_id FROM windows w JOIN leaves b ON store = 0 AND first_key <= zhi AND last_key >= zlo AND " + o._MEET))
+    add("op_join_range_dir", lambda s, d: leaf_hits(index(s, d, "roads").main_store, with_window_interval(windows(s, d, "roads", "01pct")).withColumn("zstart", F.col("zlo"))).select("qid", "leaf_id"), o.with_(roads, w, o.stores(), select="SELECT qid, leaf_id FROM windows w JOIN leaves b ON store = 0 AND first_key <= zhi AND last_key >= zlo AND " + o._MEET))
 
     def lateral(s, d):
         index(s, d, "roads").leaves.createOrReplaceTempView("zspan_leaves")
@@ -303,6 +422,14 @@ def _operators() -> None:
     add("op_leaf_grouped_stairs_intersects", _answer("leafgroups", "roads", "01pct", "intersects"), ORACLE_SQL["intersects_roads_01pct"])
     add("op_sketched_threshold_intersects", _answer("sketch", "roads", "01pct", "intersects"), ORACLE_SQL["intersects_roads_01pct"])
     add("op_plain_index_contains", _answer("plain", "roads", "01pct", "contains"), ORACLE_SQL["contains_roads_01pct"])
+    add("op_zmax_index_contains", _answer("zmax", "roads", "01pct", "contains"), ORACLE_SQL["contains_roads_01pct"])
+    add("op_gapped_index_intersects", _answer("gapped", "roads", "01pct", "intersects"), ORACLE_SQL["intersects_roads_01pct"])
+    add("op_gapped_leaves_roads", lambda s, d: index(s, d, "roads", "gapped").leaves.select("leaf_id", "first_key", "n"), o.with_(roads, o.stores(cap=int(o.LEAF_CAP * 0.7)), select="SELECT leaf_id, first_key, n FROM leaves WHERE store = 0"))
+    for rel in ("contains", "intersects"):
+        add(f"op_banded_index_{rel}", _answer("banded", "roads", "01pct", rel), ORACLE_SQL[f"{rel}_roads_01pct"])
+        add(f"op_late_materialisation_{rel}", lambda s, d, r=rel: late_range_join(index(s, d, "roads"), windows(s, d, "roads", "01pct"), r), ORACLE_SQL[f"{rel}_roads_01pct"])
+    add("op_touches_boxes_parks", _touches, o.with_(parks, o.TOUCHING, select="SELECT qid, geom_id FROM touching"))
+    add("op_histogram_roads", lambda s, d: trees.histogram(geoms(s, d, "roads")), o.with_(roads, select="SELECT CAST(floor((x0 + x1) / 90000000) + 1 AS BIGINT) AS bx, CAST(floor((y0 + y1) / 45000000) + 1 AS BIGINT) AS by, count(*) AS n FROM boxes GROUP BY 1, 2"))
 
     def matrix(s, d):
         wi, g, ix = windows(s, d, "parks", "01pct"), geoms(s, d, "parks"), index(s, d, "parks")
@@ -312,16 +439,23 @@ def _operators() -> None:
 
     add("op_relation_matrix_parks", matrix, o.with_(parks, w, o.results("parks", "contains").replace("hits", "inner_hits", 1), o.results("parks", "intersects"), "c AS (SELECT qid, count(*) AS n FROM inner_hits GROUP BY qid), i AS (SELECT qid, count(*) AS n FROM hits GROUP BY qid)", select="SELECT w.qid, coalesce(c.n, 0) AS contains, coalesce(i.n, 0) AS intersects, (SELECT count(*) FROM boxes) - coalesce(i.n, 0) AS disjoint FROM windows w LEFT JOIN c USING (qid) LEFT JOIN i USING (qid)"))
     add("op_cube_kinds", lambda s, d: geoms(s, d, "roads").withColumn("long_one", F.col("zlen") > 1 << 40).cube("kind", "long_one").agg(F.count("*").alias("n")), o.with_(roads, "k AS (SELECT b.*, CASE WHEN (SELECT count(*) FROM verts v WHERE v.geom_id = b.geom_id) = 1 THEN 'POINT' ELSE 'LINESTRING' END AS kind, zlen > 1099511627776 AS long_one FROM boxes b)", select="SELECT kind, long_one, count(*) AS n FROM k GROUP BY CUBE (kind, long_one)"))
-    add("op_density_window_roads", lambda s, d: geoms(s, d, "roads").select("geom_id", F.count("*").over(W.orderBy("zmin").rangeBetween(-(1 << 44), 1 << 44)).alias("near")), o.with_(roads, select=f"SELECT geom_id, count(*) OVER (ORDER BY zmin RANGE BETWEEN {1 << 44} PRECEDING AND {1 << 44} FOLLOWING) AS near FROM boxes"))
+    add("op_density_window_roads", lambda s, d: _density(geoms(s, d, "roads"), 44), o.with_(roads, select=f"SELECT geom_id, count(*) OVER (ORDER BY zmin RANGE BETWEEN {1 << 44} PRECEDING AND {1 << 44} FOLLOWING) AS near FROM boxes"))
     add("op_props_json_water", lambda s, d: load(s, d, "events").select("event_id", F.from_json("props", "map<string,bigint>")["k"].alias("k")), "SELECT event_id, CAST(regexp_extract(props, '(\\d+)', 1) AS BIGINT) AS k FROM events")
     add("op_wkt_text_points", lambda s, d: wkt.from_wkt(geoms(s, d, "points").select("geom_id", wkt.to_wkt(F.col("kind"), F.col("rings")).alias("wkt")), "wkt").select("geom_id", "wkt", F.col("rings")[0][0]["x"].alias("x")), o.with_(o.geoms("points"), select="SELECT geom_id, 'POINT (' || x0 || ' ' || y0 || ')' AS wkt, x0 AS x FROM boxes"))
     add("op_trajectory_sessions", lambda s, d: load(s, d, "events").groupBy("user_id", F.session_window("ts", "30 minutes").alias("w")).agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("started"), "n"), "WITH f AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER u + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW u AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM f) SELECT user_id, min(ts) AS started, count(*) AS n FROM s GROUP BY user_id, s")
     add("op_tumbling_inserts_day", lambda s, d: load(s, d, "events").groupBy(F.to_date("ts").alias("day")).agg(F.count("*").alias("n")), "SELECT CAST(ts AS DATE) AS day, count(*) AS n FROM events GROUP BY 1")
     add("op_sliding_inserts", lambda s, d: load(s, d, "events").groupBy(F.window("ts", "2 hours", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("started"), "n"), "WITH h AS (SELECT date_trunc('hour', ts) AS h FROM events) SELECT h - to_hours(k) AS started, count(*) AS n FROM h, range(0, 2) t(k) GROUP BY 1")
 
-    add("stream_insert_water", lambda s, d: ingest.drained(s.readStream.schema(load(s, d, "events").schema).option("pathGlobFilter", "events.parquet").parquet(d)).select("geom_id", F.size(F.col("rings")[0]).cast("long").alias("n")), "SELECT user_id * 100 + day(ts) AS geom_id, count(*) AS n FROM events GROUP BY user_id, CAST(ts AS DATE), day(ts) HAVING CAST(ts AS DATE) + 1 <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)")
+    finished = "SELECT user_id * 100 + day(ts) AS geom_id, count(*) AS n FROM events GROUP BY user_id, CAST(ts AS DATE), day(ts) HAVING CAST(ts AS DATE) + 1 <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
+    add("stream_drained_water", lambda s, d: ingest.drained(_events(s, d)).select("geom_id", F.size(F.col("rings")[0]).cast("long").alias("n")), finished)
+    held = f"held AS (SELECT geom_id, count(*) AS n FROM verts GROUP BY geom_id HAVING ((geom_id * 1103515245 + 12345) % 2147483648) % 100 < 50 OR geom_id IN (SELECT geom_id FROM ({finished})))"
+    add("stream_insert_water", lambda s, d: maintain.visible(streamed(s, d)).select("geom_id", F.size(F.flatten("rings")).cast("long").alias("n")), o.with_(o.geoms("water"), held, select="SELECT geom_id, n FROM held"))
+    add("stream_windows_water", lambda s, d: _answered(s, d), o.with_(o.geoms("water"), o.windows("01pct"), o.results("water", "intersects"), held, select="SELECT qid, geom_id FROM hits WHERE geom_id IN (SELECT geom_id FROM held)"))
     for mix, share in (("read", 0.9), ("write", 0.5)):
-        add(f"hybrid_{mix}_roads", lambda s, d, r=share: _hybrid(s, d, r), o.with_(roads, o.windows("1pct"), o.results("roads", "intersects"), select="SELECT qid, geom_id FROM hits"))
+        every = round(1 / (1 - share))
+        steps_sql = f"plan AS (SELECT i // {every - 1} * {every} + i % {every - 1} AS step, i % 100 AS qid, i // {every - 1} AS loaded FROM range({50 * (every - 1)}) t(i)), arrived AS (SELECT geom_id, CASE WHEN a % 100 < 50 THEN -1 ELSE (a // 100) % 50 END AS batch FROM (SELECT geom_id, (geom_id * 1103515245 + 12345) % 2147483648 AS a FROM boxes)), got AS (SELECT step, p.qid, count(h.geom_id) AS rows FROM plan p LEFT JOIN (SELECT h.*, batch FROM hits h JOIN arrived USING (geom_id)) h ON h.qid = p.qid AND batch < loaded GROUP BY step, p.qid)"
+        add(f"hybrid_{mix}_roads", lambda s, d, r=share: mixed(s, d, r)[2], o.with_(roads, o.windows("1pct"), o.results("roads", "intersects"), steps_sql, select="SELECT step, qid, rows FROM got"))
+        add(f"hybrid_{mix}_final_roads", lambda s, d, r=share: mixed(s, d, r)[0].search(windows(s, d, "roads", "1pct"), "intersects"), o.with_(roads, o.windows("1pct"), o.results("roads", "intersects"), select="SELECT qid, geom_id FROM hits"))
 
     add("op_join_equi_leaf", lambda s, d: index(s, d, "roads").main.select("geom_id", "leaf_id").join(F.broadcast(index(s, d, "roads").leaves.select("leaf_id", "first_key")), "leaf_id").groupBy("leaf_id", "first_key").agg(F.count("*").alias("n")), o.with_(roads, o.stores(), select="SELECT leaf_id, first_key, n FROM leaves WHERE store = 0"))
     add("op_join_semi_boxes", lambda s, d: geoms(s, d, "roads").join(F.broadcast(windows(s, d, "roads", "001pct")), boxes_meet(), "left_semi").select("geom_id"), o.with_(roads, o.windows("001pct"), select=f"SELECT geom_id FROM boxes b WHERE EXISTS (SELECT 1 FROM windows w WHERE {o._MEET})"))
@@ -335,7 +469,7 @@ def _operators() -> None:
     add("op_grouping_sets_kind", sets_of, o.with_(roads, "k AS (SELECT zlen % 7 AS seventh, CASE WHEN (SELECT count(*) FROM verts v WHERE v.geom_id = b.geom_id) = 1 THEN 'POINT' ELSE 'LINESTRING' END AS kind FROM boxes b)", select="SELECT kind, seventh, count(*) AS n FROM k GROUP BY GROUPING SETS ((kind), (seventh), ())"))
     cell_sizes = (1, 20, 2000)
     add("op_count_distinct_zmin_by_cell", lambda s, d: geoms(s, d, "roads").agg(*[F.countDistinct(zorder.z_address(zorder.cell_of_units(F.col("x0"), u), zorder.cell_of_units(F.col("y0"), u))).alias(f"codes_{u}") for u in cell_sizes]), o.with_(roads, select="SELECT " + ", ".join(f"count(DISTINCT {o.z(f'(x0 // {u})', f'(y0 // {u})')}) AS codes_{u}" for u in cell_sizes) + " FROM boxes"))
-    add("op_disjoint_tiles_parks", lambda s, d: disjoint(geoms(s, d, "parks"), index(s, d, "parks"), fixtures.nation_tiles(s, d).select("qid", "wx0", "wx1", "wy0", "wy1")).groupBy("qid").agg(F.count("*").alias("apart")), o.with_(parks, o.TILES, o.results("parks", "intersects"), "i AS (SELECT qid, count(*) AS n FROM hits GROUP BY qid)", select="SELECT w.qid, (SELECT count(*) FROM boxes) - coalesce(i.n, 0) AS apart FROM windows w LEFT JOIN i USING (qid)"))
+    add("op_disjoint_tiles_parks", lambda s, d: disjoint_counts(index(s, d, "parks"), fixtures.nation_tiles(s, d).select("qid", "wx0", "wx1", "wy0", "wy1"), geoms(s, d, "parks").count()), o.with_(parks, o.TILES, o.results("parks", "intersects"), "i AS (SELECT qid, count(*) AS n FROM hits GROUP BY qid)", select="SELECT w.qid, (SELECT count(*) FROM boxes) - coalesce(i.n, 0) AS apart FROM windows w LEFT JOIN i USING (qid)"))
     for rel, sign in (("contains", "<"), ("intersects", "<=")):
         near = "x0 > wx0 AND y0 > wy0" if rel == "contains" else "x0 >= wx0 AND y0 >= wy0"
         add(f"op_triangle_windows_{rel}", lambda s, d, r=rel: _triangles(s, d, r), o.with_(o.geoms("points"), o.TILES, select=f"SELECT qid, geom_id FROM windows, boxes WHERE {near} AND (x0 - wx0) * (wy1 - wy0) + (y0 - wy0) * (wx1 - wx0) {sign} (wx1 - wx0) * (wy1 - wy0)"))
@@ -354,12 +488,19 @@ def _operators() -> None:
     add("example_stairs_append", lambda s, d: staircase.apply_inserts(stairs_of(s), _literal(s, [(6, 20)], "zmin long, zmax long")), "SELECT * FROM (VALUES (0, -1, 3, 1), (1, 3, 6, 3), (2, 6, 14, 5), (3, 14, 20, 6)) t(piece_id, lo_excl, hi_incl, start_key)")
     add("example_lowest", lambda s, d: _literal(s, [(2, 5)], "zlo long, zhi long").join(_literal(s, rows, "zmin long, zmax long"), F.expr("zmax >= zlo")).agg(F.min("zmin").alias("lowest")), f"SELECT min(a) AS lowest FROM (VALUES {values}) t(a, b) WHERE b >= 2")
     add("example_box", lambda s, d: _literal(s, [(0, 1, 1, 3)], "x0 long, y0 long, x1 long, y1 long").select(zorder.z_address(F.col("x0"), F.col("y0")).alias("zmin"), zorder.z_address(F.col("x1"), F.col("y1")).alias("zmax")), "SELECT 2 AS zmin, 11 AS zmax")
-    add("example_overlap", lambda s, d: _literal(s, [(7, 27), (20, 60), (1, 2)], "lo long, hi long").select("lo", ((F.col("lo") <= 49) & (F.col("hi") >= 13)).alias("overlaps")), "SELECT * FROM (VALUES (7, true), (20, true), (1, false)) t(lo, overlaps)")
+    lit = F.lit
+    add("example_overlap", lambda s, d: _literal(s, [(7, 27), (20, 60), (1, 2)], "lo long, hi long").select("lo", z_overlaps(lit(13), lit(49), F.col("lo"), F.col("hi")).alias("meets"), z_contains(lit(13), lit(49), F.col("lo"), F.col("hi")).alias("holds")), "SELECT * FROM (VALUES (7, true, false), (20, true, false), (1, false, false)) t(lo, meets, holds)")
 
 
-def _vertex_misses(s, d):
-    from zspan.interval import vertex_interval
+def _density(g, bits):
+    """Rows within 2^``bits`` codes of each: every row visits its block of that width and both beside it."""
+    b = F.shiftright("zmin", bits)
+    near = W.partitionBy("block").orderBy("zmin").rangeBetween(-(1 << bits), 1 << bits)
+    seen = g.select("geom_id", "zmin", F.explode(F.array(b - 1, b, b + 1)).alias("block")).withColumn("near", F.count("*").over(near))
+    return seen.where(F.col("block") == b).select("geom_id", "near")
 
+
+def _vertex_misses(s, d):
     v = vertex_interval(geoms(s, d, "parks"))
     return v.agg(F.sum(((F.col("vmin") > F.col("zmin")) | (F.col("vmax") < F.col("zmax"))).cast("long")).alias("missing"), F.count("*").alias("n"))
 
@@ -371,4 +512,4 @@ def entry(spark: SparkSession, d: str = "/root/testdata/sf0.001") -> DataFrame:
     return QUERIES["intersects_roads_1pct"](spark, d)
 
 
-__all__ = ["ORACLE_SQL", "QUERIES", "entry", "starts"]
+__all__ = ["ORACLE_SQL", "QUERIES", "entry"]

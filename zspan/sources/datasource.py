@@ -1,20 +1,27 @@
 """``spark.read.format("zspan")``: a saved index's main store, read only where keys ask for it.
 
-Options: path (of the index), zlo and zhi. Range filters on zmin narrow the files further.
+Options: path (of the index), store (main or outlier), zlo and zhi. Filters that compare keys or boxes narrow the files further.
+Deleted records that no compaction has dropped are still read.
 """
 
 from __future__ import annotations
 
+import functools
 import json
+import operator
 from collections.abc import Iterator
 
 import pyarrow.dataset as ds
 from pyarrow import fs
 from pyspark.sql import SparkSession
 from pyspark.sql import types as T
-from pyspark.sql.datasource import DataSource, DataSourceReader, Filter, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
+from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
 
-SCHEMA = T.StructType([T.StructField(c, T.LongType()) for c in ("geom_id", "x0", "y0", "x1", "y1", "zmin", "zmax", "zlen", "leaf_id")])
+from zspan.geometry.model import RINGS
+
+_LONGS = ("geom_id", "x0", "y0", "x1", "y1", "zmin", "zmax", "zlen", "leaf_id")
+SCHEMA = T.StructType([*(T.StructField(c, T.LongType()) for c in _LONGS), T.StructField("kind", T.StringType()), T.StructField("rings", RINGS)])
+_COMPARE = {GreaterThan: operator.gt, GreaterThanOrEqual: operator.ge, LessThan: operator.lt, LessThanOrEqual: operator.le, EqualTo: operator.eq}
 
 
 class ZspanSource(DataSource):
@@ -36,34 +43,38 @@ class _File(InputPartition):
 
 class ZspanReader(DataSourceReader):
     def __init__(self, options: dict[str, str], schema: T.StructType):
-        self.root, self.columns = options["path"], schema.names
-        self.lo, self.hi = int(options.get("zlo", 0)), int(options.get("zhi", (1 << 63) - 1))
+        self.root, self.columns, self.store = options["path"], schema.names, options.get("store", "main")
+        self.asked = [("zmin", operator.ge, int(options.get("zlo", 0))), ("zmin", operator.le, int(options.get("zhi", (1 << 63) - 1)))]
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:  # noqa: N802
+        """Comparisons of whole numbers, keys and boxes alike, narrow the files; the rest goes back."""
         for f in filters:
-            if isinstance(f, (GreaterThan, GreaterThanOrEqual)) and f.attribute == ("zmin",):
-                self.lo = max(self.lo, f.value + isinstance(f, GreaterThan))
-            elif isinstance(f, (LessThan, LessThanOrEqual)) and f.attribute == ("zmin",):
-                self.hi = min(self.hi, f.value - isinstance(f, LessThan))
+            compare = _COMPARE.get(type(f))
+            if compare and len(f.attribute) == 1 and f.attribute[0] in _LONGS and f.value is not None:
+                self.asked.append((f.attribute[0], compare, f.value))
             else:
                 yield f
 
+    def _own(self) -> ds.Expression:
+        return functools.reduce(operator.and_, (compare(ds.field(c), v) for c, compare, v in self.asked))
+
     def _files(self) -> tuple[fs.FileSystem, str]:
         return fs.FileSystem.from_uri(self.root if ":" in self.root else f"file://{self.root}")
 
     def partitions(self) -> list[_File]:
-        """Files whose row groups hold a key in range, by their statistics."""
+        """Files whose row groups can hold what was asked for, by their statistics."""
         store, root = self._files()
         found = [json.loads(x) for p in store.get_file_info(fs.FileSelector(f"{root}/manifest")) if p.path.endswith(".txt") for x in store.open_input_stream(p.path).read().decode().splitlines()]
-        version = max(m["version"] for m in found)
-        own = (ds.field("zmin") >= self.lo) & (ds.field("zmin") <= self.hi)
-        data = ds.dataset(f"{root}/v{version}/main", filesystem=store, format="parquet")
-        return [_File(f.path) for f in data.get_fragments(own) if f.subset(own).row_groups]
+        latest = max(found, key=lambda m: m["version"])[self.store]
+        own, out = self._own(), []
+        for k in latest["segments"]:
+            data = ds.dataset(f"{root}/{self.store}/seg={k}", filesystem=store, format="parquet")
+            out += [_File(f.path) for f in data.get_fragments(own) if f.subset(own).row_groups]
+        return out
 
     def read(self, partition: _File):
         store, _ = self._files()
-        own = (ds.field("zmin") >= self.lo) & (ds.field("zmin") <= self.hi)
-        yield from ds.dataset(partition.path, filesystem=store, format="parquet").to_batches(columns=self.columns, filter=own)
+        yield from ds.dataset(partition.path, filesystem=store, format="parquet").to_batches(columns=self.columns, filter=self._own())
 
 
 def register(spark: SparkSession) -> None:

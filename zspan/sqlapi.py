@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
+from zspan.geometry.predicates import _general
+
 _M = (0x0000FFFF0000FFFF, 0x00FF00FF00FF00FF, 0x0F0F0F0F0F0F0F0F, 0x3333333333333333, 0x5555555555555555)
 
 
@@ -46,9 +50,19 @@ class _Ranges:
         yield from ranges(x0, y0, x1, y1, most)
 
 
+def _relation(rel: str):
+    def test(qkind: pa.Array, qrings: pa.Array, kind: pa.Array, rings: pa.Array) -> pa.Array:
+        return _general(pa.array([rel] * len(kind)), qkind, qrings, kind, rings)
+
+    return test
+
+
 def register(spark: SparkSession) -> None:
-    """Temporary functions z_address, z_overlaps, z_contains, boxes_meet and the table function z_ranges."""
+    """Temporary functions z_address, z_overlaps, z_contains, zspan_contains, zspan_intersects, zspan_touches, zspan_disjoint (of
+    a window's and a geometry's kind and rings) and the table function z_ranges."""
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION z_address(x BIGINT, y BIGINT) RETURNS BIGINT RETURN {_spread('x')} | shiftleft({_spread('y')}, 1)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION z_overlaps(qlo BIGINT, qhi BIGINT, glo BIGINT, ghi BIGINT) RETURNS BOOLEAN RETURN qlo <= ghi AND glo <= qhi")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION z_contains(qlo BIGINT, qhi BIGINT, glo BIGINT, ghi BIGINT) RETURNS BOOLEAN RETURN glo >= qlo AND ghi <= qhi")
+    for rel in ("contains", "intersects", "touches", "disjoint"):
+        spark.udf.register(f"zspan_{rel}", F.arrow_udf(_relation(rel), "boolean"))
     spark.udtf.register("z_ranges", udtf(_Ranges, returnType="lo bigint, hi bigint"))

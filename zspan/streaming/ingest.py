@@ -2,17 +2,20 @@
 
 from __future__ import annotations
 
-import uuid
+from dataclasses import replace
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
+from zspan.config import IndexConfig
 from zspan.geometry.mbr import with_mbr
-from zspan.index.build import ZIndex
+from zspan.index import storage
+from zspan.index.build import ZIndex, build_index
 from zspan.index.maintain import delete, insert
+from zspan.index.query import range_join
 from zspan.interval import with_zinterval
-from zspan.plans import shared_dir
+from zspan.plans import new_path, settle
 from zspan.sources.fixtures import water_vertices
 
 
@@ -33,21 +36,28 @@ def trajectories(events: DataFrame, late: str = "1 hour") -> DataFrame:
 
 
 class IndexHolder:
-    """The current index of one writer. A batch that was applied before is skipped, so replays change nothing."""
+    """A saved index with one writer. Its manifest names each stream's last batch, so a replay after any restart changes nothing."""
 
-    def __init__(self, ix: ZIndex):
-        self.index, self._applied = ix, set()
+    def __init__(self, spark: SparkSession, path: str, stream: str = "events"):
+        self.spark, self.path, self.stream = spark, path, stream
+
+    @property
+    def index(self) -> ZIndex:
+        return storage.load(self.spark, self.path)
+
+    def _apply(self, op: str, batch: DataFrame, batch_id: int, change) -> None:
+        rows = settle(batch)  # a stateful stream wants every batch read whole, also one that is in already
+        ix, key = self.index, f"{self.stream}:{op}"
+        if batch_id > ix.applied.get(key, -1):
+            storage.save(replace(change(ix, rows), applied={**ix.applied, key: batch_id}), self.path)
 
     def insert_batch(self, batch: DataFrame, batch_id: int) -> None:
-        if ("insert", batch_id) not in self._applied:
-            rows = with_zinterval(with_mbr(batch).where("x0 is not null"))
-            self.index = insert(self.index, rows)
-            self._applied.add(("insert", batch_id))
+        """Rows take the place of equal (geom_id, zmin)."""
+        self._apply("insert", batch, batch_id, lambda ix, rows: insert(ix, with_zinterval(with_mbr(rows).where("x0 is not null"), ix.config.units_per_cell), upsert=True))
 
     def delete_batch(self, batch: DataFrame, batch_id: int) -> None:
-        if ("delete", batch_id) not in self._applied:
-            self.index = delete(self.index, batch)
-            self._applied.add(("delete", batch_id))
+        """Rows (geom_id, zmin) go."""
+        self._apply("delete", batch, batch_id, delete)
 
 
 def start(stream: DataFrame, holder: IndexHolder, checkpoint: str) -> StreamingQuery:
@@ -55,20 +65,29 @@ def start(stream: DataFrame, holder: IndexHolder, checkpoint: str) -> StreamingQ
     return trajectories(stream).writeStream.outputMode("append").foreachBatch(holder.insert_batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def answers(windows: DataFrame, holder: IndexHolder, rel: str, out: str, checkpoint: str) -> StreamingQuery:
+    """Answers a stream of windows from the saved index, each batch from its latest version, into files by batch."""
+
+    def answer(batch: DataFrame, batch_id: int) -> None:
+        range_join(holder.index, settle(batch), rel).write.mode("overwrite").parquet(f"{out}/batch={batch_id}")
+
+    return windows.writeStream.foreachBatch(answer).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def ingested(events: DataFrame, bulk: DataFrame, cfg: IndexConfig, replays: int = 0) -> ZIndex:
+    """The index of ``bulk`` after a stream of events has been fed into it, then fed again ``replays`` times from the start."""
+    spark = bulk.sparkSession
+    at = new_path(spark, "stream")
+    storage.save(build_index(bulk, cfg), f"{at}/index")
+    for n in range(replays + 1):
+        start(events, IndexHolder(spark, f"{at}/index"), f"{at}/log{n}").awaitTermination()
+    return storage.load(spark, f"{at}/index")
+
+
 def drained(stream: DataFrame) -> DataFrame:
     """All finished trajectories of a stream, run once into files of the shared folder."""
     spark = stream.sparkSession
-    at = f"{shared_dir(spark)}/zspan-stream/{uuid.uuid4().hex}"
+    at = new_path(spark, "drained")
     out = trajectories(stream)
     out.writeStream.outputMode("append").format("parquet").option("path", f"{at}/out").option("checkpointLocation", f"{at}/log").trigger(availableNow=True).start().awaitTermination()
     return spark.read.schema(out.schema).parquet(f"{at}/out")
-
-
-def inserts_per_window(stream: DataFrame, late: str = "1 hour") -> DataFrame:
-    """Counts of events by tumbling day, for monitoring an ingest."""
-    return _instants(stream).withWatermark("at", late).groupBy(F.window("at", "1 day").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("started"), "n")
-
-
-def leaf_growth(stream: DataFrame) -> DataFrame:
-    """Per leaf the running box, count and key range of a stream of routed rows; an update-mode aggregate."""
-    return stream.groupBy("leaf_id").agg(F.count("*").alias("n"), F.min("zmin").alias("first_key"), F.max("zmin").alias("last_key"), F.min("x0").alias("x0"), F.min("y0").alias("y0"), F.max("x1").alias("x1"), F.max("y1").alias("y1"))
