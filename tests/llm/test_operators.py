@@ -1,5 +1,6 @@
 import hashlib
 import random
+import re
 import zlib
 from array import array
 from collections import Counter, defaultdict
@@ -100,6 +101,9 @@ def test_language_mixtures(spark):
     assert abs(two["de"] - 0.5) < 0.15 and abs(two["fr"] - 0.5) < 0.15
     odd = {r["doc_id"]: r for r in langid.predict(spark, docs_of(spark, ODD, score=3.0), model).collect()}
     assert all((odd[i]["lang_pred"], odd[i]["score"]) == ("und", 0.0) for i in range(4)) and odd[7][1:] == odd[8][1:]
+    short = ["a", "ab", "\u6f22\u5b57", "\u00fc", " b ", "7", "!"]
+    lang = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in langid.predict(spark, docs_of(spark, short), model).collect()}
+    assert all(lang[i][0] in model.languages and 0 < lang[i][1] <= 1 for i in range(5)) and lang[5] == lang[6] == ("und", 0.0)
     empty = langid.learn(docs.limit(0))
     assert langid.predict(spark, docs_of(spark, ["text"]), empty).first()["lang_pred"] == "und"
     texts = [*ODD[:4], "\u4f60\u597d\u4e16\u754c " * 60, de + "\n" + fr, de[:60]]
@@ -279,8 +283,8 @@ def test_jaccard_classes(spark):
             texts.append(" ".join(w))
     want = brute_classes(texts)
     docs = docs_of(spark, texts, class_id="clash")
-    for small, block in ((256, 250_000), (4, 700)):
-        got = {x["doc_id"]: (x["class_id"], x["n_links"], x["n_copies"]) for x in jaccard.classes(docs, small=small, block_shingles=block).collect()}
+    for small, block, members in ((256, 250_000, 512), (4, 700, 512), (2, 250_000, 3)):
+        got = {x["doc_id"]: (x["class_id"], x["n_links"], x["n_copies"]) for x in jaccard.classes(docs, small=small, block_shingles=block, block_members=members).collect()}
         assert got == want
     kept = jaccard.keep_one(docs)
     assert kept.columns == docs.columns and {x["doc_id"] for x in kept.collect()} == {c for c, _, _ in want.values()}
@@ -288,6 +292,23 @@ def test_jaccard_classes(spark):
     assert jaccard.runs_for(0.999999, 0.8) == 9
 
 
+def test_a_large_group_of_near_copies_is_compared_in_small_blocks(spark):
+    words = prose(1, 14).split()
+    texts = [" ".join([*words, "end" + str(i)]) for i in range(1500)]  # 11 shingles each, 10 of them shared: all link
+    got = jaccard.classes(docs_of(spark, texts), block_members=200).collect()
+    assert {(r["class_id"], r["n_links"]) for r in got} == {(0, 1499)} and len(got) == 1500
+
+
+def test_shingles_equal_plain_ones():
+    r = random.Random(8)
+    texts = [" ".join(r.choice(WORDS) for _ in range(n)) for n in (0, 1, 3, 5, 6, 40, 400)] + ["A-b c_d  e. F!", "a B C D E f"]
+    sets = jaccard.shingles(texts)
+    plain = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if (w := re.findall(r"[^\W_]+", t.lower())) else set() for t in texts]
+    for i in range(len(texts)):
+        for j in range(len(texts)):
+            assert len(np.intersect1d(sets[i], sets[j])) == len(plain[i] & plain[j])
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(0, 40)] + [(100, 101), (101, 102), (7, 7)] + [(200, 200 + i) for i in range(1, 50)]
     got = dict(components(spark.createDataFrame(edges, "u long, v long")).collect())
@@ -324,6 +345,12 @@ def test_quality_field(spark):
     docs = docs_of(spark, ODD, score=1.0)
     chain = crf.learn(docs.limit(0), spark.createDataFrame([], "doc_id long, quality int"))
     assert {r["score"] for r in crf.score(spark, docs, chain).collect()} == {0.5}
+    chain = crf.learn(docs_of(spark, texts := [prose(i, 30) if i % 2 else "BUY!! " * 9 + "\n" + prose(i, 3) for i in range(80)]), spark.createDataFrame([(i, i % 2) for i in range(80)], "doc_id long, quality int"), chars=2000)
+    scored = {r["doc_id"]: r["score"] for r in crf.score(spark, docs_of(spark, texts), chain).collect()}
+    for i, t in enumerate(texts):
+        text, length, own = crf.lines_of([t])
+        good, _, _ = chain.marginals(crf.features(text, own) @ chain.w, text)
+        assert abs(scored[i] - sum(a * b for a, b in zip(good, length, strict=True)) / sum(length)) < 1e-9
 
 
 def test_chain_marginals_equal_enumeration():

@@ -2,7 +2,7 @@
 
 For each participant the dialogue is written with that speaker as the assistant, everyone else as a user named after
 their role, and system turns as they are. Training spans mark what the assistant says. A dialogue comes in parts of
-``PART_TURNS`` turn numbers, so that a conversation of any length is bounded by part; parts joined in order give the whole,
+``PART_TURNS`` turn numbers, so that a conversation of any length is bounded by part as far as its turn numbers differ; parts joined in order give the whole,
 and ``char_start`` is a part's place there.
 
 Rows that repeat conversation, turn, role and text are one message. Ties of a turn go by role, then text. Null conv_id: no
@@ -31,7 +31,9 @@ def rotate(turns: DataFrame, part_turns: int = PART_TURNS) -> DataFrame:
     head = F.when(F.col("role") == "system", F.lit("<|system|>\n")).when(own, F.lit("<|assistant|>\n")).otherwise(F.concat(F.lit("<|user name="), _plain(F.col("role")), F.lit("|>\n")))
     body = F.concat(_plain(F.col("text")), F.lit("<|end|>\n"))
     line = F.struct("turn", "role", "text", head.alias("head"), body.alias("body"), own.alias("own"))
-    grouped = said.join(seats, "conv_id").withColumn("part", F.floor(F.col("turn") / part_turns)).groupBy("conv_id", "perspective", "part").agg(F.array_sort(F.collect_list(line)).alias("m"))
+    said = said.withColumn("part", F.floor(F.col("turn") / part_turns))
+    seated = said.select("conv_id", "part").distinct().join(seats, "conv_id")  # a long dialogue's turns meet its seats part by part
+    grouped = said.join(seated, ["conv_id", "part"]).groupBy("conv_id", "perspective", "part").agg(F.array_sort(F.collect_list(line)).alias("m"))
     start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<string>").alias("spans"))
 
     def step(acc: Column, m: Column) -> Column:

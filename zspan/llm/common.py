@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -13,40 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import StructType
 
-_OWN_DIR: list[str] = []
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or on a local master a temporary one."""
-    where = spark.conf.get("spark.checkpoint.dir", None)
-    if where:
-        return where.rstrip("/")
-    if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
-        raise ValueError("set spark.checkpoint.dir: driver and executors need a shared folder")
-    if not _OWN_DIR:
-        keep = tempfile.TemporaryDirectory(prefix="zspan-")
-        atexit.register(keep.cleanup)
-        _OWN_DIR.append("file://" + keep.name)
-    return _OWN_DIR[0]
-
-
-def written(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` as a table of the shared folder and read it again: its lineage ends there."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/zspan/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._zspan_path = path
-    return out
-
-
-def forget(df: DataFrame) -> None:
-    """Delete a table made by ``written`` that no later plan reads."""
-    path = getattr(df, "_zspan_path", None)
-    if path:
-        jvm = df.sparkSession.sparkContext._jvm
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+from zspan.plans import forget, shared_dir, written  # noqa: F401
 
 
 def map_batches(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[dict]], schema: str | StructType) -> DataFrame:

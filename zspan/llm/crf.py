@@ -5,8 +5,8 @@ mean word length, repeated bytes and words, length) and the same measures of the
 tied by transition weights. Weights are learned on a bounded sample of labelled documents, every line taking its
 document's label. A document's score is the mean of its lines' forward-backward marginals, weighted by line length.
 
-Null and empty texts, and texts without a line of content, score the share of good documents in the sample (0.5 when
-nothing could be learned). Whole texts are read. Repeated rows get equal scores.
+Null and empty texts, and texts of line ends alone, score the share of good documents in the sample (0.5 when
+nothing could be learned); a line of blanks is a line. Whole texts are read. Repeated rows get equal scores.
 """
 
 from __future__ import annotations
@@ -15,10 +15,11 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from zspan.llm.common import map_batches, strings, text_slices
+from zspan.llm.common import map_batches, strings, text_slices, written
 
-#: Labelled documents that are learned from, about; lines after which a document goes on as another chain there.
-SAMPLE, CHAIN_LINES = 3000, 64
+#: Labelled documents that are learned from, about, and their characters in all; lines after which a document goes on as
+#: another chain there (and there only: scores walk whole documents).
+SAMPLE, SAMPLE_CHARS, CHAIN_LINES = 3000, 40_000_000, 64
 _KINDS = np.zeros((256, 8), np.float32)
 for _b in range(256):
     _c = chr(_b)
@@ -63,7 +64,7 @@ def lines_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     jumps = total(np.append(np.r_[False, (letter[1:] != letter[:-1])], False))
     vowel = np.isin(data | 32, np.frombuffer(b"aeiou", np.uint8))
     n = length.astype(np.float32)
-    more = np.stack([total(np.append(same, False)) / n, np.minimum(sums[:, 0] / np.maximum(words, 1), 30) / 10, jumps / n, total(np.append(vowel, False)) / np.maximum(sums[:, 0], 1), np.log1p(n) / 5, (data[starts + length - 1] == 46).astype(np.float32), total(np.append(again, False)) / np.maximum(words, 1)], 1)
+    more = np.stack([total(np.append(same, False)) / n, np.minimum(sums[:, 0] / np.maximum(words, 1), 30) / 10, jumps / n, total(np.append(vowel, False)) / np.maximum(sums[:, 0], 1), np.log1p(length) / 5, (data[starts + length - 1] == 46).astype(np.float32), total(np.append(again, False)) / np.maximum(words, 1)], 1)
     return text, length, np.concatenate([sums / n[:, None], more], 1).astype(np.float32)
 
 
@@ -147,18 +148,20 @@ def fit(texts: list[str], labels: np.ndarray, rounds: int = 100, rate: float = 0
     return Chain(theta[:FEATURES] / scale, theta[FEATURES:].reshape(2, 2), float(labels.mean()))
 
 
-def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Chain:
-    """A chain from docs (doc_id, text) and labels (doc_id, quality); about ``sample`` documents.
+def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, chars: int = SAMPLE_CHARS) -> Chain:
+    """A chain from docs (doc_id, text) and labels (doc_id, quality); about ``sample`` documents of ``chars`` characters.
 
-    A hash of the id picks them. Labels other than 0 and 1 are no labels; of several for one id the least counts.
+    A hash of the id picks them, and fewer of them where they are long; a text of more than ``chars`` is not learned from. Labels other than 0 and 1 are no labels; of several for one id the least counts.
     """
     labels = labels.where("quality in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.min("quality").cast("int").alias("quality"))
     sizes = {r["quality"]: r["n"] for r in labels.groupBy("quality").agg(F.count("*").alias("n")).collect()}  # two rows
     if not sizes:
         return Chain(np.zeros(FEATURES), np.zeros((2, 2)), 0.5)
-    share = F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(1_000_000)) < min(1_000_000, -(-1_000_000 * sample // sum(sizes.values())))
-    texts = docs.select("doc_id", "text").where(share & F.col("text").isNotNull()).dropDuplicates(["doc_id"])
-    rows = texts.join(labels.where(share), "doc_id").select("text", "quality").toPandas()  # the bounded sample
+    place, most = F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(1_000_000)), min(1_000_000, -(-1_000_000 * sample // sum(sizes.values())))
+    texts = docs.select("doc_id", "text").where((place < most) & (F.length("text") <= chars)).dropDuplicates(["doc_id"])
+    picked = written(texts.join(labels.where(place < most), "doc_id"), "labelled")
+    size = picked.agg(F.sum(F.length("text"))).first()[0] or 0
+    rows = picked.where(place < most * min(1.0, chars / max(size, 1))).select("text", "quality").toPandas()  # the bounded sample
     return fit(rows["text"].tolist(), rows["quality"].to_numpy(int))
 
 

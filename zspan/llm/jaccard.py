@@ -3,20 +3,24 @@
 1. A document's set holds the hashes of its runs of five words (lower case, letters and digits); fewer words make one
    run. Documents with equal sets are one class, represented by the least doc_id.
 2. A set becomes a vector of minwise tokens. Each of several runs splits all sets on one sampled token; a bucket that
-   is still large is split again, and again, on tokens sampled for its own path. Buckets with the same members count
-   once. Small buckets are compared by brute force on the vectors, with a bar far below the threshold; buckets still
-   large at the last level, or nearly as large as the one above, pass whole. Runs are as many as the target recall asks for.
+   is still large is split again on tokens sampled for its own path, one more at each level, for as long as that lowers
+   the number of comparisons; what no longer shrinks is alike throughout and passes whole. Buckets with the same members
+   count once. Small buckets are compared by brute force on the vectors, with a bar far below the threshold. Runs are as
+   many as the target recall asks for.
 3. What passes joins into groups of candidates. In a group all sets are compared exactly, block against block, by
-   counting common shingles in a sparse matrix product. So links are counted once, and pairs are never listed: each task
-   returns counts and a spanning forest.
+   counting common shingles in a matrix product. A block is bounded in shingles and in members, so a large group makes
+   many tasks of bounded memory. Links are counted once, and pairs are never listed: each task returns counts and a
+   spanning forest.
 4. Components of the verified links are the classes.
 
 Null and empty texts and texts without a word link to nothing. Repeated rows are copies of each other and give one row;
-a doc_id with several texts counts with the one of the least set hash. Null ids link to nothing.
+a doc_id with several texts counts with the one of the least set hash. Null ids link to nothing. Ids are whole numbers, as
+numbers or as text; any other text raises an error.
 """
 
 from __future__ import annotations
 
+import itertools
 import math
 import re
 from collections import defaultdict
@@ -33,9 +37,9 @@ from zspan.llm.common import map_batches, parts, strings, text_slices, written
 from zspan.llm.components import components
 
 WORDS, THRESHOLD, RECALL = 5, 0.8, 0.999999
-TOKENS, SMALL, LEVELS, FAN = 64, 256, 3, 3
-#: Shingles in a block of the exact comparison.
-BLOCK_SHINGLES = 250_000
+TOKENS, SMALL, FAN = 64, 256, 3
+#: Shingles and members in a block of the exact comparison, about.
+BLOCK_SHINGLES, BLOCK_MEMBERS = 250_000, 512
 _WORD = re.compile(r"[^\W_]+")
 _RNG = np.random.default_rng(20)
 _MIX_A = _RNG.integers(1, 2**63, TOKENS, dtype=np.uint64) | np.uint64(1)
@@ -89,9 +93,12 @@ def sets(docs: DataFrame, words: int = WORDS) -> DataFrame:
     return map_batches(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, "doc_id long, set_hash binary, n int, tokens binary")
 
 
-def runs_for(recall: float, threshold: float, levels: int = LEVELS, fan: int = FAN) -> int:
-    """Runs after which a pair at the threshold has met with this probability, at the last level at worst."""
-    meets = threshold * (1 - (1 - threshold) ** fan) ** (levels - 1)
+def runs_for(recall: float, threshold: float, fan: int = FAN) -> int:
+    """Runs after which a pair at the threshold has met with this probability, however deep its buckets are split.
+
+    At level k a pair stays together unless it differs on all ``fan`` + k - 1 tokens; the product converges.
+    """
+    meets = threshold * math.prod(1 - (1 - threshold) ** (fan + k) for k in range(60))
     return max(1, math.ceil(math.log(1 - recall) / math.log(1 - meets)))
 
 
@@ -160,25 +167,28 @@ def _near(bar: float):
     return run
 
 
-def candidates(reps: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL, small: int = SMALL, levels: int = LEVELS, fan: int = FAN) -> DataFrame:
+def candidates(reps: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL, small: int = SMALL, fan: int = FAN) -> DataFrame:
     """Edges (u, v) whose components hold every pair that the runs find; reps is (doc_id, tokens)."""
-    runs = min(TOKENS, runs_for(recall, threshold, levels, fan))
+    runs = min(TOKENS, runs_for(recall, threshold, fan))
     nodes = reps.withColumns({"path": F.lit(0).cast("long"), "above": F.lit(None).cast("long")})
     found: DataFrame | None = None
     bar = max(0.0, threshold - 6 * math.sqrt(threshold * (1 - threshold) / TOKENS))
-    for level in range(levels):
-        members, sizes = _buckets(level, nodes, runs if level == 0 else fan)
+    for level in itertools.count():
+        split = runs if level == 0 else min(TOKENS, fan + level - 1)
+        members, sizes = _buckets(level, nodes, split)
         once = sizes.groupBy("size", "digest").agg(F.min("bucket").alias("bucket"))
         one = written(members.join(once, "bucket").join(reps, "doc_id"), f"level{level}")
         deal = one.where(F.col("size") <= small).repartition(parts(reps.sparkSession), "bucket").sortWithinPartitions("bucket", "doc_id")
         edges = map_batches(deal.select("bucket", "doc_id", "tokens"), _near(bar), "u long, v long").distinct()
-        # a large bucket that took most of the one above it is alike throughout, and splitting it more would not help
-        alike = F.lit(level == levels - 1) | F.coalesce(F.col("size") >= threshold * F.col("above"), F.lit(False))
+        # all parts of a bucket cost less than the bucket only while each is this much smaller
+        size = F.col("size").cast("double")
+        alike = F.coalesce(split * size * size >= F.col("above").cast("double") * F.col("above"), F.lit(False))
         whole = one.where((F.col("size") > small) & alike)
         edges = edges.unionByName(whole.join(whole.groupBy("bucket").agg(F.min("doc_id").alias("v")), "bucket").select(F.col("doc_id").alias("u"), "v"))
         found = edges if found is None else found.unionByName(edges)
         nodes = one.where((F.col("size") > small) & ~alike).select("doc_id", "tokens", F.col("bucket").alias("path"), F.col("size").alias("above"))
-    return found
+        if not nodes.limit(1).count():
+            return found
 
 
 def _pairs_of_blocks(threshold: float):
@@ -245,7 +255,7 @@ def _pairs_of_blocks(threshold: float):
     return run
 
 
-def classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, recall: float = RECALL, small: int = SMALL, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
+def classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, recall: float = RECALL, small: int = SMALL, block_shingles: int = BLOCK_SHINGLES, block_members: int = BLOCK_MEMBERS) -> DataFrame:
     """One row a doc_id: doc_id, class_id (least doc_id of its component), n_links, n_copies.
 
     n_links counts the other distinct sets of at least this similarity, n_copies the other rows of the same set.
@@ -258,7 +268,7 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, r
     reps = written(own_sets.agg(F.min_by(F.struct("doc_id", "n", "tokens"), "doc_id").alias("r"), F.sum("rows").alias("copies")).select("set_hash", "r.*", "copies"), "reps")
     groups = written(components(candidates(reps.select("doc_id", "tokens"), threshold, recall, small)), "groups")
     asked = groups.join(reps, groups["node"] == reps["doc_id"]).select("doc_id", "set_hash", F.col("root").alias("grp"), "n")
-    total = asked.groupBy("grp").agg(F.ceil(F.sum("n") / block_shingles).cast("int").alias("blocks"))
+    total = asked.groupBy("grp").agg(F.greatest(F.ceil(F.sum("n") / block_shingles), F.ceil(F.count("*") / block_members)).cast("int").alias("blocks"))
     asked = asked.join(total, "grp").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")).select("doc_id", "set_hash", "grp", "blocks", "block")
 
     def gather(batches):

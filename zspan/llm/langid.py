@@ -6,7 +6,7 @@ join the mixture one by one, starting with the likeliest single one, as long as
 by more than its penalty (half the logarithm of the number of independent trigrams).
 
 Text that is null or has no letter is ``und`` with score 0, as is any text when nothing could be learned. Digits, marks and
-white space count as one space. Whole texts are read. Repeated rows get equal results; an empty table gives none.
+white space count as one space, and so do both ends of a text, so that a single letter makes a trigram. Whole texts are read. Repeated rows get equal results; an empty table gives none.
 """
 
 from __future__ import annotations
@@ -34,8 +34,8 @@ def _letters() -> np.ndarray:
 
 
 def trigram_counts(texts: list[str], buckets: int = BUCKETS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(text, trigram bucket, count) of all texts, ordered by text."""
-    joined = "\x00".join(t.replace("\x00", " ") for t in texts).lower() + "\x00"
+    """(text, trigram bucket, count) of all texts, ordered by text; every text with a letter has one."""
+    joined = " " + " \x00 ".join(t.replace("\x00", " ") for t in texts).lower() + " \x00"
     c = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
     end = c == 0
     c = np.where(_letters()[c], c, np.uint32(32))
