@@ -53,6 +53,25 @@ def test_topk_equals_brute_force(spark):
     assert knn.top_k(v.limit(0), v.limit(0)).count() == 0
 
 
+def test_topk_of_huge_components_and_separate_clusters(spark):
+    rows = [(i, [1e12 * (i % 7 - 3), 1e300 if i == 5 else float(i)]) for i in range(60)]
+    v = knn.quantise(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
+    have = {r["vec_id"]: r["v"] for r in v.collect()}
+    want = {}
+    for a in (0, 20, 40):
+        score = {b: max(-(2**63 - 1), min(2**63 - 1, sum(x * y for x, y in zip(have[a], have[b], strict=True)))) for b in have if b != a}
+        want[a] = [(b, score[b]) for b in sorted(score, key=lambda b: (-score[b], b))[:5]]
+    got = defaultdict(list)
+    for r in sorted(knn.top_k(v, v.where("vec_id % 20 = 0"), k=5, shard_rows=16, leaf_rows=4).collect()):
+        got[r["query_id"]].append((r["vec_id"], r["score"]))
+    assert got == want
+    r = np.random.default_rng(2)
+    near = [(i, [float(x) for x in r.normal(0, 0.05, 4) + np.eye(4)[i % 4]]) for i in range(800)]
+    v, waves = knn.quantise(spark.createDataFrame(near, "vec_id long, embedding array<double>")), []
+    got = knn.top_k(v, v.where("vec_id % 20 = 0"), k=5, shard_rows=50, leaf_rows=8, visited=waves).count()
+    assert got == 200 and waves[0] == 40 and sum(waves) < 40 * 16 / 2  # most shards are ruled out by their boxes
+
+
 # --- 2
 def test_packing(spark):
     texts = [*ODD, *[prose(i, i * 3) for i in range(60)]]

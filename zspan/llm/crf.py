@@ -61,7 +61,7 @@ def lines_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         sums_of = np.add.reduceat(np.where(letter, _SALT[data], 0), at)
         line = np.searchsorted(ends, at)
         again[at[1:]] = (sums_of[1:] == sums_of[:-1]) & (line[1:] == line[:-1])
-    jumps = total(np.append(np.r_[False, (letter[1:] != letter[:-1])], False))
+    jumps = total(np.append(np.r_[letter[0], (letter[1:] != letter[:-1])], False))
     vowel = np.isin(data | 32, np.frombuffer(b"aeiou", np.uint8))
     n = length.astype(np.float32)
     more = np.stack([total(np.append(same, False)) / n, np.minimum(sums[:, 0] / np.maximum(words, 1), 30) / 10, jumps / n, total(np.append(vowel, False)) / np.maximum(sums[:, 0], 1), np.log1p(length) / 5, (data[starts + length - 1] == 46).astype(np.float32), total(np.append(again, False)) / np.maximum(words, 1)], 1)
