@@ -266,8 +266,9 @@ def _one(spark, window: tuple[int, int, int, int], ix: ZIndex) -> DataFrame:
 def plan_leaves(ix: ZIndex, window: tuple[int, int, int, int], rel: str, store: str = "main") -> LeafPlan:
     """The plan for one rectangle (wx0, wx1, wy0, wy1): every leaf in the key range is tested once, the first included."""
     how, own = dict(zip(("main", "outlier"), stores(ix, rel), strict=False))[store]
-    spark = own.leaves.sparkSession
-    w = _collected(_one(spark, window, ix), ix.config.units_per_cell)
+    spark, units = own.leaves.sparkSession, ix.config.units_per_cell
+    w = {c: np.array([v], np.int64) for c, v in zip(("wx0", "wx1", "wy0", "wy1"), window, strict=True)}
+    w |= {"zlo": _codes(w["wx0"], w["wy0"], units), "zhi": _codes(w["wx1"], w["wy1"], units)}
     start = _start_of(ix, how, w["zlo"]) if own.directory is not None else None
     if start is None:
         rows = leaf_hits(own, with_start(ix, _one(spark, window, ix), how), False)
@@ -285,14 +286,17 @@ def range_query(ix: ZIndex, window: tuple[int, int, int, int], rel: str, options
     out = None
     for name, (_, store) in zip(("main", "outlier"), stores(ix, rel), strict=False):
         p = plan_leaves(ix, window, rel, name)
+        if options.leaf_skip and not p.leaf_ids:
+            continue  # nothing of this store meets the window
         if options.leaf_skip:
-            own = needed(store, list(p.bands), [(p.zstart, p.zhi)] if p.leaf_ids else []).where(F.col("leaf_id").isin(*p.leaf_ids))
+            own = store.rows.where(f"leaf_band in ({', '.join(map(str, (LOOSE, *p.bands)))}) and {store.key} between {p.zstart} and {p.zhi} and leaf_id in ({', '.join(map(str, p.leaf_ids))})")
         else:
-            own = store.rows.where(F.col(store.key).between(p.zstart, p.zhi))
+            own = store.rows.where(f"{store.key} between {p.zstart} and {p.zhi}")
         out = own if out is None else out.unionByName(own, allowMissingColumns=True)
-    out = alive(ix, out).drop("seg", "leaf_band", "leaf_id", "rank")
-    out = out.withColumns({c: F.lit(v).cast("long") for c, v in zip(("wx0", "wx1", "wy0", "wy1"), window, strict=True)})
-    return (refine(out, rel) if options.refine else out).drop("wx0", "wx1", "wy0", "wy1")
+    out = alive(ix, ix.main.where("false") if out is None else out)
+    kept = [c for c in out.columns if c not in ("seg", "leaf_band", "leaf_id", "rank")]
+    out = out.selectExpr(*kept, *[f"{v}L as {c}" for c, v in zip(("wx0", "wx1", "wy0", "wy1"), window, strict=True)])
+    return (refine(out, rel) if options.refine else out).select(*kept)
 
 
 def disjoint_counts(ix: ZIndex, windows: DataFrame, n: int) -> DataFrame:

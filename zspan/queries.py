@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import functools
+import inspect
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -36,9 +37,13 @@ _KEPT: dict[tuple, object] = {}
 
 
 def _kept(fn):
+    known = inspect.signature(fn)
+
     @functools.wraps(fn)
     def once(spark, *args):
-        key = (spark.sparkContext.applicationId, fn.__name__, *args)
+        bound = known.bind(spark, *args)
+        bound.apply_defaults()
+        key = (spark.sparkContext.applicationId, fn.__name__, *bound.args[1:])
         if key not in _KEPT:
             _KEPT[key] = fn(spark, *args)
         return _KEPT[key]
