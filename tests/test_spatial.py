@@ -22,6 +22,7 @@ from zspan.index.build import BASES, Store, build_index, sort_by_zmin
 from zspan.index.query import disjoint, explain_query, late_range_join, locate, planned, range_join, range_query
 from zspan.interval import with_zinterval
 from zspan.plans import planned_bytes, settle, small, with_rank
+from zspan.sources import textfiles
 from zspan.workloads import hybrid
 
 SF = "/root/testdata/sf0.001"
@@ -293,6 +294,24 @@ def test_text_and_binary(spark):
     assert sorted(binary.collect()) == sorted(g.select("geom_id", "kind", "rings").collect())
 
 
+def test_geojson_and_csv(spark, tmp_path):
+    g = _geoms(spark, EDGE)
+    json = g.select("geom_id", text.to_geojson(F.col("kind"), F.col("rings")).alias("t"))
+    assert sorted(text.from_geojson(json, "t").select("geom_id", "kind", "rings").collect()) == sorted(g.select("geom_id", "kind", "rings").collect())
+    features = json.select(F.concat(F.lit('{"type":"Feature","id":'), F.col("geom_id"), F.lit(',"properties":{},"geometry":'), F.col("t"), F.lit("}")).alias("value"))
+    odd = spark.createDataFrame([("",), ("{",), ('{"type":"Feature","id":1,"geometry":null}',), ('{"type":"Point","coordinates":[]}',), ('{"type":"Other","coordinates":[1,2]}',)], "value string")
+    features.union(odd).write.text(str(tmp_path / "json"))
+    assert sorted(textfiles.geojson_lines(spark, str(tmp_path / "json"), cell=None).collect()) == sorted(g.select("geom_id", "kind", "rings").collect())
+    several = spark.createDataFrame([('{"type":"MultiPolygon","coordinates":[[[[0,0],[0.5,0],[0,0.5],[0,0]]],[[[1,1],[2,1],[1,2],[1,1]]]]}',)], "t string")
+    got = text.from_geojson(several, "t", cell=0.5).first()
+    assert got["kind"] == "MULTIPOLYGON" and [len(r) for r in got["rings"]] == [4, 4] and tuple(got["rings"][0][1]) == (361, 180)
+    points = spark.createDataFrame([(1, -180.0, -90.0), (2, 0.0, 0.0), (3, None, 1.0)], "geom_id long, lon double, lat double")
+    points.write.csv(str(tmp_path / "points"), header=True)
+    assert sorted((r["geom_id"], *r["rings"][0][0]) for r in textfiles.csv_points(spark, str(tmp_path / "points")).collect()) == [(1, 0, 0), (2, 360_000_000, 180_000_000)]
+    g.select("geom_id", text.to_wkt(F.col("kind"), F.col("rings")).alias("wkt")).write.csv(str(tmp_path / "wkt"), header=True)
+    assert sorted(textfiles.csv_wkt(spark, str(tmp_path / "wkt")).collect()) == sorted(g.select("geom_id", "kind", "rings").collect())
+
+
 def test_plan_prunes_columns(spark):
     plan = q.load(spark, SF, "orders").select("o_orderkey").where("o_orderkey > 5")._jdf.queryExecution().toString()
     assert "PushedFilters: [IsNotNull(o_orderkey), GreaterThan(o_orderkey,5)]" in plan and "ReadSchema: struct<o_orderkey:bigint>" in plan

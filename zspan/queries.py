@@ -447,6 +447,12 @@ def _operators() -> None:
     add("op_density_window_roads", lambda s, d: _density(geoms(s, d, "roads"), 44), o.with_(roads, select=f"SELECT geom_id, count(*) OVER (ORDER BY zmin RANGE BETWEEN {1 << 44} PRECEDING AND {1 << 44} FOLLOWING) AS near FROM boxes"))
     add("op_props_json_water", lambda s, d: load(s, d, "events").select("event_id", F.from_json("props", "map<string,bigint>")["k"].alias("k")), "SELECT event_id, CAST(regexp_extract(props, '(\\d+)', 1) AS BIGINT) AS k FROM events")
     add("op_wkt_text_points", lambda s, d: wkt.from_wkt(geoms(s, d, "points").select("geom_id", wkt.to_wkt(F.col("kind"), F.col("rings")).alias("wkt")), "wkt").select("geom_id", "wkt", F.col("rings")[0][0]["x"].alias("x")), o.with_(o.geoms("points"), select="SELECT geom_id, 'POINT (' || x0 || ' ' || y0 || ')' AS wkt, x0 AS x FROM boxes"))
+    for name in SETS:
+        add(
+            f"op_geojson_text_{name}",
+            lambda s, d, n=name: wkt.from_geojson(geoms(s, d, n).select("geom_id", wkt.to_geojson(F.col("kind"), F.col("rings")).alias("json")), "json").select("geom_id", "kind", F.posexplode("rings").alias("ring", "v")).select("geom_id", "kind", F.col("ring").cast("long").alias("ring"), F.posexplode("v").alias("at", "p")).select("geom_id", "kind", "ring", (F.col("at") + 1).cast("long").alias("at"), "p.x", "p.y"),
+            o.with_(o.geoms(name), select="SELECT geom_id, CASE WHEN kind = 'LINESTRING' AND count(*) OVER (PARTITION BY geom_id) = 1 THEN 'POINT' ELSE kind END AS kind, CAST(dense_rank() OVER (PARTITION BY geom_id ORDER BY ring) - 1 AS BIGINT) AS ring, row_number() OVER (PARTITION BY geom_id, ring ORDER BY ord) AS at, x, y FROM verts"),
+        )
     add("op_trajectory_sessions", lambda s, d: load(s, d, "events").groupBy("user_id", F.session_window("ts", "30 minutes").alias("w")).agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("started"), "n"), "WITH f AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER u + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW u AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM f) SELECT user_id, min(ts) AS started, count(*) AS n FROM s GROUP BY user_id, s")
     add("op_tumbling_inserts_day", lambda s, d: load(s, d, "events").groupBy(F.to_date("ts").alias("day")).agg(F.count("*").alias("n")), "SELECT CAST(ts AS DATE) AS day, count(*) AS n FROM events GROUP BY 1")
     add("op_sliding_inserts", lambda s, d: load(s, d, "events").groupBy(F.window("ts", "2 hours", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("started"), "n"), "WITH h AS (SELECT date_trunc('hour', ts) AS h FROM events) SELECT h - to_hours(k) AS started, count(*) AS n FROM h, range(0, 2) t(k) GROUP BY 1")
