@@ -130,6 +130,31 @@ def test_language_mixtures(spark):
     assert kept.columns[-1] == "score" and {r["doc_id"] for r in kept.collect()} == {5, 6}
 
 
+def test_mixture_equals_a_search_over_all_language_sets():
+    r = np.random.default_rng(4)
+    letters = ["abcdefgh", "efghijkl", "mnopqrst"]
+    text = lambda k, n: " ".join("".join(r.choice(list(letters[k]), 5)) for _ in range(n))
+    counts = np.zeros((langid.BUCKETS, 3))
+    for k in range(3):
+        _, gram, n = langid.trigram_counts([text(k, 3000)])
+        counts[gram, k] = n
+    model = langid.Model(["a", "b", "c"], counts)
+    for t in (text(0, 40), text(1, 60), text(0, 40) + " " + text(2, 40), text(1, 30) + " " + text(2, 90), " ".join(text(k, 60) for k in range(3)), "abc"):
+        _, gram, n = langid.trigram_counts([t])
+        best = None
+        for chosen in (s for s in range(1, 8)):  # every set of languages, by plain expectation-maximisation
+            on = [k for k in range(3) if chosen >> k & 1]
+            mix = np.ones(len(on)) / len(on)
+            for _ in range(400):
+                share = model.p[gram][:, on] * mix
+                mix = (n[:, None] * share / share.sum(1, keepdims=True)).sum(0) / n.sum()
+            fit = (n * np.log((model.p[gram][:, on] * mix).sum(1))).sum() - len(on) * 0.5 * np.log(max(n.sum() / langid._OVERLAP, 2)) * langid._OVERLAP
+            if best is None or fit > best[0]:
+                best = fit, on, mix
+        got = model.mixtures([t])[0]
+        assert np.flatnonzero(got).tolist() == best[1] and np.abs(got[best[1]] - best[2]).max() < 0.02
+
+
 # --- 4
 def test_chat_rotation(spark):
     rows = [(1, 0, "system", "rules"), (1, 1, "ann", "hi <|end|>"), (1, 2, "bob", None), (1, 2, "bob", None), (1, 40, "ann", "é"), (2, 0, "system", "x"), (None, 0, "ann", "y"), (3, None, None, "z")]
@@ -189,6 +214,22 @@ def test_redacts_password_with_punctuation(spark):
     assert got == {0: "we set password=[secret] and go on", 1: "we set password: [secret] next words stay"}
 
 
+PLANTED = re.compile(r'token = "([0-9a-f]{40})"|\b(AKIA[A-Z0-9]{16})\b')
+
+
+def test_secrets_of_the_documents_equal_plain_patterns():
+    forest, words, n = secret_scan.train(VOCAB), secret_scan.dictionary(VOCAB), 0
+    for sf in (SF, "/root/testdata/sf0.01"):
+        texts = [t or "" for t in duckdb.sql(f"SELECT text FROM '{sf}/documents.parquet' ORDER BY doc_id").df()["text"]]
+        for t, found in zip(texts, secret_scan.scan(texts, forest, words), strict=True):
+            plain = [m.span(m.lastindex) for m in PLANTED.finditer(t)]
+            spans = [(a, b) for a, b, p in found if p >= 0.5]
+            assert spans == plain
+            assert secret_scan.masked(t, spans, "[secret]") == PLANTED.sub(lambda m: m.group().replace(m.group(m.lastindex), "[secret]"), t)
+            n += len(plain)
+    assert n > 5 and secret_scan.masked(None, [], "x") is None and secret_scan.masked("abc", [(0, 1), (1, 2), (2, 3)], "-") == "---"
+
+
 # --- 6
 def test_line_dedup(spark):
     block = "\n".join(prose(900 + i, 9) for i in range(12))
@@ -335,6 +376,23 @@ def test_components(spark):
 
 
 # --- 9
+def plain_likeness(a, b):
+    a, b = (Counter(p for line in t.split("\n") for p in re.sub(r"([.!?]) +", "\\1\n", line).split("\n") if p) for t in (a, b))
+    return (a & b).total() / (a | b).total() if a or b else 1.0
+
+
+def test_stored_tables_hold_what_they_say():
+    for n in (0, 1, 7, 90):
+        d = iblt.digests("\n".join(prose(i % 60, 4) for i in range(n)))
+        want = np.zeros((iblt.CELLS, 3), np.uint64)
+        for x in d:
+            check = iblt._mix(np.array([x]), 99)[0] & np.uint64(0xFFFFFFFF)
+            for k in range(3):
+                cell = want[k * (iblt.CELLS // 3) + int(iblt._mix(np.array([x]), k + 1)[0]) % (iblt.CELLS // 3)]
+                cell[0], cell[1], cell[2] = cell[0] + np.uint64(1), cell[1] ^ x, cell[2] ^ check
+        assert (iblt.tables([d], iblt.CELLS)[0] == want).all() and len(set(d.tolist())) == n
+
+
 def test_fingerprints(spark):
     texts = [*ODD, "\n".join(prose(i, 9) for i in range(40)), "\n".join(prose(i, 9) for i in range(3, 43)), "x\n" * 30]
     got = {r["doc_id"]: r for r in iblt.versions(docs_of(spark, texts, bucket=1)).collect()}
@@ -343,8 +401,8 @@ def test_fingerprints(spark):
         t, after = t or "", texts[i - 1 if i else n - 1] or ""
         edited = t[: len(t) - len(t) // 3] + after[: len(t) // 3]
         assert got[i]["edited_sha256"] == hashlib.sha256(edited.encode()).hexdigest() and got[i]["n_chars"] == len(t)
-        a, b = set(iblt.digests(t).tolist()), set(iblt.digests(after).tolist())
-        assert got[i]["near_next"] == (len(a & b) / len(a | b) if a | b else 1.0)
+        assert got[i]["near_next"] == plain_likeness(t, after) and got[i]["near_edited"] == plain_likeness(t, edited)
+        assert [got[i]["fingerprint"], got[i]["edited_fingerprint"]] == iblt.fingerprints([iblt.digests(t), iblt.digests(edited)])
     assert got[7]["fingerprint"] == got[8]["fingerprint"] and got[8]["near_next"] == 1.0
     r = np.random.default_rng(1)
     for size in (0, 1, 5, 300):

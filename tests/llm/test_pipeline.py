@@ -1,15 +1,17 @@
-from collections import Counter
+import zlib
+from array import array
+from collections import Counter, defaultdict
 
-import numpy as np
+from tokenizers import Tokenizer
 
 import corpus_pipeline as p
-from tests.llm.test_operators import brute_classes, runs_over
+from tests.llm.test_operators import PLANTED, brute_classes, runs_over
 from zspan.llm import linededup
 
 SF = "/root/testdata/sf0.001"
 
 
-def test_stages(spark):
+def test_stages(spark, monkeypatch):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     columns = docs.columns
     rows = {r["doc_id"]: r for r in docs.collect()}
@@ -40,14 +42,24 @@ def test_stages(spark):
     assert third.columns == columns and {r["doc_id"] for r in third.collect()} == {ids[c] for c, _, _ in classes.values()}
 
     fourth = p.secrets(spark, docs, SF)
-    changed = {r["doc_id"]: r["text"] for r in fourth.collect() if r["text"] != rows[r["doc_id"]]["text"]}
-    assert fourth.columns == columns and fourth.count() == len(rows) and all("[secret]" in t for t in changed.values())
+    plain = {i: PLANTED.sub(lambda m: m.group().replace(m.group(m.lastindex), "[secret]"), r["text"]) for i, r in rows.items()}
+    assert fourth.columns == columns and {r["doc_id"]: (r["text"], r["n_chars"]) for r in fourth.collect()} == {i: (t, len(t) if t != rows[i]["text"] else rows[i]["n_chars"]) for i, t in plain.items()}
 
-    last = p.run(spark, SF)
-    used = Counter()
-    for r in last.collect():
+    kept, write = [], p.written
+    monkeypatch.setattr(p, "written", lambda df, name: kept.append(write(df, name)) or kept[-1])
+    used, pieces = Counter(), defaultdict(list)
+    for r in p.run(spark, SF).collect():
         used[r["sequence_id"]] += r["length"]
-    assert max(used.values()) <= 2048 and np.mean(list(used.values())) > 1900
+        pieces[r["doc_id"]].append(r)
+    assert len(kept) == 4 and max(used.values()) <= 2048 and len(used) <= -(-used.total() // 2048) + 1
+    tok, texts = Tokenizer.from_file(p.VOCABULARY), {r["doc_id"]: r["text"] for r in kept[-1].collect()}
+    assert set(pieces) == set(texts) and len(set(rows) - set(texts)) < len(rows) / 2
+    for i, t in texts.items():  # every piece of what the stage before kept holds the library's ids
+        ids, at = array("I", [*tok.encode(t, add_special_tokens=False).ids, 0]), 0
+        for k, r in enumerate(sorted(pieces[i], key=lambda r: r["piece"])):
+            assert (r["piece"], r["start"], r["ids_crc32"]) == (k, at, zlib.crc32(ids[at : at + r["length"]].tobytes()))
+            at += r["length"]
+        assert at == len(ids)
 
 
 def test_line_dedup_stage_leaves_no_repeated_passage(spark):
