@@ -19,7 +19,7 @@ from zspan.geometry.mbr import with_mbr
 from zspan.geometry.model import GEOMETRY
 from zspan.index import maintain, storage
 from zspan.index.build import BASES, Store, build_index, sort_by_zmin
-from zspan.index.query import disjoint, explain_query, late_range_join, locate, planned, range_join, range_query
+from zspan.index.query import disjoint, explain_query, late_range_join, locate, plan_leaves, planned, range_join, range_query
 from zspan.interval import with_zinterval
 from zspan.plans import planned_bytes, settle, small, with_rank
 from zspan.sources import textfiles
@@ -328,3 +328,29 @@ def test_data_source_reads_only_keys_in_range(spark, tmp_path):
     got = spark.read.format("zspan").option("path", path).option("zlo", mid).load()
     assert {r["geom_id"] for r in got.select("geom_id").collect()} == {r["geom_id"] for r in ix.main.where(F.col("zmin") >= mid).select("geom_id").collect()}
     assert datasource.ZspanReader({"path": path, "zlo": str(1 << 62)}, datasource.SCHEMA).partitions() == []
+
+
+def test_table_functions_search_a_saved_index(spark, tmp_path):
+    path, r = str(tmp_path / "ix"), random.Random(8)
+    line = lambda: [(r.randint(0, 400), r.randint(0, 400)) for _ in range(r.randint(1, 4))]
+    shapes = [*EDGE, *((100 + i, "POINT" if len(p) == 1 else "LINESTRING", [p]) for i, p in enumerate(line() for _ in range(200)))]
+    ix = build_index(_geoms(spark, shapes), IndexConfig(leaf_cap=8, m=4))
+    storage.save(ix, path)
+    sqlapi.register(spark)
+    ask = lambda f, w, rel: spark.sql(f"SELECT * FROM {f}('{path}', {', '.join(map(str, w))}, '{rel}')")
+    windows = [(0, 10, 0, 10), (5, 5, 5, 5), (70, 80, 70, 80), (50, 300, 20, 350), (900, 999, 900, 999)]
+    for rel in ("contains", "intersects"):
+        for w in windows:
+            assert sorted(x["geom_id"] for x in ask("zspan_search", w, rel).collect()) == sorted(x["geom_id"] for x in range_query(ix, w, rel).collect()), (rel, w)
+            for name in ("main", "outlier"):
+                p, got = plan_leaves(ix, w, rel, name), [x for x in ask("zspan_plan", w, rel).collect() if x["store"] == name]
+                assert tuple(sorted(x["leaf_id"] for x in got)) == p.leaf_ids and {(x["zstart"], x["zhi"]) for x in got} <= {(p.zstart, p.zhi)}
+    ix = maintain.delete(maintain.insert(ix, _geoms(spark, [(900, "POINT", [[(60, 60)]]), (901, "LINESTRING", [[(0, 0), (390, 390)]])])), _geoms(spark, [(900, "POINT", [[(60, 60)]]), shapes[20]]))
+    storage.save(ix, path)
+    wins = spark.createDataFrame([(i, *w) for i, w in enumerate(windows)], "qid long, wx0 long, wx1 long, wy0 long, wy1 long")
+    wins.createOrReplaceTempView("asked")
+    for rel in ("contains", "intersects"):
+        got = spark.sql(f"SELECT qid, geom_id FROM asked, LATERAL zspan_search('{path}', wx0, wx1, wy0, wy1, '{rel}')")
+        assert sorted(got.collect()) == sorted(range_join(ix, wins, rel).collect())
+    with pytest.raises(Exception, match="not within"):
+        ask("zspan_plan", windows[0], "within").collect()

@@ -333,6 +333,18 @@ def _answered(s, d):
     return s.read.parquet(f"{at}/out").select("qid", "geom_id")
 
 
+def _sql_search(s: SparkSession, d: str, name: str, sel: str, rel: str) -> DataFrame:
+    """(qid, geom_id) by the table function, a task for some of the windows each, from a saved index."""
+    from zspan import sqlapi
+    from zspan.index import storage
+
+    at = new_path(s, "saved")
+    storage.save(index(s, d, name), at)
+    sqlapi.register(s)
+    asked = windows(s, d, name, sel).repartition("qid")
+    return s.sql("SELECT qid, geom_id FROM {asked}, LATERAL zspan_search({at}, wx0, wx1, wy0, wy1, {rel})", asked=asked, at=at, rel=rel)
+
+
 def _touches(s, d):
     """Boxes of parks themselves as windows: they touch their own shape nowhere inside, and others at their border."""
     w = geoms(s, d, "parks").where("geom_id % 37 = 5").select(F.col("geom_id").alias("qid"), (F.col("x0") - F.lit(4000)).alias("wx0"), F.col("x0").alias("wx1"), F.col("y0").alias("wy0"), F.col("y1").alias("wy1"))
@@ -432,6 +444,7 @@ def _operators() -> None:
     add("op_gapped_leaves_roads", lambda s, d: index(s, d, "roads", "gapped").leaves.select("leaf_id", "first_key", "n"), o.with_(roads, o.stores(cap=int(o.LEAF_CAP * 0.7)), select="SELECT leaf_id, first_key, n FROM leaves WHERE store = 0"))
     for rel in ("contains", "intersects"):
         add(f"op_banded_index_{rel}", _answer("banded", "roads", "01pct", rel), ORACLE_SQL[f"{rel}_roads_01pct"])
+        add(f"op_sql_search_{rel}", lambda s, d, r=rel: _sql_search(s, d, "parks", "01pct", r), ORACLE_SQL[f"{rel}_parks_01pct"])
         add(f"op_late_materialisation_{rel}", lambda s, d, r=rel: late_range_join(index(s, d, "roads"), windows(s, d, "roads", "01pct"), r), ORACLE_SQL[f"{rel}_roads_01pct"])
     add("op_touches_boxes_parks", _touches, o.with_(parks, o.TOUCHING, select="SELECT qid, geom_id FROM touching"))
     add("op_histogram_roads", lambda s, d: trees.histogram(geoms(s, d, "roads")), o.with_(roads, select="SELECT CAST(floor((x0 + x1) / 90000000) + 1 AS BIGINT) AS bx, CAST(floor((y0 + y1) / 45000000) + 1 AS BIGINT) AS by, count(*) AS n FROM boxes GROUP BY 1, 2"))

@@ -7,17 +7,16 @@ Deleted records that no compaction has dropped are still read.
 from __future__ import annotations
 
 import functools
-import json
 import operator
 from collections.abc import Iterator
 
 import pyarrow.dataset as ds
-from pyarrow import fs
 from pyspark.sql import SparkSession
 from pyspark.sql import types as T
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
 
 from zspan.geometry.model import RINGS
+from zspan.index import reader
 
 _LONGS = ("geom_id", "x0", "y0", "x1", "y1", "zmin", "zmax", "zlen", "leaf_id")
 SCHEMA = T.StructType([*(T.StructField(c, T.LongType()) for c in _LONGS), T.StructField("kind", T.StringType()), T.StructField("rings", RINGS)])
@@ -58,14 +57,10 @@ class ZspanReader(DataSourceReader):
     def _own(self) -> ds.Expression:
         return functools.reduce(operator.and_, (compare(ds.field(c), v) for c, compare, v in self.asked))
 
-    def _files(self) -> tuple[fs.FileSystem, str]:
-        return fs.FileSystem.from_uri(self.root if ":" in self.root else f"file://{self.root}")
-
     def partitions(self) -> list[_File]:
         """Files whose row groups can hold what was asked for, by their statistics."""
-        store, root = self._files()
-        found = [json.loads(x) for p in store.get_file_info(fs.FileSelector(f"{root}/manifest")) if p.path.endswith(".txt") for x in store.open_input_stream(p.path).read().decode().splitlines()]
-        latest = max(found, key=lambda m: m["version"])[self.store]
+        store, root = reader.located(self.root)
+        latest = reader.latest(self.root)[self.store]
         own, out = self._own(), []
         for k in latest["segments"]:
             data = ds.dataset(f"{root}/{self.store}/seg={k}", filesystem=store, format="parquet")
@@ -73,7 +68,7 @@ class ZspanReader(DataSourceReader):
         return out
 
     def read(self, partition: _File):
-        store, _ = self._files()
+        store, _ = reader.located(self.root)
         yield from ds.dataset(partition.path, filesystem=store, format="parquet").to_batches(columns=self.columns, filter=self._own())
 
 

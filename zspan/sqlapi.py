@@ -1,4 +1,4 @@
-"""Functions for SQL users: codes, box tests and the key ranges of a window."""
+"""Functions for SQL users: codes, box tests, the key ranges of a window, plans and searches of a saved index."""
 
 from __future__ import annotations
 
@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from zspan.geometry.predicates import _general
+from zspan.index import reader
 
 _M = (0x0000FFFF0000FFFF, 0x00FF00FF00FF00FF, 0x0F0F0F0F0F0F0F0F, 0x3333333333333333, 0x5555555555555555)
 
@@ -50,6 +51,16 @@ class _Ranges:
         yield from ranges(x0, y0, x1, y1, most)
 
 
+class _Plan:
+    def eval(self, path: str, wx0: int, wx1: int, wy0: int, wy1: int, rel: str):
+        yield from reader.plan(path, (wx0, wx1, wy0, wy1), rel)
+
+
+class _Search:
+    def eval(self, path: str, wx0: int, wx1: int, wy0: int, wy1: int, rel: str):
+        yield from reader.search(path, (wx0, wx1, wy0, wy1), rel)
+
+
 def _relation(rel: str):
     def test(qkind: pa.Array, qrings: pa.Array, kind: pa.Array, rings: pa.Array) -> pa.Array:
         return _general(pa.array([rel] * len(kind)), qkind, qrings, kind, rings)
@@ -59,10 +70,13 @@ def _relation(rel: str):
 
 def register(spark: SparkSession) -> None:
     """Temporary functions z_address, z_overlaps, z_contains, zspan_contains, zspan_intersects, zspan_touches, zspan_disjoint (of
-    a window's and a geometry's kind and rings) and the table function z_ranges."""
+    a window's and a geometry's kind and rings); table functions z_ranges, and zspan_plan and zspan_search (path of a saved
+    index, wx0, wx1, wy0, wy1, contains or intersects), which run one window a task: many windows go through LATERAL."""
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION z_address(x BIGINT, y BIGINT) RETURNS BIGINT RETURN {_spread('x')} | shiftleft({_spread('y')}, 1)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION z_overlaps(qlo BIGINT, qhi BIGINT, glo BIGINT, ghi BIGINT) RETURNS BOOLEAN RETURN qlo <= ghi AND glo <= qhi")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION z_contains(qlo BIGINT, qhi BIGINT, glo BIGINT, ghi BIGINT) RETURNS BOOLEAN RETURN glo >= qlo AND ghi <= qhi")
     for rel in ("contains", "intersects", "touches", "disjoint"):
         spark.udf.register(f"zspan_{rel}", F.arrow_udf(_relation(rel), "boolean"))
     spark.udtf.register("z_ranges", udtf(_Ranges, returnType="lo bigint, hi bigint"))
+    spark.udtf.register("zspan_plan", udtf(_Plan, returnType="store string, zstart bigint, zhi bigint, leaf_band bigint, leaf_id bigint"))
+    spark.udtf.register("zspan_search", udtf(_Search, returnType="geom_id bigint, kind string, x0 bigint, x1 bigint, y0 bigint, y1 bigint"))
