@@ -1,4 +1,5 @@
 import hashlib
+import itertools
 import random
 import re
 import zlib
@@ -332,6 +333,27 @@ def brute_classes(texts):
     return out
 
 
+def test_jaccard_group_held_by_a_passage_is_cut(spark):
+    rng = random.Random(8)
+    word = lambda: "".join(rng.choices("abcdefgh", k=6))
+    passage = " ".join(word() for _ in range(60))
+    texts = []
+    for i in range(80):
+        own = [word() for _ in range(60)]
+        texts.append(passage + " " + " ".join(own))
+        if i % 4 == 0:
+            texts.append(passage + " " + " ".join([*own[:-3], word()]))  # a near copy
+    sets = jaccard.shingles(texts)
+    held = spark.createDataFrame([(i, 0, bytearray(s.tobytes())) for i, s in enumerate(sets)], "doc_id long, grp long, members binary")
+    root = {r["node"]: r["root"] for r in jaccard.cut(held).collect()}
+    sizes = Counter(root.values())
+    assert max(sizes.values()) == 2 and len(sizes) == 20
+    for i, j in itertools.combinations(range(len(texts)), 2):
+        both = len(np.intersect1d(sets[i], sets[j]))
+        if both >= 0.8 * (len(sets[i]) + len(sets[j]) - both):
+            assert root[i] == root[j]
+
+
 def test_jaccard_classes(spark):
     base, r = [prose(i, 120).split() for i in range(6)], random.Random(3)
     texts = [*ODD, "one two", "one two"]

@@ -7,11 +7,13 @@
    the number of comparisons; what no longer shrinks is alike throughout and passes whole. Buckets with the same members
    count once. Small buckets are compared by brute force on the vectors, with a bar far below the threshold. Runs are as
    many as the target recall asks for.
-3. What passes joins into groups of candidates. In a group all sets are compared exactly, block against block, by
-   counting common shingles in a matrix product. A block is bounded in shingles and in members, so a large group makes
-   many tasks of bounded memory. Links are counted once, and pairs are never listed: each task returns counts and a
-   spanning forest.
-4. Components of the verified links are the classes.
+3. What passes joins into groups of candidates. A group of more than one block is cut first, without losing a link: two
+   sets at the threshold share one of the rarest shingles of each, so many that the rest alone cannot hold the common
+   ones; sets join by these alone, and a passage that many of them quote no longer holds them together.
+4. In a group all sets are compared exactly, block against block, by counting common shingles in a matrix product. A
+   block is bounded in shingles and in members, so a large group makes many tasks of bounded memory. Links are counted
+   once, and pairs are never listed: each task returns counts and a spanning forest.
+5. Components of the verified links are the classes.
 
 Null and empty texts and texts without a word link to nothing. Repeated rows are copies of each other and give one row;
 a doc_id with several texts counts with the one of the least set hash. Null ids link to nothing. Ids are whole numbers, as
@@ -33,13 +35,15 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from zspan.llm.common import map_batches, parts, strings, text_slices, written
+from zspan.llm.common import forget, map_batches, parts, strings, text_slices, written
 from zspan.llm.components import components
 
 WORDS, THRESHOLD, RECALL = 5, 0.8, 0.999999
 TOKENS, SMALL, FAN = 64, 256, 3
 #: Shingles and members in a block of the exact comparison, about.
 BLOCK_SHINGLES, BLOCK_MEMBERS = 250_000, 512
+#: Bits of the map by which unasked documents are left out before a shuffle, and counters by which shingles are ranked.
+MAP_BITS, COUNTERS = 1 << 25, 1 << 16
 _WORD = re.compile(r"[^\W_]+")
 _RNG = np.random.default_rng(20)
 _MIX_A = _RNG.integers(1, 2**63, TOKENS, dtype=np.uint64) | np.uint64(1)
@@ -255,6 +259,92 @@ def _pairs_of_blocks(threshold: float):
     return run
 
 
+def _place() -> F.Column:
+    return F.pmod(F.xxhash64("doc_id"), F.lit(MAP_BITS))
+
+
+def _marked(ids: DataFrame) -> np.ndarray:
+    """A map with the bits of these doc_ids set; its size is bounded, whatever their number."""
+    bit = F.expr("shiftleft(1L, cast(at & 63 as int))")
+    got = ids.select(_place().alias("at")).groupBy(F.shiftright("at", 6).alias("word")).agg(F.bit_or(bit).alias("bits")).toArrow()
+    out = np.zeros(MAP_BITS // 64, np.uint64)
+    out[got.column("word").to_numpy()] = got.column("bits").to_numpy().view(np.uint64)
+    return out
+
+
+def _members(docs: DataFrame, ids: DataFrame, words: int) -> DataFrame:
+    """(doc_id, set_hash, members) of the rows whose doc_id is in ``ids``, and of a few others."""
+    marks = docs.sparkSession.sparkContext.broadcast(_marked(ids))
+
+    def run(batches):
+        for b in batches:
+            at = b.column("at").to_numpy()
+            b = b.filter(pa.array((marks.value[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1) == 1))
+            texts = strings(b, "text")
+            sets = [s.tobytes() for a, z in text_slices(texts) for s in shingles(texts[a:z], words)]
+            yield {"doc_id": b.column("doc_id"), "set_hash": [xxhash.xxh3_128_digest(m) for m in sets], "members": sets}
+
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("at", _place())
+    return map_batches(rows, run, "doc_id long, set_hash binary, members binary")
+
+
+def _counter(s: np.ndarray) -> np.ndarray:
+    return ((s * np.uint64(0xD6E8FEB86659FD93)) >> np.uint64(48)).astype(np.int64) % COUNTERS
+
+
+def cut(held: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """(node, root) of the parts of the groups in ``held`` (doc_id, grp, members) that no link leaves; lone sets drop out.
+
+    Shingles have one order, by counters that many share and then by value. Sets at the threshold have at least this share
+    of each in common, so they meet in the first shingles of each that are one more than the others may be.
+    """
+
+    def count(batches):
+        total = np.zeros(COUNTERS, np.int64)
+        for b in batches:
+            for m in b.column("members").to_pylist():
+                total += np.bincount(_counter(np.frombuffer(m, np.uint64)), minlength=COUNTERS)
+        used = np.flatnonzero(total)
+        yield {"counter": used, "n": total[used]}
+
+    got = map_batches(held.select("members"), count, "counter int, n long").groupBy("counter").agg(F.sum("n").alias("n")).toArrow()
+    often = np.zeros(COUNTERS, np.int64)
+    often[got.column("counter").to_numpy()] = got.column("n").to_numpy()
+
+    def rarest(batches):
+        for b in batches:
+            out = {"grp": [], "shingle": [], "doc_id": []}
+            for g, i, m in zip(*(b.column(c).to_pylist() for c in ("grp", "doc_id", "members")), strict=True):
+                s = np.frombuffer(m, np.uint64)
+                first = len(s) - math.ceil(threshold * len(s) - 1e-3) + 1
+                own = s[np.lexsort((s, often[_counter(s)]))[:first]].view(np.int64).tolist()
+                out["shingle"] += own
+                out["grp"] += [g] * len(own)
+                out["doc_id"] += [i] * len(own)
+            yield out
+
+    def stars(batches):
+        key = first = None
+        for b in batches:
+            out = {"u": [], "v": []}
+            for g, s, i in zip(*(b.column(c).to_pylist() for c in ("grp", "shingle", "doc_id")), strict=True):
+                if (g, s) != key:
+                    key, first = (g, s), i
+                elif i != first:
+                    out["u"].append(i), out["v"].append(first)
+            yield out
+
+    spots = map_batches(held.select("grp", "doc_id", "members"), rarest, "grp long, shingle long, doc_id long")
+    spots = spots.repartition(parts(held.sparkSession), "grp", "shingle").sortWithinPartitions("grp", "shingle", "doc_id")
+    return components(map_batches(spots, stars, "u long, v long"))
+
+
+def _blocked(asked: DataFrame, block_shingles: int, block_members: int) -> DataFrame:
+    """``asked`` (doc_id, grp, n) with the number of blocks of its group and its own block."""
+    total = asked.groupBy("grp").agg(F.greatest(F.ceil(F.sum("n") / block_shingles), F.ceil(F.count("*") / block_members)).cast("int").alias("blocks"))
+    return asked.join(total, "grp").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
+
+
 def classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, recall: float = RECALL, small: int = SMALL, block_shingles: int = BLOCK_SHINGLES, block_members: int = BLOCK_MEMBERS) -> DataFrame:
     """One row a doc_id: doc_id, class_id (least doc_id of its component), n_links, n_copies.
 
@@ -268,23 +358,18 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, r
     reps = written(own_sets.agg(F.min_by(F.struct("doc_id", "n", "tokens"), "doc_id").alias("r"), F.sum("rows").alias("copies")).select("set_hash", "r.*", "copies"), "reps")
     groups = written(components(candidates(reps.select("doc_id", "tokens"), threshold, recall, small)), "groups")
     asked = groups.join(reps, groups["node"] == reps["doc_id"]).select("doc_id", "set_hash", F.col("root").alias("grp"), "n")
-    total = asked.groupBy("grp").agg(F.greatest(F.ceil(F.sum("n") / block_shingles), F.ceil(F.count("*") / block_members)).cast("int").alias("blocks"))
-    asked = asked.join(total, "grp").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")).select("doc_id", "set_hash", "grp", "blocks", "block")
-
-    def gather(batches):
-        for b in batches:
-            texts = strings(b, "text")
-            members = [s.tobytes() for a, z in text_slices(texts) for s in shingles(texts[a:z], words)]
-            same = [xxhash.xxh3_128_digest(m) == h for m, h in zip(members, b.column("set_hash").to_pylist(), strict=True)]
-            b = b.filter(pa.array(same, pa.bool_()))
-            yield {c: b.column(c) for c in ("doc_id", "grp", "blocks", "block")} | {"members": [m for m, x in zip(members, same, strict=True) if x]}
-
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(asked, "doc_id")
-    held = map_batches(texts, gather, "doc_id long, grp long, blocks int, block int, members binary")
+    asked = written(_blocked(asked, block_shingles, block_members), "asked")
+    held = written(_members(docs, asked, words).join(asked, ["doc_id", "set_hash"]).select("doc_id", "grp", "n", "blocks", "block", "members"), "held")
+    kept, large = held.where("blocks = 1"), held.where("blocks > 1")
+    if large.limit(1).count():
+        parted = written(cut(large, threshold).withColumnsRenamed({"node": "doc_id", "root": "grp"}), "parted")
+        placed = _blocked(parted.join(asked.select("doc_id", "n"), "doc_id"), block_shingles, block_members).drop("n")
+        kept = kept.unionByName(large.select("doc_id", "n", "members").join(placed, "doc_id"))
     other = F.sequence(F.lit(0), F.col("blocks") - 1)
-    tasks = held.withColumn("o", F.explode(other)).select("grp", F.least("block", "o").alias("a"), F.greatest("block", "o").alias("b"), "doc_id", "block", "members")
+    tasks = kept.withColumn("o", F.explode(other)).select("grp", F.least("block", "o").alias("a"), F.greatest("block", "o").alias("b"), "doc_id", "block", "members")
     tasks = tasks.repartition(parts(spark), "grp", "a", "b").sortWithinPartitions("grp", "a", "b", "doc_id")
     linked = written(map_batches(tasks, _pairs_of_blocks(threshold), "u long, v long, links long"), "linked")
+    forget(held)
     degree = linked.groupBy("u").agg(F.sum("links").alias("n_links"))
     roots = written(components(linked.select("u", "v")), "classes")
     by_set = reps.join(degree, reps["doc_id"] == degree["u"], "left").join(roots, reps["doc_id"] == roots["node"], "left")
