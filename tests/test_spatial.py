@@ -24,6 +24,7 @@ from zspan.interval import with_zinterval
 from zspan.plans import planned_bytes, settle, small, with_rank
 from zspan.sources import textfiles
 from zspan.workloads import hybrid
+from zspan.workloads.windows import is_bulk
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings".split()
@@ -274,6 +275,22 @@ def test_rivals_keep_up(spark):
     assert hybrid.throughput([hybrid.Done("insert", 0, 1, 5, 9.0), hybrid.Done("insert", 1, 1, 10, 2.0)], "insert") == 5.0
 
 
+def test_quadtree_beyond_the_drivers_bound(spark, monkeypatch):
+    """Quadrants in a table answer as those on the driver do, from the build on and once inserts pass the bound."""
+    g, w = q.geoms(spark, SF, "parks"), q.windows(spark, SF, "parks", "1pct")
+    bulk, late = g.where(is_bulk()), g.where(~is_bulk())
+    plain = trees.Quadtree.fit(g)
+    want = {(rel, tuple(r)) for rel in ("contains", "intersects") for r in plain.search(w, rel).collect()}
+    checked, size = plain.candidates(w).count(), plain.size_bytes()
+    for most in (3, trees.Quadtree.fit(bulk).quads.shape[1]):
+        monkeypatch.setattr(trees, "RESIDENT_LEAVES", most)
+        grown = trees.Quadtree.fit(bulk).insert(late)
+        assert grown.quads is None and grown.size_bytes() == size and grown.candidates(w).count() == checked
+        assert {(rel, tuple(r)) for rel in ("contains", "intersects") for r in grown.search(w, rel).collect()} == want
+        left = grown.delete(late).search(w, "contains").collect()
+        assert {tuple(r) for r in left} == {tuple(r) for r in plain.delete(late).search(w, "contains").collect()}
+
+
 def test_shipped_package_stays(spark, monkeypatch, tmp_path):
     import __spark_entry__ as e
 
