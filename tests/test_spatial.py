@@ -291,6 +291,21 @@ def test_quadtree_beyond_the_drivers_bound(spark, monkeypatch):
         assert {tuple(r) for r in left} == {tuple(r) for r in plain.delete(late).search(w, "contains").collect()}
 
 
+def test_sql_search_tests_shapes_only_where_boxes_leave_it_open(spark, tmp_path, monkeypatch):
+    from zspan.index import reader
+
+    rows = [(i, "POLYGON", [[(x, 10), (x + 4, 10), (x, 14), (x, 10)]]) for i, x in enumerate(range(0, 200, 5))]
+    rows += [(100, "LINESTRING", [[(0, 12), (0, 20)]]), (101, "LINESTRING", [[(0, 12), (6, 20)]]), (102, "POINT", [[(3, 3)]]), (103, "POINT", [[(0, 3)]])]
+    made = _geoms(spark, rows)
+    storage.save(build_index(made, IndexConfig(leaf_cap=8, m=4)), f"file://{tmp_path}/ix")
+    window, asked = (0, 150, 0, 30), []
+    monkeypatch.setattr(reader, "relation", lambda *a: asked.append(a) or predicates.relation(*a))
+    got = sorted(r[0] for r in reader.search(f"file://{tmp_path}/ix", window, "contains"))
+    ring = [[{"x": x, "y": y} for x, y in ((0, 0), (150, 0), (150, 30), (0, 30), (0, 0))]]
+    assert got == [r["geom_id"] for r in made.orderBy("geom_id").collect() if predicates.relation("contains", "POLYGON", ring, r["kind"], r["rings"])]
+    assert len(asked) == 3 and {100, 103}.isdisjoint(got) and {101, 102} <= set(got)
+
+
 def test_shipped_package_stays(spark, monkeypatch, tmp_path):
     import __spark_entry__ as e
 
