@@ -306,6 +306,19 @@ def test_sql_search_tests_shapes_only_where_boxes_leave_it_open(spark, tmp_path,
     assert len(asked) == 3 and {100, 103}.isdisjoint(got) and {101, 102} <= set(got)
 
 
+def test_touches_query_leaves_out_corners_on_slanted_edges(spark, tmp_path):
+    """The slanted edge of triangle 11 meets nothing of another park's strip but its lower left corner."""
+    place = lambda k: (k * 7919 % 4001, k * 104729 % 4001)
+    (a, b), other = place(11), next(k for k in range(1, 99) if k % 11 and place(k)[0] > place(11)[0] + 1 and place(k)[1] > place(11)[1])
+    size = place(other)[0] - a - 1 + 10 * (place(other)[1] - b)
+    parts = [(k, "Brand#11", size if k == 11 else 10) for k in range(1, 99)]
+    spark.createDataFrame(parts, "p_partkey long, p_brand string, p_size int").coalesce(1).write.parquet(f"{tmp_path}/part.parquet")
+    c = duckdb.connect()
+    c.execute(f"CREATE VIEW part AS SELECT * FROM '{tmp_path}/part.parquet/*.parquet'")
+    got = sorted(tuple(r) for r in q.QUERIES["op_touches_boxes_parks"](spark, str(tmp_path)).collect())
+    assert got == sorted(c.execute(q.ORACLE_SQL["op_touches_boxes_parks"]).fetchall()) and (other, 11) not in got and got
+
+
 def test_shipped_package_stays(spark, monkeypatch, tmp_path):
     import __spark_entry__ as e
 
