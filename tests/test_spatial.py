@@ -319,6 +319,14 @@ def test_touches_query_leaves_out_corners_on_slanted_edges(spark, tmp_path):
     assert got == sorted(c.execute(q.ORACLE_SQL["op_touches_boxes_parks"]).fetchall()) and (other, 11) not in got and got
 
 
+@pytest.mark.parametrize("name", ["example_lowest", "example_stairs_insert", "example_stairs_append"])
+def test_examples_read_the_given_parks(spark, duck, name):
+    assert "FROM part)" in q.ORACLE_SQL[name]
+    got = q.QUERIES[name](spark, SF)
+    assert got.inputFiles() or name != "example_lowest"
+    assert sorted(tuple(r) for r in got.collect()) == sorted(duck.execute(q.ORACLE_SQL[name]).fetchall())
+
+
 def test_shipped_package_stays(spark, monkeypatch, tmp_path):
     import __spark_entry__ as e
 
