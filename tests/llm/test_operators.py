@@ -381,6 +381,17 @@ def test_a_large_group_of_near_copies_is_compared_in_small_blocks(spark):
     assert {(r["class_id"], r["n_links"]) for r in got} == {(0, 1499)} and len(got) == 1500
 
 
+def test_keep_one_looks_up_only_what_may_go(spark):
+    """Copies go, repeated rows and ids of other spelling stay once, and texts without a copy are in no shuffle."""
+    texts = [prose(1, 40), prose(2, 40), prose(3, 40), "", ""]
+    rows = [("007", texts[0]), ("8", texts[1]), ("8", texts[1]), ("9", texts[1]), ("10", texts[2]), ("11", ""), ("12", ""), (None, texts[0])]
+    kept = jaccard.keep_one(spark.createDataFrame(rows, "doc_id string, text string"))
+    want = [("007", texts[0]), ("8", texts[1]), ("10", texts[2]), ("11", ""), ("12", ""), (None, texts[0])]
+    assert sorted(map(tuple, kept.collect()), key=str) == sorted(want, key=str)
+    plan = kept._jdf.queryExecution().executedPlan().toString()
+    assert "LeftAnti" in plan and "Exchange" not in plan.split("LeftAnti")[1].split("Aggregate")[0].replace("BroadcastExchange", "")
+
+
 def test_shingles_equal_plain_ones():
     r = random.Random(8)
     texts = [" ".join(r.choice(WORDS) for _ in range(n)) for n in (0, 1, 3, 5, 6, 40, 400)] + ["A-b c_d  e. F!", "a B C D E f"]

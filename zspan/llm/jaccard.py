@@ -37,6 +37,7 @@ from pyspark.sql import functions as F
 
 from zspan.llm.common import forget, map_batches, parts, strings, text_slices, written
 from zspan.llm.components import components
+from zspan.plans import small as small_table
 
 WORDS, THRESHOLD, RECALL = 5, 0.8, 0.999999
 TOKENS, SMALL, FAN = 64, 256, 3
@@ -379,7 +380,13 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, r
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """The rows of one document of each class, the one with the least doc_id; rows that repeat it stay once."""
-    first = classes(docs, **options).where("doc_id = class_id").select("doc_id")
-    kept = docs.join(first, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.select(docs.columns).unionByName(docs.where(F.col("doc_id").isNull()))
+    """The rows of one document of each class, the one with the least doc_id; rows that repeat it stay once.
+
+    Only what has a copy or leaves its class to another document is looked up, so that the other texts stay out of shuffles.
+    """
+    found = classes(docs, **options).where("doc_id <> class_id or n_copies > 0")
+    unsure = written(found.select(F.col("doc_id").cast("long").alias("_id"), (F.col("doc_id") == F.col("class_id")).alias("_first")), "unsure")
+    rows = docs.withColumn("_id", F.col("doc_id").cast("long"))
+    sole = rows.join(small_table(unsure), "_id", "left_anti")
+    again = rows.join(small_table(unsure.where("_first")), "_id", "left_semi").dropDuplicates(["_id"])
+    return sole.select(docs.columns).unionByName(again.select(docs.columns))
