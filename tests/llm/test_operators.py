@@ -488,3 +488,20 @@ def test_query_equals_sql(spark, name):
     want = c.sql(q.ORACLE_SQL[name])
     at = [want.columns.index(x) for x in df.columns]
     assert sorted(map(str, map(tuple, df.collect()))) == sorted(str(tuple(r[i] for i in at)) for r in want.fetchall())
+
+
+class FewTexts(langid.Model):
+    """Explains at most so many texts at a time."""
+
+    def explain(self, texts, **more):
+        assert len(texts) <= 512
+        return super().explain(texts, **more)
+
+
+def test_language_id_takes_a_batch_in_runs_of_rows(spark):
+    texts = [f"the {k} quick foxes jump" if k % 3 else "1234" for k in range(3000)]
+    _, gram, n = langid.trigram_counts(texts[:50])
+    model = FewTexts(["en"], np.bincount(gram, n, langid.BUCKETS)[:, None])
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)
+    assert {r["doc_id"]: r["text"] for r in langid.accepted(spark, docs, model).collect()} == {k: t for k, t in enumerate(texts) if k % 3}
+    assert {r["doc_id"]: r["lang_pred"] for r in langid.predict(spark, docs, model).collect()} == {k: "en" if k % 3 else "und" for k in range(3000)}

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from zspan.llm.common import map_batches, strings, text_slices
+from zspan.llm.common import map_batches, row_slices, strings, text_slices
 
 #: Hash buckets of trigrams; labelled documents of each language that are learned from, about.
 BUCKETS, SAMPLE = 1 << 15, 4000
@@ -123,7 +123,7 @@ def learn(labelled: DataFrame, sample: int = SAMPLE, buckets: int = BUCKETS) ->
 
     def count(batches):
         seen = {}
-        for b in batches:
+        for b in row_slices(batches):
             texts, lang = strings(b, "text"), np.array(b.column("lang").to_pylist(), object)
             for a, z in text_slices(texts):
                 text, gram, n = trigram_counts(texts[a:z], buckets)
@@ -158,7 +158,7 @@ def predict(spark: SparkSession, docs: DataFrame, model: Model) -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
-        for b in batches:
+        for b in row_slices(batches):
             preds, scores, mixed = _columns(shared.value, strings(b, "text"))
             yield {"doc_id": b.column("doc_id"), "lang_pred": preds, "score": scores, "mixture": mixed}
 
@@ -175,7 +175,7 @@ def accepted(spark: SparkSession, docs: DataFrame, model: Model) -> DataFrame:
     text, least = f"_{names.index('text')}", -float(np.log(len(model.p)))
 
     def run(batches):
-        for b in batches:
+        for b in row_slices(batches):
             texts = strings(b, text)
             fits = [x > least for a, z in text_slices(texts) for x in shared.value.explain(texts[a:z])[1]]
             b = b.filter(pa.array(fits, pa.bool_()))
